@@ -3,12 +3,13 @@
 from __future__ import annotations
 
 import math
+import uuid
 
 from pyspark.sql import Column, DataFrame, functions as F
 
 from pairmatch.plans.session import checkpoint_root, cut
 
-__all__ = ["checkpoint_root", "cut", "crc_mod", "table", "ascii_lower", "fit_logistic", "sigmoid"]
+__all__ = ["checkpoint_root", "cut", "stored", "crc_mod", "table", "ascii_lower", "fit_logistic", "sigmoid"]
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
@@ -17,6 +18,13 @@ def table(spark, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def stored(df: DataFrame, name: str) -> DataFrame:
+    """Written to the shared folder as Parquet and read again: cut lineage, small files."""
+    path = f"{checkpoint_root(df.sparkSession).rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    df.write.option("compression", "zstd").parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 def crc_mod(doc_id: Column, n: int) -> Column:
     """crc32 of the id as text, modulo n; null ids count as remainder -1."""
     return F.coalesce(F.crc32(doc_id.cast("string")) % n, F.lit(-1))

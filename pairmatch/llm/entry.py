@@ -15,12 +15,26 @@ def op1_topk_impact(spark, d):
     return top_k_inner_product(v, v.where("vec_id % 100 = 0"), 10)
 
 
+def op2_secret_forest(spark, d):
+    from pairmatch.llm.secret_forest import find_secrets
+
+    found = find_secrets(table(spark, d, "documents"))
+    return found.where("score >= 0.5").select("doc_id", "token_no", F.length("body").cast("long").alias("length"), F.sha2("body", 256).alias("digest"), F.round("score", 6).alias("score"))
+
+
 def op3_best_fit_packing(spark, d):
     from pairmatch.llm.packing import pack_documents
 
     return pack_documents(table(spark, d, "documents"), 2048)
 
 
+def op4_spaced_seeds(spark, d):
+    from pairmatch.llm.decontaminate import overlaps
+
+    found = overlaps(table(spark, d, "documents"), table(spark, d, "benchmark"))
+    return found.select("doc_id", "item_id", F.col("start").cast("long"), F.col("matched").cast("long"), F.col("item_tokens").cast("long"))
+
+
 def _scored(found, remainder, n):
     return found.select(
         "doc_id", (crc_mod(F.col("doc_id"), n) == remainder).alias("held_out"), "score", (F.col("score") >= 0.7).cast("int").alias("predicted")
@@ -39,12 +53,33 @@ def op7_toxic_lexicon(spark, d):
     return _scored(toxicity_scores(table(spark, d, "documents"), table(spark, d, "labels"), crc_mod(F.col("doc_id"), 3) != 1), 1, 3)
 
 
+def op6_minhash_bbit(spark, d):
+    from pairmatch.llm.minhash_bbit import near_duplicates
+
+    return near_duplicates(table(spark, d, "documents"), 85)
+
+
+def op8_ppm_scores(spark, d):
+    from pairmatch.llm.ppm_lm import score_documents
+
+    held = crc_mod(F.col("doc_id"), 7) == 2
+    found = score_documents(table(spark, d, "documents"), ~held)
+    return found.select("doc_id", held.alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
+
+
 def op9_warc_transactions(spark, d):
     from pairmatch.llm.warc_archive import capture_digest, captures
 
     return capture_digest(captures(table(spark, d, "pages")))
 
 
+def op10_segment_lines(spark, d):
+    from pairmatch.llm.line_dedup import duplicate_lines
+
+    found = duplicate_lines(table(spark, d, "documents"))
+    return found.select(F.col("doc").alias("doc_id"), F.col("line_no").cast("long"), F.col("of_doc").alias("of_doc_id"), F.col("of_line_no").cast("long"), F.col("edits").cast("long"))
+
+
 def llm_queries():
     return {k: v for k, v in globals().items() if k.startswith("op") and callable(v)}
 
@@ -76,5 +111,21 @@ select page_id, payload_bytes, payload_digest, case when first_id = page_id then
 """
 
 
+OP6_SQL = r"""
+with recursive d as (
+  select doc_id, list_filter(string_split_regex(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') as w from documents),
+s as (
+  select doc_id, list_distinct(case when len(w) = 0 then [] when len(w) < 5 then [array_to_string(w, ' ')]
+    else list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' ')) end) as sh from d),
+n as (select doc_id, len(sh)::bigint as n_shingles from s),
+e as (select doc_id, unnest(sh) as x from s),
+i as (select a.doc_id as a, b.doc_id as b, count(*) as c from e a join e b on a.x = b.x and a.doc_id <> b.doc_id group by 1, 2),
+l as (select i.a, i.b from i join n p on p.doc_id = i.a join n q on q.doc_id = i.b where 100 * c >= 85 * (p.n_shingles + q.n_shingles - c)),
+r as (select doc_id as a, doc_id as b from n union select r.a, l.b from r join l on r.b = l.a)
+select n.doc_id, n.n_shingles, min(r.b) as component_id, n.doc_id = min(r.b) as kept
+from n join r on r.a = n.doc_id group by n.doc_id, n.n_shingles
+"""
+
+
 def llm_oracles():
-    return {"op1_topk_impact": OP1_SQL, "op9_warc_transactions": OP9_SQL}
+    return {"op1_topk_impact": OP1_SQL, "op6_minhash_bbit": OP6_SQL, "op9_warc_transactions": OP9_SQL}
