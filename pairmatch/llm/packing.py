@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, Window, functions as F
 from pairmatch.llm.common import cut
 
 SALTS = 64
-CACHE = 600_000
+CACHE = 800_000
 
 
 class ChunkIds(dict):
@@ -37,6 +37,10 @@ class ChunkIds(dict):
 
         super().__init__()
         self.tokenizer = Tokenizer.from_file(path)
+        self.merges = self.tokenizer.model
+        shown = [*range(33, 127), *range(161, 173), *range(174, 256)]  # bytes that stand for themselves; the rest follow from 256 on
+        other = {b: 256 + i for i, b in enumerate(x for x in range(256) if x not in shown)}
+        self.letters = {c: "".join(chr(other.get(b, b)) for b in chr(c).encode()) for c in range(256)}
 
     def __missing__(self, chunk: str) -> bytes:
         import numpy as np
@@ -44,7 +48,10 @@ class ChunkIds(dict):
         word = chunk.rstrip(".,;:!?")
         if word and word.isalpha() and max(word) < "\u0100" and (word != chunk or not word.islower()):
             return self[word.lower()] + (self[chunk[len(word) :]] if word != chunk else b"")
-        ids = np.asarray(self.tokenizer.encode(chunk, add_special_tokens=False).ids, "<u4").tobytes()
+        if word == chunk and word.isalpha() and word.islower() and max(word) < "\u0100":  # a plain word: straight to the merges
+            ids = b"".join([x.id.to_bytes(4, "little") for x in self.merges.tokenize(word.translate(self.letters))])
+        else:
+            ids = np.asarray(self.tokenizer.encode(chunk, add_special_tokens=False).ids, "<u4").tobytes()
         if len(self) < CACHE and len(chunk) <= 64:
             self[chunk] = ids
         return ids
