@@ -57,13 +57,13 @@ def _items(bench: DataFrame) -> DataFrame:
 
 
 def _places(rows: DataFrame, keep: list[str]) -> DataFrame:
-    return rows.select(*keep, F.expr(f"explode(if(size(t) >= {ANCHOR}, sequence(0, size(t) - {ANCHOR}), array()))").alias("q"), "t")
+    return rows.select(*keep, F.expr(f"explode_outer(if(size(t) >= {ANCHOR}, sequence(0, size(t) - {ANCHOR}), array()))").alias("q"), "t").where("q is not null")
 
 
 def _item_seeds(items: DataFrame) -> DataFrame:
     """item_id, q, seed; a short item has the hash of its first tokens alone."""
     each = ", ".join(f"if({_fits(m, 'q')}, {_seed(m, 'q')}, null)" for m in range(len(MASKS)))
-    seeds = _places(items, ["item_id"]).select("item_id", "q", F.expr(f"explode(filter(array({each}), s -> s is not null))").alias("seed"))
+    seeds = _places(items, ["item_id"]).select("item_id", "q", F.expr(f"explode_outer(filter(array({each}), s -> s is not null))").alias("seed")).where("seed is not null")
     short = items.where(F.size("t") < max(map(len, MASKS))).select("item_id", F.lit(0).alias("q"), F.expr(_anchor("0")).alias("seed"))
     return seeds.unionByName(short).distinct()
 
@@ -72,14 +72,15 @@ def _doc_seeds(docs: DataFrame, anchors: set[int] | None, seeds: set[int] | None
     """Documents' places and seeds; with sets, only those that the benchmark has, tokens kept."""
     if anchors is None:
         each = ", ".join([f"if({_fits(m, 'q')}, {_seed(m, 'q')}, null)" for m in range(len(MASKS))] + [_anchor("q")])
-        return _places(docs, ["doc_id", "th"]).select("doc_id", "th", "q", F.expr(f"explode(filter(array({each}), s -> s is not null))").alias("seed"))
+        return _places(docs, ["doc_id", "th"]).select("doc_id", "th", "q", F.expr(f"explode_outer(filter(array({each}), s -> s is not null))").alias("seed")).where("seed is not null")
     listed = lambda s: "(" + ",".join(map(str, sorted(s))) + ")"
     some = " or ".join([f"({_fits(m, 'i')} and {_seed(m, 'i')} in {listed(seeds)})" for m in range(len(MASKS))] + [f"{_anchor('i')} in {listed(seeds)}"])
-    # no condition on a computed column: the optimizer would put its whole expression into the lambda
+    # outer explodes and no condition on a computed column: else the optimizer puts size(column) > 0,
+    # with the column's whole expression inside the lambda, below the projection
     hit = f"if(size(t) >= {ANCHOR}, filter(sequence(0, size(t) - {ANCHOR}), i -> {_anchor('i')} in {listed(anchors)} and ({some})), array())"
     held = docs.withColumn("at", F.expr(hit))
     each = ", ".join([f"if({_fits(m, 'q')}, {_seed(m, 'q')}, null)" for m in range(len(MASKS))] + [_anchor("q")])
-    return held.select("doc_id", "th", "t", F.explode("at").alias("q")).select("doc_id", "th", "t", "q", F.expr(f"explode(filter(array({each}), s -> s is not null))").alias("seed"))
+    return held.select("doc_id", "th", "t", F.explode_outer("at").alias("q")).where("q is not null").select("doc_id", "th", "t", "q", F.expr(f"explode_outer(filter(array({each}), s -> s is not null))").alias("seed")).where("seed is not null")
 
 
 def overlaps(docs: DataFrame, bench: DataFrame, share: float = SHARE, set_limit: int = SET_LIMIT) -> DataFrame:

@@ -127,5 +127,16 @@ from n join r on r.a = n.doc_id group by n.doc_id, n.n_shingles
 """
 
 
+OP4_SQL = r"""
+with d as (select doc_id, list_filter(string_split_regex(lower(coalesce(text, '')), '[^\p{L}\p{N}]+'), lambda x: x <> '') as t from documents),
+b as (select item_id, list_filter(string_split_regex(lower(text), '[^\p{L}\p{N}]+'), lambda x: x <> '') as t from benchmark),
+dt as (select doc_id, unnest(t) as w, generate_subscripts(t, 1) as p from d),
+bt as (select item_id, len(t) as n, unnest(t) as w, generate_subscripts(t, 1) as q from b),
+m as (select doc_id, item_id, n, p - q as shift, count(*) as c from dt join bt using (w) group by all),
+g as (select *, row_number() over (partition by doc_id, item_id order by c desc, shift) as r from m where c * 1000 >= n * 800)
+select doc_id, item_id, greatest(shift, 0)::bigint as start, c::bigint as matched, n::bigint as item_tokens from g where r = 1
+"""
+
+
 def llm_oracles():
-    return {"op1_topk_impact": OP1_SQL, "op6_minhash_bbit": OP6_SQL, "op9_warc_transactions": OP9_SQL}
+    return {"op1_topk_impact": OP1_SQL, "op4_spaced_seeds": OP4_SQL, "op6_minhash_bbit": OP6_SQL, "op9_warc_transactions": OP9_SQL}

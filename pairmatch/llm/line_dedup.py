@@ -43,7 +43,7 @@ def _small(df: DataFrame) -> DataFrame:
 def lines(docs: DataFrame, least_chars: int = LEAST_CHARS) -> DataFrame:
     """doc (null id: the least long), th, line_no, norm, h, h2 of the lines that count."""
     doc = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63)))
-    each = docs.where(F.col("text").isNotNull()).select(doc.alias("doc"), F.xxhash64("text").alias("th"), F.posexplode(F.transform(F.split("text", "\n"), fold)).alias("line_no", "norm"))
+    each = docs.where(F.col("text").isNotNull()).select(doc.alias("doc"), F.xxhash64("text").alias("th"), F.posexplode_outer(F.transform(F.split("text", "\n"), fold)).alias("line_no", "norm"))
     return each.where(F.length("norm") >= least_chars).withColumn("h", F.xxhash64("norm")).withColumn("h2", F.xxhash64(F.lit(1), F.col("norm")))
 
 

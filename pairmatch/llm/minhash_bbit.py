@@ -28,6 +28,7 @@ ROWS = HASHES // BANDS
 STAR_ROUNDS = 3
 WORD = 5
 NIBBLE = 0x1111111111111111
+SMALL_ROWS = 1_000_000
 
 
 def shingles(text: str | None, words: int = WORD):
@@ -201,5 +202,6 @@ def near_duplicates(docs: DataFrame, percent: int = 80) -> DataFrame:
 
 def one_of_each(docs: DataFrame, percent: int = 80) -> DataFrame:
     """The rows of docs whose document stays: one document of each group."""
-    gone = near_duplicates(docs, percent).where(~F.col("kept")).select("doc_id").distinct()
+    gone = stored(near_duplicates(docs, percent).where(~F.col("kept")).select("doc_id").distinct(), "mh-gone")
+    gone = F.broadcast(gone) if gone.count() <= SMALL_ROWS else gone
     return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)

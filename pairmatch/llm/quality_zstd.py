@@ -15,9 +15,9 @@ score is constant.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window, functions as F
+from pyspark.sql import Column, DataFrame, functions as F
 
-from pairmatch.llm.common import fit_logistic, sigmoid
+from pairmatch.llm.common import fit_logistic, sigmoid, stored
 
 CHUNK = 2048
 DICTIONARY = 64 * 1024
@@ -26,10 +26,9 @@ LEVEL = 3
 
 def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, learn: Column, per_class: int, sample_bytes: int) -> list:
     """[(text, 0 or 1)] of at most per_class rows of either class, chosen by hash."""
-    picked = labels.where(learn & F.col(label).isin(0, 1) & F.col("doc_id").isNotNull()).select("doc_id", F.col(label).alias("y"))
-    order = F.xxhash64(F.lit("sample"), F.col("doc_id"))
-    n = F.row_number().over(Window.partitionBy("y").orderBy(order, "doc_id"))
-    chosen = picked.withColumn("n", n).where(F.col("n") <= per_class).select("doc_id", "y", "n")  # 2 x per_class rows
+    picked = labels.where(learn & F.col("doc_id").isNotNull()).select("doc_id", F.col(label).alias("y"), F.xxhash64(F.lit("sample"), F.col("doc_id")).alias("n"))
+    lowest = [picked.where(F.col("y") == y).orderBy("n", "doc_id").limit(per_class) for y in (0, 1)]
+    chosen = stored(lowest[0].unionByName(lowest[1]), "labelled-sample")  # 2 x per_class rows
     rows = docs.select("doc_id", F.substring(F.col("text"), 1, sample_bytes).alias("text")).join(F.broadcast(chosen), "doc_id").collect()
     return [(r["text"] or "", r["y"]) for r in sorted(rows, key=lambda r: (r["n"], r["y"]))]
 

@@ -31,7 +31,7 @@ def candidates(docs: DataFrame) -> DataFrame:
     """doc_id, token_no, token, body, before, after of every candidate of every text."""
     t = docs.where(F.col("text").rlike("[0-9]")).select(F.col("doc_id").cast("long").alias("doc_id"), F.split("text", r"\s+").alias("t"))
     at = F.expr(f"filter(sequence(0, size(t) - 1), i -> length(t[i]) >= {LEAST} and t[i] rlike '[0-9]')")
-    one = t.withColumn("at", at).select("doc_id", F.explode("at").alias("token_no"), "t").select(
+    one = t.withColumn("at", at).select("doc_id", F.explode_outer("at").alias("token_no"), "t").where("token_no is not null").select(
         "doc_id", "token_no", F.expr("t[token_no]").alias("token"), F.expr("concat_ws(' ', slice(t, greatest(token_no - 1, 1), least(token_no, 2)))").alias("before"), F.expr("coalesce(get(t, token_no + 1), '')").alias("after")
     )
     body = F.regexp_extract("token", r"([A-Za-z0-9+/_\-]{" + str(LEAST) + r",}={0,2})[^A-Za-z0-9+/_\-]*$", 1)
@@ -40,7 +40,7 @@ def candidates(docs: DataFrame) -> DataFrame:
 
 def dictionary(docs: DataFrame, words: int = 2000) -> list[str]:
     """The most frequent words of four letters or more of all texts."""
-    w = docs.select(F.explode(F.split(F.lower("text"), r"[^\p{L}]+")).alias("w")).where(F.length("w") >= 4)
+    w = docs.select(F.explode_outer(F.split(F.lower("text"), r"[^\p{L}]+")).alias("w")).where(F.length("w") >= 4)
     return [r["w"] for r in w.groupBy("w").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "w").limit(words).collect()]
 
 
