@@ -155,7 +155,8 @@ class CountTeacher:
 
 
 def self_train(learner, labelled: DataFrame, unlabelled: DataFrame, valid: DataFrame, cfg: SelfTrainConfig | None = None):
-    """(best model, log, last training set). labelled and valid have pair_id, ev, y; unlabelled pair_id, ev.
+    """(best model, log, last training set). labelled and valid have pair_id, the
+    learner's columns and y; unlabelled the same without y.
 
     learner.fit(train) gives a model with score(df) and passes(df, n): see CountTeacher
     and operators.neural for two such learners.
@@ -163,8 +164,9 @@ def self_train(learner, labelled: DataFrame, unlabelled: DataFrame, valid: DataF
     from pairmatch.operators.measures import prf
 
     cfg, log, best = cfg or SelfTrainConfig(), RunLog(), None
-    labelled = cut(labelled.select("pair_id", "ev", "y").withColumn("source", F.lit("label")))
-    unlabelled = cut(unlabelled.select("pair_id", "ev"))
+    cols = tuple(getattr(learner, "columns", ("ev",)))
+    labelled = cut(labelled.select("pair_id", *cols, "y").withColumn("source", F.lit("label")))
+    unlabelled = cut(unlabelled.select("pair_id", *cols))
     f1 = lambda m: prf(m.score(valid)).first()["f1"]
     for it in range(max(1, cfg.iters)):
         teacher = learner.fit(labelled)
@@ -175,16 +177,16 @@ def self_train(learner, labelled: DataFrame, unlabelled: DataFrame, valid: DataF
             return best[1], log, labelled
         scored = uncertainty(teacher.passes(teacher.score(unlabelled), cfg.passes), cfg.passes)
         label = F.col("pred") if cfg.pseudo_from == "eval" else (F.col("p_mean") > 0.5).cast("int")
-        scored = cut(scored.withColumn("pseudo", label).select("pair_id", "ev", "p_yes", "u", "u_micro", "pseudo"))
+        scored = cut(scored.withColumn("pseudo", label).select("pair_id", *cols, "p_yes", "u", "u_micro", "pseudo"))
         chosen, unlabelled = SELECTORS[cfg.selector](scored, cfg.u_r)
-        unlabelled = unlabelled.select("pair_id", "ev")
-        labelled = cut(labelled.unionByName(chosen.select("pair_id", "ev", F.col("pseudo").alias("y"), F.lit("pseudo").alias("source"))))
+        unlabelled = unlabelled.select("pair_id", *cols)
+        labelled = cut(labelled.unionByName(chosen.select("pair_id", *cols, F.col("pseudo").alias("y"), F.lit("pseudo").alias("source"))))
         log.add(iter=it, phase="selected", rows=labelled.count(), f1=None)
         student = learner.fit(labelled)
         for _ in range(cfg.prunes()):
             ranked = cut(mc_el2n(student.passes(labelled, cfg.passes), cfg.passes))
             kept, _gone = prune(ranked, cfg.e_r)
-            labelled = cut(kept.select("pair_id", "ev", "y", "source"))
+            labelled = cut(kept.select("pair_id", *cols, "y", "source"))
             student = learner.fit(labelled)
             log.add(iter=it, phase="pruned", rows=labelled.count(), f1=f1(student))
         log.add(iter=it, phase="student", rows=labelled.count(), f1=f1(student))
