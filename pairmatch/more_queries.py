@@ -1,9 +1,372 @@
 """Queries of operators around matching, and their SQL twins."""
 
+from __future__ import annotations
+
+from pyspark.sql import Window, functions as F
+
+from pairmatch import oracles as O
+from pairmatch.operators import blocking as B, count_cloze as K, graph_walk as G, measures as Q, relational as R
+from pairmatch.plans.dialect import duck_sql, spark_sql
+from pairmatch.sources import workloads as W
+from pairmatch.streaming import online as L
+
+
+def _t(spark, d, name):
+    return spark.read.parquet(f"{d}/{name}.parquet")
+
+
+def _ids(spark, d, w, *cols):
+    return tuple(W.run_sql(spark, d, s.source).select("id", *cols) for s in W.SIDES[w])
+
+
+def block_equi_part(spark, d):
+    a, b = _ids(spark, d, "w1", "block")
+    return B.block_equi(a, b, ["block"])
+
+
+def block_tokens_docs(spark, d):
+    bench = W.run_sql(spark, d, "select STR(item_id) as id, text from {benchmark}")
+    docs = W.run_sql(spark, d, "select STR(doc_id) as id, text from {documents}")
+    return B.block_tokens(bench, docs, "text", max_df=50, shared=3)
+
+
+BLOCK_TOKENS = duck_sql("""
+with a as (select distinct STR(item_id) as id, unnest(TOK(text)) as w from benchmark), b as (select distinct STR(doc_id) as id, unnest(TOK(text)) as w from documents),
+k as (select x.w from (select w from a group by w having count(*) <= 50) x join (select w from b group by w having count(*) <= 50) y on x.w = y.w)
+select a.id as left_id, b.id as right_id from a join k on k.w = a.w join b on b.w = a.w group by 1, 2 having count(*) >= 3""")
+
+
+def _points(spark, d):
+    return W.run_sql(spark, d, f"select STR(c_custkey) as id, (lat - 9000) as lat, (lon - 18000) as lon from ({W.GEO}) z_").select("id", F.col("lat").cast("double").alias("lat"), F.col("lon").cast("double").alias("lon"))
+
+
+def block_grid_geo(spark, d):
+    p = _points(spark, d)
+    return B.block_grid(p, p, "lat", "lon", 500.0, 400.0).where("left_id < right_id")
+
+
+BLOCK_GRID = O.tables(duck_sql(f"with p as (select STR(c_custkey) as id, (lat - 9000)::double as lat, (lon - 18000)::double as lon from ({W.GEO}) z_) select a.id as left_id, b.id as right_id from p a join p b on a.id < b.id and abs(a.lat - b.lat) <= 400 and abs(a.lon - b.lon) <= 400"))
+
+
+def block_sorted_part(spark, d):
+    p = W.run_sql(spark, d, "select STR(p_partkey) as id, BIG(floor(p_retailprice * 100)) as cents from {part}")
+    return B.block_sorted(p, p, F.col("cents"), 50).where("left_id < right_id")
+
+
+BLOCK_SORTED = duck_sql("with p as (select STR(p_partkey) as id, BIG(floor(p_retailprice * 100)) as cents from part) select a.id as left_id, b.id as right_id from p a join p b on a.id < b.id and abs(a.cents - b.cents) <= 50")
+
+
+def block_minhash_docs(spark, d):
+    a = W.run_sql(spark, d, "select STR(doc_id) as id, text from {documents}")
+    return B.block_minhash(a, a, "text").where("left_id < right_id")
+
+
+def block_vectors_emb(spark, d):
+    v = _t(spark, d, "embeddings").select(F.col("vec_id").cast("string").alias("id"), "embedding")
+    return B.block_vectors(v, v, "embedding", 0.9).where("left_id < right_id")
+
+
+def blocking_quality(spark, d):
+    a, b = _ids(spark, d, "w1", "key", "block")
+    truth = a.select(F.col("id").alias("left_id"), "key").join(b.select(F.col("id").alias("right_id"), "key"), "key")
+    return B.block_quality(B.block_equi(a, b, ["block"]), truth, a.count(), b.count())
+
+
+BLOCK_QUALITY = f"""with l as ({O.side('w1', 0)}), r as ({O.side('w1', 1)}), c as (select distinct l.id as a, r.id as b, (l.key = r.key)::int as t from l join r on l.block = r.block)
+select count(*) as candidates, sum(t)::bigint as found, (select count(*) from l join r on l.key = r.key) as true_pairs,
+round(sum(t)::double / (select count(*) from l join r on l.key = r.key), 6) as completeness, round(1 - count(*)::double / ((select count(*) from l)::double * (select count(*) from r)), 6) as reduction from c"""
+
+
+def asof_event_order(spark, d):
+    ev = W.run_sql(spark, d, "select event_id, H('user|' || STR(user_id)) % (select count(*) from {customer}) + 1 as custkey, ts from {events}")
+    # orders are years older than events: their dates are folded into the events' month
+    od = W.run_sql(spark, d, "select o_custkey as custkey, o_orderkey, H('when|' || STR(o_orderkey)) % 2592000 as s from {orders}")
+    ev = ev.select("event_id", "custkey", F.unix_timestamp(F.col("ts").cast("timestamp")).alias("s"))
+    od = od.select("custkey", "o_orderkey", (F.col("s") + F.unix_timestamp(F.lit("2024-01-01 00:00:00").cast("timestamp"))).alias("t"))
+    return R.as_of(ev, od, "custkey", "s", "t", "o_orderkey").select("event_id", "custkey", "o_orderkey")
+
+
+ASOF = duck_sql("""with e as (select event_id, H('user|' || STR(user_id)) % (select count(*) from customer) + 1 as custkey, floor(epoch(ts))::bigint as s from events),
+o as (select o_custkey as custkey, o_orderkey, H('when|' || STR(o_orderkey)) % 2592000 + epoch(timestamp '2024-01-01 00:00:00')::bigint as t from orders),
+u as (select custkey, t, max(o_orderkey) as o_orderkey from o group by custkey, t)
+select e.event_id, e.custkey, u.o_orderkey from e asof left join u on e.custkey = u.custkey and e.s >= u.t""")
+
+
+def containment_benchmark(spark, d):
+    return R.containment(spark, d).where("y = 1").select("left_id", "right_id")
+
+
+CONTAINMENT = duck_sql("select STR(item_id) as left_id, STR(doc_id) as right_id from (select item_id, ' ' || JOIN(TOK(text)) || ' ' as a from benchmark) x join (select doc_id, ' ' || JOIN(TOK(text)) || ' ' as b from documents) y on contains(b, a)")
+
+
+def near_copies_exact(spark, d):
+    return R.near_copies(_t(spark, d, "documents"), 70).select("left_id", "right_id", F.col("shared").cast("long"), F.col("united").cast("long"))
+
+
+NEAR = duck_sql("""with g as (select doc_id, DISTINCT(GRAMS(t, 3)) as g from (select doc_id, TOK(text) as t from documents)), e as (select doc_id, unnest(g) as x from g),
+c as (select a.doc_id as left_id, b.doc_id as right_id, count(*) as shared from e a join e b on a.x = b.x and a.doc_id < b.doc_id group by 1, 2)
+select left_id, right_id, shared::bigint as shared, (len(p.g) + len(q.g) - shared)::bigint as united from c join g p on p.doc_id = left_id join g q on q.doc_id = right_id where shared * 100 >= (len(p.g) + len(q.g) - shared) * 70""")
+
+
+def semi_with_candidates(spark, d):
+    p = W.pairs(spark, d, "w1").where("y = 0")
+    return _ids(spark, d, "w1")[0].join(p.select(F.col("left_id").alias("id")), "id", "left_semi")
+
+
+def anti_remaining(spark, d):
+    p = W.pairs(spark, d, "w1").where("y = 0")
+    return _ids(spark, d, "w1")[0].join(p.select(F.col("left_id").alias("id")), "id", "left_anti")
+
+
+def set_ops_splits(spark, d):
+    p = W.pairs(spark, d, "w1")
+    part = lambda s: p.where(F.col("split") == s).select("left_id")
+    both = part("train").intersect(part("test")).agg(F.count("*").alias("n")).select(F.lit("train and test").alias("what"), "n")
+    only = part("train").unionByName(part("valid")).subtract(part("test")).agg(F.count("*").alias("n")).select(F.lit("not test").alias("what"), "n")
+    twice = part("train").exceptAll(part("train").distinct()).agg(F.count("*").alias("n")).select(F.lit("repeated").alias("what"), "n")
+    return both.unionByName(only).unionByName(twice)
+
+
+SET_OPS = f"""with {O.pairs_cte('w1')}, tr as (select left_id from pairs where split = 'train'), te as (select left_id from pairs where split = 'test'), va as (select left_id from pairs where split = 'valid')
+select 'train and test' as what, count(*) as n from (select * from tr intersect select * from te) union all
+select 'not test', count(*) from (select * from (select * from tr union all select * from va) except select * from te) union all
+select 'repeated', count(*) from (select * from tr except all select distinct * from tr)"""
+
+
+def topk_per_left(spark, d):
+    left, right = W.sequences(spark, d, "w8")
+    p = W.attach(W.pairs(spark, d, "w8"), left, right)
+    toks = lambda c: F.array_distinct(F.expr(spark_sql(K.CLEAN.format(c))))
+    s = p.select("pair_id", "left_id", toks("left_seq").alias("a"), toks("right_seq").alias("b")).select("pair_id", "left_id", F.size(F.array_intersect("a", "b")).cast("long").alias("common"))
+    return s.withColumn("r", F.row_number().over(Window.partitionBy("left_id").orderBy(F.desc("common"), "pair_id"))).where("r <= 3").select("pair_id", "common", "r")
+
+
+TOPK = f"with {O.pairs_cte('w8')}, s as (select pair_id, left_id, {duck_sql('COMMON(' + K.CLEAN.format('left_seq') + ', ' + K.CLEAN.format('right_seq') + ')')}::bigint as common from pairs), k as (select pair_id, common, row_number() over (partition by left_id order by common desc, pair_id)::int as r from s) select * from k where r <= 3"
+
+
+def window_frames_events(spark, d):
+    w = Window.partitionBy("user_id").orderBy("ts", "event_id")
+    return _t(spark, d, "events").select(
+        "event_id", F.lag("event_id").over(w).alias("before"), F.rank().over(w).alias("rk"), F.sum(F.col("value").cast("decimal(18,2)")).over(w.rowsBetween(-2, 0)).cast("double").alias("last3"), F.ntile(4).over(w).alias("quarter")
+    )
+
+
+WINDOW_FRAMES = "select event_id, lag(event_id) over w as before, rank() over w as rk, (sum(value::decimal(18,2)) over (partition by user_id order by ts, event_id rows between 2 preceding and current row))::double as last3, ntile(4) over w as quarter from events window w as (partition by user_id order by ts, event_id)"
+
+
+def tumbling_events(spark, d):
+    e = _t(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    return L.windowed(e, "1 hour").groupBy("event_type").agg(F.count("*").alias("windows"), F.sum("n").alias("n"), F.max("n").alias("most"))
+
+
+def sliding_events(spark, d):
+    e = _t(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    return L.windowed(e, "2 hours", "1 hour").groupBy("event_type").agg(F.count("*").alias("windows"), F.sum("n").alias("n"), F.max("n").alias("most"))
+
+
+def session_events(spark, d):
+    e = _t(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    return L.sessions(e, "12 hours").groupBy("user_id").agg(F.count("*").alias("sessions"), F.sum("n").alias("n"), F.max("n").alias("longest"))
+
+
+TUMBLING = "select event_type, count(*) as windows, sum(n)::bigint as n, max(n) as most from (select date_trunc('hour', ts) as s, event_type, count(*) as n from events group by 1, 2) group by 1"
+SLIDING = "select event_type, count(*) as windows, sum(n)::bigint as n, max(n) as most from (select s, event_type, count(*) as n from (select date_trunc('hour', ts) as s, event_type from events union all select date_trunc('hour', ts) - interval 1 hour, event_type from events) group by 1, 2) group by 1"
+SESSIONS = "with g as (select user_id, ts, case when ts - lag(ts) over (partition by user_id order by ts) < interval 12 hours then 0 else 1 end as new from events), s as (select user_id, sum(new) over (partition by user_id order by ts rows unbounded preceding) as k from g) select user_id, count(*) as sessions, sum(n)::bigint as n, max(n) as longest from (select user_id, k, count(*) as n from s group by 1, 2) group by 1"
+
+
+def json_props(spark, d):
+    e = _t(spark, d, "events").select("event_type", F.get_json_object("props", "$.k").cast("int").alias("k"))
+    return e.groupBy("event_type").agg(F.count("k").alias("n"), F.sum("k").alias("sum_k"), F.count_distinct("k").alias("kinds"))
+
+
+def html_title_lang(spark, d):
+    return W.run_sql(spark, d, "select page_id, EX(html, '<title>([^<]*)') as title, EX(html, 'lang=\"([a-z]+)') as lang, LEN(TOK(RX(html, '<[^>]*>', ' '))) as words from {pages}").withColumn("words", F.col("words").cast("long"))
+
+
+HTML = duck_sql("select page_id, EX(html, '<title>([^<]*)') as title, EX(html, 'lang=\"([a-z]+)') as lang, LEN(TOK(RX(html, '<[^>]*>', ' ')))::bigint as words from pages")
+
+
+def token_freq(spark, d):
+    w = W.run_sql(spark, d, "select lang, TOK(text) as t from {documents}").select("lang", F.explode_outer("t").alias("w")).where("w is not null")
+    n = w.groupBy("lang", "w").agg(F.count("*").alias("n"))
+    top = n.withColumn("r", F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n"), "w"))).where("r <= 5")
+    return top.select("lang", "w", "n", F.col("r").alias("place"))
+
+
+TOKEN_FREQ = duck_sql("with w as (select lang, unnest(TOK(text)) as w from documents), n as (select lang, w, count(*) as n from w group by 1, 2) select lang, w, n, r as place from (select *, row_number() over (partition by lang order by n desc, w)::int as r from n) where r <= 5")
+
+
+def tfidf_summary(spark, d):
+    """The ten tokens of highest weight of each page, by place; weights are integer micro-units."""
+    p = W.run_sql(spark, d, "select page_id, TOK(RX(html, '<[^>]*>', ' ')) as t from {pages}")
+    e = p.select("page_id", F.posexplode_outer("t").alias("at", "w")).where("w is not null")
+    n = p.count()
+    df = e.select("page_id", "w").distinct().groupBy("w").agg(F.count("*").alias("df"))
+    tf = e.groupBy("page_id", "w").agg(F.count("*").alias("tf"), F.min("at").alias("first"))
+    s = tf.join(df, "w").withColumn("weight", F.col("tf") * F.expr(spark_sql(f"LN6({float(n)}D / df)")))
+    r = s.withColumn("r", F.row_number().over(Window.partitionBy("page_id").orderBy(F.desc("weight"), "w"))).where("r <= 10")
+    return r.groupBy("page_id").agg(F.array_join(F.array_sort(F.collect_list(F.struct("first", "w")))["w"], " ").alias("summary"))
+
+
+TFIDF = duck_sql("""with p as (select page_id, TOK(RX(html, '<[^>]*>', ' ')) as t from pages), e as (select page_id, unnest(t) as w, generate_subscripts(t, 1) as place from p),
+df as (select w, count(distinct page_id) as df from e group by w), tf as (select page_id, w, count(*) as tf, min(place) as first_place from e group by 1, 2),
+s as (select *, tf * LN6((select count(*) from pages)::double / df) as weight from tf join df using (w)),
+r as (select *, row_number() over (partition by page_id order by weight desc, w) as r from s)
+select page_id, string_agg(w, ' ' order by first_place) as summary from r where r <= 10 group by page_id""")
+
+
+def knowledge_tags(spark, d):
+    left, _ = W.sequences(spark, d, "w2")
+    s = F.regexp_replace("seq", r"\b(\d{4}-\d{2}-\d{2})\b", "[DATE] $1")
+    return left.select("id", F.regexp_replace(s, r"\b(\d+\.\d{2})\b", "[PRICE] $1").alias("seq"))
+
+
+KNOWLEDGE = f"select id, regexp_replace(regexp_replace(seq, '\\b(\\d{{4}}-\\d{{2}}-\\d{{2}})\\b', '[DATE] \\1', 'g'), '\\b(\\d+\\.\\d{{2}})\\b', '[PRICE] \\1', 'g') as seq from ({O.side('w2', 0)})"
+
+
+def augment_delete(spark, d):
+    left, _ = W.sequences(spark, d, "w1")
+    n = F.size(F.split("seq", r" (?=\[COL\])"))
+    at = F.expr(spark_sql("H('aug|' || id)")) % n
+    return left.select("id", F.array_join(F.filter(F.split("seq", r" (?=\[COL\])"), lambda x, i: i != at.cast("int")), " ").alias("seq"))
+
+
+AUGMENT = duck_sql(f"with s as (select id, string_split(replace(seq, ' [COL]', chr(1) || '[COL]'), chr(1)) as a from ({{0}})) select id, array_to_string(list_filter(a, lambda x, i: i - 1 <> H('aug|' || id) % len(a)), ' ') as seq from s").replace("{0}", O.side("w1", 0))
+
+
+def _graph(spark, d):
+    return G.edges(*W.sequences(spark, d, "w7"))
+
+
+def graph_edges(spark, d):
+    return _graph(spark, d).select("src", "dst", F.col("slot").cast("long"), "degree")
+
+
+_TOKS = duck_sql("unnest(DISTINCT(KEEP(w, TOK(seq), w <> 'col' and w <> 'val')))")
+GRAPH = f"""b as (select 'L:' || id as rec, 'w:' || {_TOKS} as tok from ({O.side('w7', 0)}) union all select 'R:' || id, 'w:' || {_TOKS} from ({O.side('w7', 1)})),
+k as (select tok from b group by tok having count(*) between 2 and 200), bb as (select b.* from b join k using (tok)),
+e as (select rec as src, tok as dst from bb union all select tok, rec from bb),
+g as (select src, dst, row_number() over (partition by src order by dst) - 1 as slot, count(*) over (partition by src) as degree from e)"""
+
+
+def graph_first_step(spark, d):
+    g = _graph(spark, d)
+    start = g.where(~F.col("src").startswith("w:")).select(F.col("src").alias("walk"), F.col("src").alias("node")).distinct()
+    return G.walk_step(start, g, 1)
+
+
+GRAPH_STEP = duck_sql(f"with {GRAPH} select distinct src as walk, dst as node from g where src not like 'w:%' and slot = H('walk|' || src || '|1') % degree")
+
+
+def graph_walk_w6(spark, d):
+    left, right = W.sequences(spark, d, "w6")
+    return G.match(left, right, W.pairs(spark, d, "w6")).select("pair_id", "y", "split", "sim", "pred")
+
+
+def jaccard_floor(spark, d):
+    """Per threshold in hundredths, confusion of the word-overlap rule on w1's validation split."""
+    left, right = W.sequences(spark, d, "w1")
+    p = W.attach(W.pairs(spark, d, "w1"), left, right).where("split = 'valid'")
+    toks = lambda c: F.expr(spark_sql(K.CLEAN.format(c)))
+    s = p.select("y", toks("left_seq").alias("lt"), toks("right_seq").alias("rt")).select("y", F.expr(spark_sql("DIV(COMMON(lt, rt) * 20, greatest(EITHER(lt, rt), 1))")).cast("int").alias("j"))
+    t = s.groupBy("y", "j").count()
+    cuts = t.select("y", "count", F.explode(F.sequence(F.lit(1), F.lit(20))).alias("cut"), "j")
+    return cuts.groupBy("cut").agg(*[F.coalesce(F.sum(F.when((F.col("y") == y) & ((F.col("j") >= F.col("cut")) == b), F.col("count"))), F.lit(0)).alias(n) for n, y, b in (("tp", 1, True), ("fp", 0, True), ("fn", 1, False))])
+
+
+JACCARD = f"with {O.pairs_cte('w1')}, t as (select y, {duck_sql(K.CLEAN.format('left_seq'))} as lt, {duck_sql(K.CLEAN.format('right_seq'))} as rt from pairs where split = 'valid'), s as (select y, {duck_sql('DIV(COMMON(lt, rt) * 20, greatest(EITHER(lt, rt), 1))')}::int as j from t) select c::int as cut, count(*) filter (y = 1 and j >= c) as tp, count(*) filter (y = 0 and j >= c) as fp, count(*) filter (y = 1 and j < c) as fn from s, range(1, 21) r(c) group by c"
+
+
+def _scored(spark, d):
+    from pairmatch.catalog import predicted
+
+    out = None
+    for w in ("w4", "w8"):
+        one = predicted(spark, d, w).select(F.lit(w).alias("workload"), "y", "split", "pred")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def prf_rollup(spark, d):
+    s = _scored(spark, d)
+    c = s.rollup("workload", "split").agg(F.grouping_id().cast("int").alias("level"), F.count_if(F.expr("y = 1 and pred = 1")).alias("tp"), F.count("*").alias("n"))
+    return c.select(F.coalesce("workload", F.lit("all")).alias("workload"), F.coalesce("split", F.lit("all")).alias("split"), "level", "tp", "n")
+
+
+def confusion_cube(spark, d):
+    c = _scored(spark, d).cube("workload", "y", "pred").agg(F.grouping_id().cast("int").alias("level"), F.count("*").alias("n"))
+    return c.select(F.coalesce("workload", F.lit("all")).alias("workload"), F.coalesce("y", F.lit(-1)).alias("y"), F.coalesce("pred", F.lit(-1)).alias("pred"), "level", "n")
+
+
+def pivot_splits(spark, d):
+    return _scored(spark, d).groupBy("workload").pivot("split", ["train", "valid", "test"]).agg(F.count(F.lit(1)))
+
+
+def _scored_sql():
+    parts = [f"select '{w}' as workload, y, split, (p_yes > 0.5)::int as pred from (with {O.base(w, W.DEFAULT_RATE[w])}, {O.score_cte()} select * from scored)" for w in ("w4", "w8")]
+    return "z as (" + " union all ".join(parts) + ")"
+
+
+def time_cut_proxy(spark, d):
+    rows = [(r, Q.example_epochs(1000, r), Q.example_epochs(1000, 0.0)) for r in (0.1, 0.2, 0.3, 0.4, 0.5)]
+    return spark.createDataFrame(rows, "e_r double, pruned long, full long")
+
+
+def approx_tokens(spark, d):
+    return W.run_sql(spark, d, "select lang, TOK(text) as t from {documents}").select("lang", F.explode_outer("t").alias("w")).groupBy("lang").agg(F.approx_count_distinct("w", 0.02).alias("about"))
+
+
+def numeric_value_share(spark, d):
+    out = None
+    for w in ("w1", "w3", "w8"):
+        left, _ = W.sequences(spark, d, w)
+        v = left.select(F.filter(F.split(F.regexp_replace("seq", r"\[COL\] \S+ \[VAL\] ?", "\u0001"), " ?\u0001"), lambda x: x != "").alias("v"))
+        one = Q.numeric_share(v, "v").select(F.lit(w).alias("workload"), "n", "numeric", "share")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+NUMERIC = " union all ".join(
+    f"select '{w}' as workload, count(*) as n, count(*) filter (regexp_matches(v, '^-?[0-9]+([.][0-9]+)?$')) as numeric, round(count(*) filter (regexp_matches(v, '^-?[0-9]+([.][0-9]+)?$'))::double / count(*), 6) as share from (select unnest(string_split_regex(regexp_replace(seq, '\\[COL\\] \\S+ \\[VAL\\] ?', chr(1), 'g'), ' ?' || chr(1))) as v from ({O.side(w, 0)})) where v <> ''" for w in ("w1", "w3", "w8")
+)
+
+
+def pairs_natural(w):
+    def run(spark, d):
+        return W.natural_pairs(spark, d, w).select("pair_id", "y", "split")
+
+    return run
+
+
+_SPLIT = f"left_id || '|' || right_id as pair_id, y, {duck_sql(O.SPLIT)} as split"
+W11 = duck_sql(f"select {{0}} from (select STR(doc_id) as left_id, '' as right_id, quality::int as y from labels)").replace("{0}", _SPLIT)
+W12 = duck_sql(f"select {{0}} from (select STR(a.vec_id) as left_id, STR(b.vec_id) as right_id, (a.label = b.label)::int as y from embeddings a join embeddings b on b.vec_id = a.vec_id + 1)").replace("{0}", _SPLIT)
+W9 = duck_sql("""with g as (select doc_id, DISTINCT(GRAMS(t, 3)) as g from (select doc_id, TOK(text) as t from documents)), e as (select doc_id, unnest(g) as x from g),
+c as (select a.doc_id as a, b.doc_id as b, count(*) as s from e a join e b on a.x = b.x and a.doc_id < b.doc_id group by 1, 2),
+u as (select STR(a) as left_id, STR(b) as right_id, s, len(p.g) + len(q.g) - s as n from c join g p on p.doc_id = a join g q on q.doc_id = b),
+z as (select left_id, right_id, (s * 10 >= n * 7)::int as y from u where s * 100 >= n * 40) select {0} from z""").replace("{0}", _SPLIT)
+
 
 def queries() -> dict:
-    return {}
+    q = {f.__name__: f for f in (block_equi_part, blocking_quality, asof_event_order, containment_benchmark, near_copies_exact, semi_with_candidates, set_ops_splits, topk_per_left, window_frames_events, tumbling_events, sliding_events, session_events, json_props, html_title_lang, tfidf_summary, graph_edges, graph_walk_w6, jaccard_floor, prf_rollup, confusion_cube, time_cut_proxy, numeric_value_share)}
+    q |= {"block_tokens_documents": block_tokens_docs, "block_minhash_documents": block_minhash_docs, "block_grid_geo": block_grid_geo, "block_sorted_part": block_sorted_part, "block_vectors_embeddings": block_vectors_emb, "anti_remaining_unlabelled": anti_remaining, "map_token_freq": token_freq, "knowledge_tags_orders": knowledge_tags, "augment_attribute_delete": augment_delete, "graph_walk_step": graph_first_step, "pivot_metrics": pivot_splits, "approx_distinct_tokens": approx_tokens}
+    q |= {f"pairs_{w}": pairs_natural(w) for w in ("w9", "w10", "w11", "w12")}
+    from pairmatch.experiments import queries as experiments
+
+    return q | experiments()
 
 
 def oracles() -> dict[str, str]:
-    return {}
+    z = _scored_sql()
+    return {
+        "block_equi_part": f"with l as ({O.side('w1', 0)}), r as ({O.side('w1', 1)}) select distinct l.id as left_id, r.id as right_id from l join r on l.block = r.block",
+        "block_tokens_documents": BLOCK_TOKENS, "block_grid_geo": BLOCK_GRID, "block_sorted_part": BLOCK_SORTED, "blocking_quality": BLOCK_QUALITY, "asof_event_order": ASOF, "containment_benchmark": CONTAINMENT, "near_copies_exact": NEAR,
+        "semi_with_candidates": f"with {O.pairs_cte('w1')} select id from l where id in (select left_id from pairs where y = 0)", "anti_remaining_unlabelled": f"with {O.pairs_cte('w1')} select id from l where id not in (select left_id from pairs where y = 0)",
+        "set_ops_splits": SET_OPS, "topk_per_left": TOPK, "window_frames_events": WINDOW_FRAMES, "tumbling_events": TUMBLING, "sliding_events": SLIDING, "session_events": SESSIONS,
+        "json_props": "select event_type, count(*) as n, sum((props->>'$.k')::int)::bigint as sum_k, count(distinct (props->>'$.k')::int) as kinds from events group by 1",
+        "html_title_lang": HTML, "map_token_freq": TOKEN_FREQ, "tfidf_summary": TFIDF, "knowledge_tags_orders": KNOWLEDGE, "augment_attribute_delete": AUGMENT, "graph_edges": f"with {GRAPH} select * from g", "graph_walk_step": GRAPH_STEP, "jaccard_floor": JACCARD,
+        "prf_rollup": f"with {z} select coalesce(workload, 'all') as workload, coalesce(split, 'all') as split, grouping(workload, split)::int as level, count(*) filter (y = 1 and pred = 1) as tp, count(*) as n from z group by rollup (workload, split)",
+        "confusion_cube": f"with {z} select coalesce(workload, 'all') as workload, coalesce(y, -1) as y, coalesce(pred, -1) as pred, grouping(workload, y, pred)::int as level, count(*) as n from z group by cube (workload, y, pred)",
+        "pivot_metrics": f"with {z} select workload, count(*) filter (split = 'train') as train, count(*) filter (split = 'valid') as valid, count(*) filter (split = 'test') as test from z group by workload",
+        "numeric_value_share": NUMERIC, "pairs_w9": W9, "pairs_w11": W11, "pairs_w12": W12,
+    }

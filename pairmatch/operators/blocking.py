@@ -41,8 +41,8 @@ def block_tokens(left: DataFrame, right: DataFrame, col: str, max_df: int = 50,
 def block_minhash(left: DataFrame, right: DataFrame, col: str, bands: int = 8, rows: int = 2) -> DataFrame:
     """Banded MinHash of word three-grams, all in expressions."""
     def keyed(x: DataFrame, i: str) -> DataFrame:
-        grams = F.array_distinct(F.expr(spark_sql(f"GRAMS(TOK({col}), 3)")))
-        each = x.select(F.col("id").alias(i), F.explode_outer(grams).alias("g")).where("g is not null")
+        grams = F.array_distinct(F.expr(spark_sql("GRAMS(t, 3)")))
+        each = x.select("id", F.expr(spark_sql(f"TOK({col})")).alias("t")).select(F.col("id").alias(i), F.explode_outer(grams).alias("g")).where("g is not null")
         mins = [F.min(F.xxhash64("g", F.lit(j))).alias(f"m{j}") for j in range(bands * rows)]
         sig = each.groupBy(i).agg(*mins)
         band = F.array(*[F.xxhash64(F.lit(b), *[F.col(f"m{b * rows + r}") for r in range(rows)]) for b in range(bands)])
@@ -57,7 +57,7 @@ def block_grid(left: DataFrame, right: DataFrame, lat: str, lon: str, cell: floa
     near = F.array(F.lit(-1), F.lit(0), F.lit(1))
     a = left.select(F.col("id").alias("left_id"), F.col(lat).alias("la"), F.col(lon).alias("lo"), at(lat).alias("x"), at(lon).alias("y"))
     b = right.select(F.col("id").alias("right_id"), F.col(lat).alias("lb"), F.col(lon).alias("ob"), at(lat).alias("bx"), at(lon).alias("by"))
-    b = b.select("right_id", "lb", "ob", "by", (F.explode(near) + F.col("bx")).alias("x")).select("right_id", "lb", "ob", "x", (F.explode(near) + F.col("by")).alias("y"))
+    b = b.select("right_id", "lb", "ob", "by", F.explode(F.transform(near, lambda i: i + F.col("bx"))).alias("x")).select("right_id", "lb", "ob", "x", F.explode(F.transform(near, lambda i: i + F.col("by"))).alias("y"))
     return a.join(b, ["x", "y"]).where((F.abs(F.col("la") - F.col("lb")) <= radius) & (F.abs(F.col("lo") - F.col("ob")) <= radius)).select("left_id", "right_id").distinct()
 
 

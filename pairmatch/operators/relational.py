@@ -27,7 +27,7 @@ def containment(spark: SparkSession, d: str, sample: int = 10) -> DataFrame:
     Items meet documents on a shared five-word shingle; those met that lack the rest, and
     a few documents by hash, are the others. No item meets all documents.
     """
-    grams = lambda t, i: run_sql(spark, d, f"select STR({i}) as id, GRAMS(TOK(text), 5) as g, ' ' || JOIN(TOK(text)) || ' ' as s from {{{t}}}")
+    grams = lambda t, i: run_sql(spark, d, f"select STR({i}) as id, GRAMS(t, 5) as g, ' ' || JOIN(t) || ' ' as s from (select {i}, TOK(text) as t from {{{t}}}) q_")
     items, docs = grams("benchmark", "item_id"), grams("documents", "doc_id")
     a = items.select(F.col("id").alias("left_id"), F.explode_outer(F.array_distinct("g")).alias("x")).where("x is not null")
     b = docs.select(F.col("id").alias("right_id"), F.explode_outer(F.array_distinct("g")).alias("x")).where("x is not null")
@@ -42,10 +42,11 @@ def containment(spark: SparkSession, d: str, sample: int = 10) -> DataFrame:
 def near_copies(docs: DataFrame, floor_percent: int = 70) -> DataFrame:
     """left_id, right_id, shared, united for documents whose word three-grams overlap at least so much, exactly.
 
-    Equal texts meet as one class; classes meet on shared grams of a prefix of each set in
-    a global order (rare first), long enough that no pair over the floor can miss.
+    Documents meet on shared grams of a prefix of each set in a global order (rare first),
+    long enough that no pair over the floor can miss. Pairs are the result here, so a group
+    of n copies gives n squared of them; classes of copies are pairmatch.llm's business.
     """
-    g = docs.select("doc_id", F.array_distinct(F.expr(spark_sql("GRAMS(TOK(text), 3)"))).alias("g"))
+    g = docs.select("doc_id", F.expr(spark_sql("TOK(text)")).alias("t")).select("doc_id", F.array_distinct(F.expr(spark_sql("GRAMS(t, 3)"))).alias("g"))
     each = g.select("doc_id", F.size("g").alias("n"), F.explode_outer("g").alias("x")).where("x is not null")
     df = each.groupBy("x").agg(F.count("*").alias("df"))
     ranked = each.join(df, "x").withColumn("r", F.row_number().over(Window.partitionBy("doc_id").orderBy("df", "x")))

@@ -144,7 +144,7 @@ def natural_pairs(spark: SparkSession, d: str, w: str) -> DataFrame:
     from pairmatch.operators.relational import containment, near_copies
 
     if w == "w9":
-        found = near_copies(spark.read.parquet(f"{d}/documents.parquet"), floor_percent=10)
+        found = near_copies(spark.read.parquet(f"{d}/documents.parquet"), floor_percent=40)
         return with_split(found.select(F.col("left_id").cast("string"), F.col("right_id").cast("string"), (F.col("shared") * 10 >= F.col("united") * 7).cast("int").alias("y")))
     if w == "w10":
         return with_split(cap_per_left(containment(spark, d), 10))
