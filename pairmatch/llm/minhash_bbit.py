@@ -6,9 +6,9 @@ BITS low bits are kept, packed into longs, for estimates by bit counts corrected
 chance collisions. What the estimate cannot rule out is confirmed on full sets.
 
 Only components matter, so members of a bucket first meet a few leaders of it, each
-round others, and only pairs that are still in different components. What is then
-still apart in a bucket meets all of the bucket that is in another component, once.
-No pair of one component is made twice over, however large a group of copies.
+round others, and only pairs that are still in different components. What then still
+shares a bucket across components is compared on full sets in blocks, of which only
+the links that join components come out. No pair within a component is made.
 
 Defined results: null or wordless texts have the empty set and are linked with nothing;
 with fewer words than a shingle the whole sequence is the one shingle; rows that repeat
@@ -29,6 +29,7 @@ STAR_ROUNDS = 3
 WORD = 5
 NIBBLE = 0x1111111111111111
 SMALL_ROWS = 1_000_000
+BLOCK = 256
 
 
 def shingles(text: str | None, words: int = WORD):
@@ -137,6 +138,79 @@ def _confirm(percent: int):
     return run
 
 
+def _blocks(percent: int):
+    """Links between the documents of a block pair, one for each two components that they join."""
+
+    def run(key, table):
+        import numpy as np
+        import pyarrow as pa
+
+        ids, roots, side = (table.column(c).to_numpy() for c in ("id", "root", "side"))
+        sets = [np.frombuffer(x.as_buffer(), np.uint64) for x in table.column("items")]
+        size = np.array([len(x) for x in sets])
+        group: dict[int, int] = {}
+
+        def top(r):
+            while group.get(r, r) != r:
+                r = group[r]
+            return r
+
+        sides = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
+        a, b = sides if len(sides[1]) else (sides[0], sides[0])
+        maybe = (100 * np.minimum(size[a][:, None], size[b][None, :]) >= percent * np.maximum(size[a][:, None], size[b][None, :])) & (roots[a][:, None] != roots[b][None, :])
+        flat, owner = np.concatenate(sets), np.repeat(np.arange(len(sets)), size)
+        _, code, times = np.unique(flat, return_inverse=True, return_counts=True)
+        often = times[code] > 1
+        column = np.cumsum(times > 1) - 1
+        width = int(column[-1]) + 1
+        if len(sets) * width <= 30_000_000:
+            m = np.zeros((len(sets), max(width, 1)), np.float32)
+            m[owner[often], column[code[often]]] = 1
+            common = m[a] @ m[b].T
+            linked = np.argwhere(maybe & (100 * common >= percent * (size[a][:, None] + size[b][None, :] - common)))
+        else:
+            shared = lambda i, j: len(np.intersect1d(sets[a[i]], sets[b[j]], assume_unique=True))
+            linked = [(i, j) for i, j in np.argwhere(maybe) if (100 + percent) * shared(i, j) >= percent * (size[a[i]] + size[b[j]])]
+        out = []
+        for i, j in linked:
+            p, q = top(roots[a[i]]), top(roots[b[j]])
+            if p != q:
+                group[p] = q
+                out.append((ids[a[i]], ids[b[j]]))
+        return pa.table({"a": pa.array([x for x, _ in out], pa.int64()), "b": pa.array([x for _, x in out], pa.int64())})
+
+    return run
+
+
+def _rest(cells: DataFrame, labels: DataFrame, items: DataFrame, percent: int) -> DataFrame:
+    """Links among documents that share a bucket but not yet a component, exactly.
+
+    Buckets that still hold several components are tied to clusters, so that a document
+    belongs to one. The documents outside a cluster's largest component meet each other
+    and the rest in blocks of a bounded size; full sets go to block pairs, not to pairs.
+    """
+    at = labels.select(F.col("node").alias("id"), "root")
+    open_ = cells.select("id", "key").join(at, "id")
+    lead = open_.groupBy("key").agg(F.min("id").alias("lead"), F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select("key", "lead")
+    tied = components(open_.join(lead, "key").select(F.col("id").alias("a"), F.col("lead").alias("b")))
+    member = stored(tied.select(F.col("node").alias("id"), F.col("root").alias("cluster")).join(at, "id"), "mh-clusters")
+    size = member.groupBy("cluster", "root").agg(F.count("*").alias("m"))
+    main = size.groupBy("cluster").agg(F.max(F.struct("m", "root")).alias("main"), F.sum("m").alias("all"))
+    count = lambda n: F.greatest(F.ceil(n / BLOCK), F.lit(1)).cast("int")
+    one = member.join(main, "cluster").select(
+        "id", "root", "cluster", (F.col("root") == F.col("main.root")).alias("in_main"), count(F.col("main.m")).alias("km"), count(F.col("all") - F.col("main.m")).alias("kr")
+    ).withColumn("own", F.pmod(F.xxhash64("id"), F.when(F.col("in_main"), F.col("km")).otherwise(F.col("kr"))).cast("int"))
+    upto = lambda k: F.sequence(F.lit(0), F.col(k) - 1)
+    to = lambda kind, i, j, side: F.struct(F.lit(kind).alias("kind"), i.alias("i"), j.alias("j"), side.alias("side"))
+    own, zero, first = F.col("own"), F.lit(0), F.lit(1)
+    others = F.transform(upto("kr"), lambda j: to(0, F.least(own, j), F.greatest(own, j), F.when(own > j, first).otherwise(zero)))
+    outside = F.concat(others, F.transform(upto("km"), lambda j: to(1, own, j, zero)))
+    inside = F.transform(upto("kr"), lambda i: to(1, i, own, first))
+    sent = one.select("id", "root", "cluster", F.explode_outer(F.when(F.col("in_main"), inside).otherwise(outside)).alias("t")).select("id", "root", "cluster", "t.*")
+    full = sent.join(items, "id")
+    return stored(full.groupBy("cluster", "kind", "i", "j").applyInArrow(_blocks(percent), "a long, b long"), "mh-links")
+
+
 def near_duplicates(docs: DataFrame, percent: int = 80) -> DataFrame:
     """doc_id, n_shingles, component_id, kept for every row of docs.
 
@@ -184,14 +258,7 @@ def near_duplicates(docs: DataFrame, percent: int = 80) -> DataFrame:
         met = labelled.join(lead, "key").where(F.col("root") != F.col("lead.root")).select(F.col("id").alias("b"), F.col("lead.id").alias("a"), F.col("packed").alias("q"), F.col("lead.packed").alias("p"), F.col("n").alias("nq"), F.col("lead.n").alias("np"))
         labels = merged(labels, confirmed(met.where(could("p", "q", "np", "nq")).select("a", "b").distinct()))
 
-    labelled = cells.join(labels.select(F.col("node").alias("id"), "root"), "id")
-    size = labelled.groupBy("key", "root").agg(F.count("*").alias("m"))
-    main = size.groupBy("key").agg(F.max(F.struct("m", "root"))["root"].alias("main"), F.count("*").alias("k")).where("k > 1").select("key", "main")
-    split = stored(labelled.join(main, "key"), "mh-split")
-    x, y = split.where("root <> main").alias("x"), split.alias("y")
-    apart = (F.col("x.root") != F.col("y.root")) & ((F.col("y.root") == F.col("y.main")) | (F.col("x.id") < F.col("y.id")))
-    pairs = x.join(y, (F.col("x.key") == F.col("y.key")) & apart & could("x.packed", "y.packed", "x.n", "y.n")).select(F.least("x.id", "y.id").alias("a"), F.greatest("x.id", "y.id").alias("b")).distinct()
-    labels = merged(labels, confirmed(pairs))
+    labels = merged(labels, _rest(cells, labels, items, percent))
 
     smallest = labels.groupBy("root").agg(F.min("node").alias("component_id"))
     of_class = classes.select("f1", "f2", "id").join(labels.select(F.col("node").alias("id"), "root"), "id").join(smallest, "root").select("f1", "f2", "component_id")
