@@ -1,0 +1,364 @@
+import math
+import random
+import re
+import zlib
+from collections import Counter, defaultdict
+
+import pytest
+from pyspark.sql import functions as F
+
+SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
+
+
+def docs(spark, texts, ids=None):
+    rows = [(i if ids is None else ids[i], t, "en", "s", len(t or "")) for i, t in enumerate(texts)]
+    return spark.createDataFrame(rows, SCHEMA)
+
+
+def words(rng, n, size=400):
+    return [f"w{rng.randrange(size)}x{rng.randrange(9)}" for _ in range(n)]
+
+
+# --- 1: top-k ---------------------------------------------------------------------
+
+
+def test_top_k_equals_brute_force_with_ties_and_odd_rows(spark):
+    from pairmatch.llm.topk_impact import quantise, top_k_inner_product
+
+    rng = random.Random(1)
+    rows = [(i, [round(rng.gauss(0, 1), 2) for _ in range(6)]) for i in range(300)] + [(300, [1.0] * 6), (301, [1.0] * 6), (302, [1.0] * 3), (303, None), (304, [float("nan")] * 6), (305, [None, 1.0]), (None, [1.0] * 6), (400, [float("inf")] * 6)]
+    v = quantise(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), "vec_id", "embedding")
+    got = defaultdict(list)
+    for r in top_k_inner_product(v, v.where("vec_id % 100 = 0"), 10, vector_block=64, query_block=2).orderBy("query_id", "rank").collect():
+        got[r.query_id].append((r.vec_id, r.score))
+    held = {i: [math.floor(1024 * x) for x in e] for i, e in rows if i is not None and i <= 302}
+    dot = lambda a, b: sum(x * y for x, y in zip(a, b))
+    for q in (0, 100, 200, 300):
+        want = sorted(((-dot(held[q], e), i) for i, e in held.items() if i != q))[:10]
+        assert got[q] == [(i, -s) for s, i in want]
+    assert set(got) == {0, 100, 200, 300}
+    empty = v.where("false")
+    assert top_k_inner_product(empty, empty).count() == 0
+    assert top_k_inner_product(v.where("vec_id < 3"), v.where("vec_id = 0")).count() == 2
+
+
+# --- 2: secrets -------------------------------------------------------------------
+
+
+def test_secrets_found_and_lures_left(spark):
+    from pairmatch.llm.secret_forest import candidates, find_secrets
+
+    rng = random.Random(2)
+    hexes = lambda n: "".join(rng.choice("0123456789abcdef") for _ in range(n))
+    caps = lambda n: "".join(rng.choice("ABCDEFGHJKLMNPQRSTUVWXYZ23456789") for _ in range(n))
+    good = [f"the words AKIA{caps(15)}7 here" for _ in range(30)] + [f'set token = "1{hexes(39)}" now' for _ in range(30)] + [f"password=9{hexes(17)}" for _ in range(30)]
+    bad = [f"call {rng.randrange(10**15, 10**16)} or mail a.very.long.name{i}@example.com" for i in range(90)]
+    d = docs(spark, [*good, *bad, None, "", "no digits at all in this one"])
+    got = {r.doc_id for r in find_secrets(d, trees=8, depth=4).where("score >= 0.5").collect()}
+    assert got == set(range(90))
+    assert candidates(docs(spark, [None, ""])).count() == 0
+    assert find_secrets(docs(spark, ["plain"])).count() == 0
+
+
+# --- 3: packing -------------------------------------------------------------------
+
+
+def test_plan_uses_every_piece_once_and_is_tight():
+    from pairmatch.llm.packing import pack_lengths
+
+    rng = random.Random(3)
+    for cap, n in ((16, 40), (64, 500), (2048, 3000)):
+        c = Counter(min(cap, int(rng.lognormvariate(math.log(cap) - 1.5, 1)) + 1) for _ in range(n))
+        plan, used = pack_lengths(c, cap), Counter()
+        for use, times in plan:
+            assert times > 0 and sum(a * b for a, b in use.items()) <= cap
+            for a, b in use.items():
+                used[a] += b * times
+        assert used == c
+        least = -(-sum(a * b for a, b in c.items()) // cap)
+        assert sum(t for _, t in plan) <= max(least + 1, 1.02 * least)
+    assert pack_lengths({}, 8) == [] and pack_lengths({8: 3}, 8) == [({8: 1}, 3)]
+
+
+def test_packed_documents_have_the_tokenizer_s_ids(spark):
+    import numpy as np
+    from tokenizers import Tokenizer
+
+    from pairmatch.llm.packing import pack_documents, tokenizer_path
+
+    rng = random.Random(4)
+    texts = [" ".join(words(rng, rng.randrange(1, 60))) for _ in range(60)] + [None, "", "Ärger, Über! 'twas don't 42", " ".join(words(rng, 2500)), "x\ty\r\nz <|endoftext|>"] + ["same text here."] * 30
+    d = docs(spark, texts)
+    rows = pack_documents(d, 256).collect()
+    tok = Tokenizer.from_file(tokenizer_path())
+    by, seq = defaultdict(list), defaultdict(list)
+    for r in rows:
+        by[r.doc_id].append(r)
+        seq[r.sequence_id].append((r.offset, r.length))
+    for i, t in enumerate(texts):
+        ids = [*tok.encode(t or "", add_special_tokens=False).ids, 0]
+        for k, r in enumerate(sorted(by[i], key=lambda r: r.piece)):
+            part = np.array(ids[k * 256 : (k + 1) * 256], "<u4")
+            assert (r.piece, r.start, r.length, r.ids_crc32) == (k, 256 * k, len(part), zlib.crc32(part.tobytes()))
+        assert sum(r.length for r in by[i]) == len(ids)
+    for places in seq.values():
+        at = 0
+        for offset, length in sorted(places):
+            assert offset == at
+            at += length
+        assert at <= 256
+    assert pack_documents(docs(spark, []), 256).count() == 0
+
+
+def test_words_straight_to_the_merges_equal_the_whole_tokenizer():
+    import numpy as np
+
+    from pairmatch.llm.packing import ChunkIds, tokenizer_path
+
+    table = ChunkIds(tokenizer_path())
+    for t in ("Straße", "ÑANDÚ,", "l'été", "ªº µ", "don't.", "a.b", "naïve!?", "3rd", "x́y", "ÿ", "É", "İstanbul", "ßß", "«q»", "ＡＢ"):
+        assert np.frombuffer(table.text(t), "<u4").tolist() == table.tokenizer.encode(t, add_special_tokens=False).ids, t
+
+
+# --- 4: decontamination -------------------------------------------------------------
+
+
+@pytest.mark.parametrize("limit", [60_000, 0])
+def test_leaks_with_changed_tokens_are_found_on_either_path(spark, limit):
+    from pairmatch.llm.decontaminate import clean_of, overlaps
+
+    rng = random.Random(5)
+    items = [words(rng, n) for n in (30, 20, 14, 5, 2)]
+    bench = spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(items)] + [(9, None)], "item_id long, text string")
+    prose = lambda: words(random.Random(rng.random()), 60, 5000)
+    changed = list(items[0])
+    for k in (7, 15, 23):
+        changed[k] = "other"
+    short = items[1][:10] + ["put", "in"] + items[1][10:]
+    texts = [prose(), prose() + items[0] + prose(), prose() + changed, items[2], prose() + short, prose() + items[0][:12], prose() + items[3], None, []]
+    d = docs(spark, [t if t is None else ("Z. " + " ".join(t)).upper() for t in texts])
+    got = {(r.doc_id, r.item_id): r.matched for r in overlaps(d, bench, set_limit=limit).collect()}
+    assert got == {(1, 0): 30, (2, 0): 27, (3, 2): 14, (4, 1): 20, (6, 3): 5}
+    if limit:
+        kept = clean_of(d.unionByName(d), bench)
+        assert kept.columns == d.columns and sorted(r.doc_id for r in kept.collect()) == sorted([0, 5, 7, 8] * 2)
+        assert overlaps(d, bench.where("false")).count() == 0 and clean_of(docs(spark, []), bench).count() == 0
+
+
+# --- 5, 7: learned scores -----------------------------------------------------------
+
+
+def test_quality_separates_held_out_texts(spark):
+    from pairmatch.llm.quality_zstd import quality_scores
+
+    rng = random.Random(6)
+    good = lambda: " ".join(rng.choice(["the", "ship", "sailed", "over", "calm", "green", "water", "while", "birds"]) for _ in range(80))
+    bad = lambda: " ".join(rng.choice(["BUY!!", "NOW!!", "$$$", "###", "CLICK!!"]) for _ in range(80))
+    d = docs(spark, [good() if i % 3 else bad() for i in range(240)] + [None, ""])
+    labels = spark.createDataFrame([(i, int(i % 3 > 0), 0) for i in range(120)] + [(5, None, 0), (None, 1, 0), (999, 1, 1)], "doc_id long, quality int, toxic int")
+    s = {r.doc_id: r.score for r in quality_scores(d, labels, F.col("doc_id") < 120).collect()}
+    assert len(s) == 242 and all(0 <= x <= 1 for x in s.values())
+    assert all((s[i] >= 0.7) == (i % 3 > 0) for i in range(120, 240))
+    assert quality_scores(d, labels.where("false"), F.lit(True)).count() == 242
+
+
+def test_toxicity_folds_and_spares_exceptions(spark):
+    from pairmatch.llm.toxic_lexicon import Lexicon, clean_documents, fold, learn_lexicon, score_documents
+
+    rng = random.Random(7)
+    text = lambda bad: " ".join([*words(rng, 40), *(["grobian", "miststück"] if bad else []), *words(rng, 20)])
+    lex = learn_lexicon([(text(i % 4 == 0), int(i % 4 == 0)) for i in range(200)])
+    assert set(lex.weights) == {"grobian", "miststück"}
+    d = docs(spark, [text(True), "you gr0bi@n, and a MISTSTÜCK, and GROBIАN", text(False), None, "", "x"])
+    s = [r.score for r in score_documents(d, lex).orderBy("doc_id").collect()]
+    assert [x >= 0.7 for x in s] == [True, True, False, False, False, False]
+    kept = clean_documents(d, lex)
+    assert kept.columns == d.columns and sorted(r.doc_id for r in kept.collect()) == [2, 3, 4, 5]
+    spared = Lexicon({"grobian": 5.0}, ("der grobian film",))
+    a = spared.automaton()
+    assert spared.found(fold("der Grobian Film"), a) == 0 and spared.found(fold("ein Grobian"), a) == 5.0
+    assert Lexicon({}).automaton() is None and score_documents(docs(spark, []), lex).count() == 0
+
+
+# --- 6: near duplicates -------------------------------------------------------------
+
+
+def brute_components(texts, percent):
+    sets = {}
+    for i, t in texts.items():
+        w = re.findall(rb"[^\x20\x09-\x0D]+", (t or "").encode().lower())
+        sets[i] = {tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))} if w else set()
+    root = {i: i for i in sets}
+
+    def top(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for i in sets:
+        for j in sets:
+            if i < j and sets[i] and sets[j]:
+                n = len(sets[i] & sets[j])
+                if 100 * n >= percent * (len(sets[i]) + len(sets[j]) - n):
+                    a, b = top(i), top(j)
+                    root[max(a, b)] = min(a, b)
+    return {i: top(i) for i in sets}, {i: len(s) for i, s in sets.items()}
+
+
+def test_near_duplicates_equal_brute_force(spark):
+    from pairmatch.llm.minhash_bbit import near_duplicates, one_of_each
+
+    rng = random.Random(8)
+    base, texts = words(rng, 120), []
+    for k in range(90):
+        t = list(base)
+        for _ in range(k % 7):
+            t[rng.randrange(120)] = f"e{rng.random()}"
+        texts.append(" ".join(t))
+    texts += [" ".join(words(rng, 50)) for _ in range(20)] + ["a b", "A  b", "a", None, "", "  ", texts[3].upper()]
+    d = docs(spark, texts)
+    root, size = brute_components(dict(enumerate(texts)), 85)
+    got = {r.doc_id: (r.n_shingles, r.component_id, r.kept) for r in near_duplicates(d, 85).collect()}
+    assert got == {i: (size[i], root[i], root[i] == i) for i in root}
+    kept = one_of_each(d.withColumn("id", F.lit(1)).withColumn("root", F.lit("x")), 85)
+    assert kept.columns[-2:] == ["id", "root"] and sorted(r.doc_id for r in kept.collect()) == sorted(i for i in root if root[i] == i)
+    odd = docs(spark, ["a b c d e f"] * 3, [7, 7, None])
+    assert sorted((r.doc_id is None, r.component_id, r.kept) for r in near_duplicates(odd).collect()) == [(False, 7, True), (False, 7, True), (True, None, True)]
+    assert near_duplicates(docs(spark, [])).count() == 0
+
+
+def test_components_of_paths_and_stars(spark):
+    from pairmatch.llm.components import components
+
+    rng = random.Random(9)
+    path = [(i, i + 1) for i in range(60)]
+    star = [(100, 101 + i) for i in range(30)]
+    links = path + star + [(500, 501), (501, 500), (7, 7)]
+    rng.shuffle(links)
+    got = defaultdict(set)
+    for r in components(spark.createDataFrame(links, "a long, b long")).collect():
+        got[r.root].add(r.node)
+    assert sorted(map(sorted, got.values())) == [list(range(61)), list(range(100, 131)), [500, 501]]
+
+
+# --- 8: language model ---------------------------------------------------------------
+
+
+def test_ppm_equals_brute_force(spark):
+    from pairmatch.llm.ppm_lm import ORDER, score_documents
+
+    rng = random.Random(10)
+    texts = [" ".join(words(rng, rng.randrange(1, 30), 20)) for _ in range(40)] + [None, "", "Ünseen ★", "A a"]
+    d = docs(spark, texts)
+    got = {r.doc_id: r for r in score_documents(d, F.col("doc_id") % 7 != 2).collect()}
+    counts, seen, n_docs = [defaultdict(Counter) for _ in range(ORDER + 1)], Counter(), 0
+    for i, t in enumerate(texts):
+        if i % 7 != 2:
+            b = (t or "").encode().lower()
+            n_docs += 1
+            seen.update(b.split())
+            s = b"\0" * ORDER + b + b"\0"
+            for p in range(ORDER, len(s)):
+                for j in range(ORDER + 1):
+                    counts[j][s[p - j : p]][s[p]] += 1
+
+    def log10_p(ctx, sym):
+        out, shut = 0.0, set()
+        for j in range(ORDER, -1, -1):
+            c = counts[j].get(ctx[ORDER - j :], {})
+            left = {x: n for x, n in c.items() if x not in shut}
+            if sym in left:
+                return out + math.log10(left[sym] / (sum(left.values()) + len(left)))
+            if left:
+                out += math.log10(len(left) / (sum(left.values()) + len(left)))
+            shut |= set(c)
+        return out - math.log10(256 - len(shut))
+
+    n, v = sum(seen.values()) + n_docs, len(seen) + 1
+    for i, t in enumerate(texts):
+        b = (t or "").encode().lower()
+        s = b"\0" * ORDER + b + b"\0"
+        w = b.split()
+        base = sum(math.log10((seen[x] + 1) / (n + v + 1)) for x in w) + math.log10((n_docs + 1) / (n + v + 1))
+        r = got[i]
+        assert (r.n_tokens, r.n_known, r.train_tokens) == (len(w) + 1, sum(x in seen for x in w) + 1, n)
+        assert abs(r.base_score - base) < 1e-6 and abs(r.score - sum(log10_p(s[p - ORDER : p], s[p]) for p in range(ORDER, len(s)))) < 1e-3
+    none = score_documents(d, F.lit(False)).where("doc_id = 41").first()
+    assert none.base_score == 0 and abs(none.score - math.log10(1 / 256)) < 1e-6
+
+
+# --- 9: archives -----------------------------------------------------------------------
+
+
+def test_archives_round_trip(spark, tmp_path):
+    import base64
+    import hashlib
+
+    from pairmatch.llm.warc_archive import capture_digest, captures, parse
+
+    html = {5: "<p>a</p>", 3: "<p>a</p>", 9: "WARC/1.1\r\nWARC-Type: response\r\n\r\nü\r\n", 1: None, 2: "", 7: "x\r\n\r\n"}
+    rows = [(i, "http://e.x/" + str(i), h) for i, h in html.items()] + [(5, "http://e.x/5", "<p>a</p>"), (None, "u", "z"), (8, None, "q")]
+    d = spark.createDataFrame(rows, "page_id long, url string, html string").withColumn("digest", F.lit(1))
+    found = captures(d, str(tmp_path / "w"))
+    got = {r.page_id: r for r in capture_digest(found).collect()}
+    assert set(got) == {1, 2, 3, 5, 7, 8, 9} and found.count() == 7
+    sha = lambda t: base64.b32encode(hashlib.sha1((t or "").encode()).digest()).decode()
+    for i, h in (html | {8: "q"}).items():
+        assert (got[i].payload_bytes, got[i].payload_digest) == (len((h or "").encode()), sha(h))
+    assert {i: r.refers_to for i, r in got.items() if r.record_type == "revisit"} == {5: 3, 2: 1}
+    one = found.where("response.uri = 'http://e.x/9'").first()
+    assert one.response.payload.decode() == html[9] and b"GET http" in one.request.block and b"page-id: 9" in one.metadata.block
+    assert list(parse(b"WARC/1.1\r\nContent-Length: 9\r\n\r\nabc")) == []
+    assert captures(d.where("false"), str(tmp_path / "e")).count() == 0
+
+
+# --- 10: lines ---------------------------------------------------------------------------
+
+
+def edit(a, b):
+    row = list(range(len(b) + 1))
+    for i, c in enumerate(a, 1):
+        new = [i]
+        for j, e in enumerate(b, 1):
+            new.append(min(row[j] + 1, new[-1] + 1, row[j - 1] + (c != e)))
+        row = new
+    return row[-1]
+
+
+def test_lines_within_two_edits_go(spark):
+    from pairmatch.llm.line_dedup import duplicate_lines, without_duplicate_lines
+
+    rng = random.Random(11)
+    base = [" ".join(words(rng, 9)) for _ in range(12)]
+    lines = []
+    for k in range(90):
+        t = list(rng.choice(base))
+        for _ in range(rng.randrange(5)):
+            at = rng.randrange(len(t))
+            t[at : at + rng.randrange(2)] = rng.choice(["z", "ü", "", "qq"])
+        lines.append("".join(t))
+    texts = ["\n".join([*lines[i : i + 3], "short", f"only here {i} " + " ".join(words(rng, 6))]) for i in range(0, 90, 3)] + [None, "", lines[0]]
+    d = docs(spark, texts)
+    first, places = {}, []
+    for i, t in enumerate(texts):
+        for k, line in enumerate((t or "").split("\n") if t is not None else []):
+            n = line.lower().strip(" ")
+            if len(n) >= 30:
+                places.append((i, k, n))
+                first.setdefault(n, (i, k))
+    want = {}
+    for i, k, n in places:
+        near = [(p, edit(n, m)) for m, p in first.items() if m != n and p < first[n] and abs(len(m) - len(n)) <= 2 and edit(n, m) <= 2]
+        if first[n] != (i, k):
+            want[i, k] = (*first[n], 0)
+        elif near:
+            p, e = min(near)
+            want[i, k] = (*p, e)
+    got = {(r.doc, r.line_no): (r.of_doc, r.of_line_no, r.edits) for r in duplicate_lines(d).collect()}
+    assert got == want and any(v[2] for v in want.values())
+    out = {r.doc_id: r for r in without_duplicate_lines(d.withColumn("h", F.lit(1)).withColumn("norm", F.lit(2))).collect()}
+    assert len(out) == len(texts) and out[30].text is None and out[31].text == "" and out[32].text == lines[0]
+    for i in range(30):
+        left = "\n".join(x for k, x in enumerate(texts[i].split("\n")) if (i, k) not in want)
+        assert out[i].text == left and out[i].n_chars == len(left)
+    assert duplicate_lines(docs(spark, [])).count() == 0
