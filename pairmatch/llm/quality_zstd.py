@@ -15,12 +15,15 @@ score is constant.
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, functions as F
 
 from pairmatch.llm.common import fit_logistic, sigmoid, stored
 
 CHUNK = 2048
-DICTIONARY = 64 * 1024
+DICTIONARY = 110 * 1024
+SHRINK = 128  # bytes added to a text's length, so that short texts need more evidence
 LEVEL = 3
 
 
@@ -49,11 +52,11 @@ class TwoDictionaries:
 
     @staticmethod
     def difference(data: bytes, good, bad) -> float:
-        """Bytes saved per byte by the good dictionary over the bad one."""
+        """Bytes saved by the good dictionary over the bad one, by the text's length."""
         if not data:
             return 0.0
         parts = chunks(data)
-        return (sum(len(bad.compress(p)) for p in parts) - sum(len(good.compress(p)) for p in parts)) / len(data)
+        return (sum(len(bad.compress(p)) for p in parts) - sum(len(good.compress(p)) for p in parts)) / (len(data) + SHRINK)
 
     def score(self, difference):
         return sigmoid(self.weight * difference + self.bias)
@@ -69,7 +72,8 @@ def _train(texts: list[str]) -> bytes:
         return b"".join(parts)[-DICTIONARY:] or b"\0" * 8
 
 
-def fit(sample: list) -> TwoDictionaries:
+def fit(sample: list, odds: float = 1.0) -> TwoDictionaries:
+    """odds: how many rows of label 1 there are for one of label 0, beyond the sample."""
     import numpy as np
 
     by = {y: [t for t, v in sample if v == y] for y in (0, 1)}
@@ -80,6 +84,8 @@ def fit(sample: list) -> TwoDictionaries:
     x = np.array([model.difference(t.encode(), good, bad) for t, _ in held])
     w, model.bias = fit_logistic(x, np.array([y for _, y in held])) if held else (np.zeros(1), 0.0)
     model.weight = float(w[0])
+    if model.weight:
+        model.bias += math.log(odds)
     return model
 
 
@@ -98,5 +104,7 @@ def score_documents(docs: DataFrame, model: TwoDictionaries) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, difference double, score double")
 
 
-def quality_scores(docs: DataFrame, labels: DataFrame, learn: Column, per_class: int = 2000, sample_bytes: int = 8192) -> DataFrame:
-    return score_documents(docs, fit(labelled_sample(docs, labels, "quality", learn, per_class, sample_bytes)))
+def quality_scores(docs: DataFrame, labels: DataFrame, learn: Column, per_class: int = 4000, sample_bytes: int = 8192) -> DataFrame:
+    n = labels.where(learn).agg(F.count_if(F.col("quality") == 1).alias("good"), F.count_if(F.col("quality") == 0).alias("bad")).first()
+    odds = n["good"] / n["bad"] if n["good"] and n["bad"] else 1.0
+    return score_documents(docs, fit(labelled_sample(docs, labels, "quality", learn, per_class, sample_bytes), odds))
