@@ -27,10 +27,11 @@ from pyspark.sql import DataFrame, functions as F
 
 from pairmatch.llm.common import stored
 
-ORDER = 5
-BLOCK_BYTES = 40_000_000
-FLUSH_BYTES = 6_000_000
-FLUSH_WORDS = 300_000
+ORDER = 4
+BLOCK_BYTES = 24_000_000
+FLUSH_BYTES = 1_000_000
+MERGE_CODES = 4_000_000
+FLUSH_WORDS = 600_000
 MASK = [(1 << 8 * (j + 1)) - 1 for j in range(ORDER + 1)]
 
 
@@ -39,18 +40,29 @@ def clean(text: str | None) -> bytes:
 
 
 def grams(texts: list[bytes]):
-    """Codes of (context, byte) at every position of the texts, and where each text's begin."""
+    """Codes of (context, byte) at every place of the texts, -1 where a text's pads are; and where each text begins."""
     import numpy as np
 
-    sizes = np.array([len(t) + 1 for t in texts], np.int64)
-    a = np.frombuffer(b"".join([b"\0" * ORDER + t + b"\0" for t in texts]), np.uint8)
-    code = np.zeros(len(a), np.int64)
-    for j in range(ORDER + 1):
-        code[ORDER:] = (code[ORDER:] << 8) | a[j : len(a) - ORDER + j]
+    sizes = np.array([len(t) + 1 + ORDER for t in texts], np.int64)
+    raw = b"\0" * ORDER + (b"\0" + b"\0" * ORDER).join(texts) + b"\0" * 8
+    n = int(sizes.sum()) - ORDER
+    code = np.ndarray((n,), ">u8", raw, 0, (1,)).astype(np.int64)
+    code >>= 8 * (7 - ORDER)
+    code &= MASK[ORDER]
     starts = np.r_[0, np.cumsum(sizes)[:-1]]
-    keep = np.ones(len(a), bool)
-    keep[((starts + ORDER * np.arange(len(texts)))[:, None] + np.arange(ORDER)[None, :]).ravel()] = False
-    return code[keep], starts
+    pads = (starts[1:, None] - 1 - np.arange(ORDER)[None, :]).ravel()
+    code[pads] = -1
+    return code, starts
+
+
+def distinct(code, counts: bool = False):
+    """Distinct codes without the pads' mark."""
+    import numpy as np
+
+    found = np.unique(code, return_counts=counts)
+    keys = found[0] if counts else found
+    skip = int(len(keys) > 0 and keys[0] == -1)
+    return (keys[skip:], found[1][skip:]) if counts else keys[skip:]
 
 
 def merge(parts: list):
@@ -73,7 +85,9 @@ def _count_grams(batches):
     def flush():
         nonlocal parts, texts, size
         if texts:
-            parts = [merge([*parts, np.unique(grams(texts)[0], return_counts=True)])]
+            parts.append(distinct(grams(texts)[0], True))
+            if sum(len(p[0]) for p in parts) > MERGE_CODES:
+                parts = [merge(parts)]
         texts, size = [], 0
 
     for batch in batches:
@@ -161,14 +175,16 @@ def _asks(key, table):
     for i in range(len(col) + 1):
         if i == len(col) or size > FLUSH_BYTES:
             if texts:
-                parts = [np.unique(np.concatenate([*parts, np.unique(grams(texts)[0])]))]
+                parts.append(distinct(grams(texts)[0]))
+                if i == len(col) or sum(map(len, parts)) > MERGE_CODES:
+                    parts = [np.unique(np.concatenate(parts))]
             texts, size = [], 0
         if i < len(col):
             raw = (col[i].as_py() or "").encode("utf-8", "replace").lower()
             words.update(raw.split())
             texts.append(raw.replace(b"\0", b"\1"))
             size += len(raw) + 64
-    g = parts[0] if parts else np.zeros(0, np.int64)
+    g = np.unique(np.concatenate(parts)) if parts else np.zeros(0, np.int64)
     w = sorted(words)
     block = pa.array([key[0].as_py()] * (len(g) + len(w)), pa.int32())
     return pa.table({"block": block, "g": pa.concat_arrays([pa.array(g, pa.int64()), pa.nulls(len(w), pa.int64())]), "word": pa.concat_arrays([pa.nulls(len(g), pa.string()), pa.array([x.decode() for x in w], pa.string())])})
@@ -196,8 +212,10 @@ class Lookup:
 
         at = self.slot[self._hash(q)]
         miss = np.flatnonzero(self.keys[at] != q)
-        at[miss] = np.searchsorted(self.keys, q[miss])
-        return self.values[at]
+        at[miss] = np.minimum(np.searchsorted(self.keys, q[miss]), len(self.keys) - 1)
+        out = self.values[at]
+        out[q < 0] = 0.0  # pads
+        return out
 
 
 def _score_block(end_log: float, log_all: float):
