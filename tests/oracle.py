@@ -1,6 +1,7 @@
 """Runs a query and its SQL twin and compares their rows."""
 
 import duckdb
+import pandas as pd
 
 SF = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
@@ -15,7 +16,7 @@ def connection(d=SF):
 
 def rows(pdf):
     pdf = pdf[sorted(pdf.columns)]
-    clean = lambda x: None if x is None or x != x else (float(x) if isinstance(x, float) else (int(x) if hasattr(x, "item") and not isinstance(x, str) else x))
+    clean = lambda x: None if pd.isna(x) else (float(x) if isinstance(x, float) else (int(x) if hasattr(x, "item") and not isinstance(x, str) else x))
     return sorted((tuple(clean(x) for x in r) for r in pdf.astype(object).itertuples(index=False)), key=repr)
 
 
