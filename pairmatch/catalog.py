@@ -146,8 +146,9 @@ def count_pretext(spark, d):
 
 def word_probabilities(spark, d):
     ev, lab, _, pre = setting(spark, d, "w1")
-    p = K.tuned(pre, lab).word_probabilities()
-    return ev.select("pair_id", *[F.round(x, 6).alias(f"p_{w}") for w, x in zip(K.WORDS, p, strict=True)])
+    e = K.tuned(pre, lab).with_words(ev)
+    total = sum((F.col("word_e")[i] for i in range(1, len(K.WORDS))), F.col("word_e")[0])
+    return e.select("pair_id", *[F.round(F.col("word_e")[i] / total, 6).alias(f"p_{w}") for i, w in enumerate(K.WORDS)])
 
 
 WORD_P_SQL = f"with {O.base('w1', 0.10)}, {O.score_cte()} select pair_id, " + ", ".join(f"round(sum(case when word = {i} then q end) / sum(q), 6) as p_{w}" for i, w in enumerate(K.WORDS)) + " from scorede group by pair_id"

@@ -86,38 +86,36 @@ class CountModel:
     prior: tuple[int, ...]
     verb: Verbalizer = Verbalizer()
 
-    def _word_scores(self, kept=None) -> list[Column]:
-        n = len(evidence_list())
+    @staticmethod
+    def _row(values) -> Column:
+        """A constant array as one small foldable expression."""
+        return F.split(F.lit(",".join(map(str, values))), ",").cast("array<bigint>")
+
+    def _scores(self, kept=None) -> Column:
+        """Micro-nat scores of all words as an array; kept(i) says whether evidence i counts."""
         out = []
         for w in range(len(WORDS)):
-            row = F.array(*[F.lit(x) for x in self.weights[w]])
-            total = F.lit(self.prior[w])
-            for i in range(n):
+            total, row = F.lit(self.prior[w]).cast("bigint"), self._row(self.weights[w])
+            for i in range(len(evidence_list())):
                 cell = F.get(row, F.col("ev")[i])
                 total = total + (cell if kept is None else F.when(kept(i), cell).otherwise(0))
             out.append(total)
-        return out
+        return F.array(*out)
 
-    def class_probability(self, kept=None) -> Column:
-        """Normalised mean probability of the yes class's words at the slot."""
-        p = self.word_probabilities(kept)
-        mean = lambda ws: sum((p[WORDS.index(w)] for w in ws[1:]), p[WORDS.index(ws[0])]) / len(ws)
+    def _yes_share(self, e: Column) -> Column:
+        mean = lambda ws: sum((e[WORDS.index(w)] for w in ws[1:]), e[WORDS.index(ws[0])]) / len(ws)
         yes, no = mean(self.verb.yes), mean(self.verb.no)
         return yes / (yes + no)
 
-    def word_probabilities(self, kept=None) -> list[Column]:
-        s = self._word_scores(kept)
-        top = F.greatest(*s)
-        e = [F.exp((x - top) / F.lit(1e6)) for x in s]
-        total = e[0]
-        for x in e[1:]:
-            total = total + x
-        return [x / total for x in e]
+    def with_words(self, df: DataFrame) -> DataFrame:
+        """Adds word_e: the words' unnormalised probabilities at the slot, the best being 1."""
+        scored = df.withColumn("_s", self._scores())
+        return scored.withColumn("word_e", F.transform("_s", lambda x: F.exp((x - F.array_max("_s")) / F.lit(1e6)))).drop("_s")
 
     def score(self, df: DataFrame) -> DataFrame:
         """Adds p_yes (rounded to 6 digits), pred and conf."""
-        p = F.round(self.class_probability(), 6)
-        return df.withColumn("p_yes", p).withColumn("pred", (F.col("p_yes") > 0.5).cast("int")).withColumn("conf", F.greatest("p_yes", F.round(1 - F.col("p_yes"), 6)))
+        p = self.with_words(df).withColumn("p_yes", F.round(self._yes_share(F.col("word_e")), 6)).drop("word_e")
+        return p.withColumn("pred", (F.col("p_yes") > 0.5).cast("int")).withColumn("conf", F.greatest("p_yes", F.round(1 - F.col("p_yes"), 6)))
 
     def passes(self, df: DataFrame, n: int = PASSES, seed: int = 0) -> DataFrame:
         """Adds p_passes: P(yes) with evidence tokens left out at random, n times.
@@ -125,26 +123,12 @@ class CountModel:
         A token is left out in 5 of 16 cases, by a digit of a hash of (pair, pass), so
         results depend neither on partitions nor on retries.
         """
-        m = len(evidence_list())
-        flat = F.array(*[F.array(*[F.lit(x) for x in row]) for row in self.weights])
-        prior = F.array(*[F.lit(x) for x in self.prior])
-        digit = lambda key, i: F.conv(F.substring(key, i + 1, 1), 16, 10).cast("int")
         key = lambda k: F.md5(F.concat_ws("|", F.lit(f"drop{seed}"), F.col("pair_id"), k.cast("string")))
-        bits = df.withColumn("keys", F.transform(F.sequence(F.lit(0), F.lit(n - 1)), lambda k: F.array(*[digit(key(k), i) >= 5 for i in range(m)])))
-
-        def scores(keep: Column) -> Column:
-            return F.array(*[sum((F.when(keep[i], F.get(flat[w], F.col("ev")[i])).otherwise(0) for i in range(m)), prior[w]) for w in range(len(WORDS))])
-
-        both = bits.withColumn("scores", F.transform("keys", scores))
-        yes, no = [WORDS.index(w) for w in self.verb.yes], [WORDS.index(w) for w in self.verb.no]
-
-        def p(s: Column) -> Column:
-            top = F.array_max(s)
-            e = [F.exp((s[w] - top) / F.lit(1e6)) for w in range(len(WORDS))]
-            y, x = sum((e[i] for i in yes[1:]), e[yes[0]]) / len(yes), sum((e[i] for i in no[1:]), e[no[0]]) / len(no)
-            return F.round(y / (y + x), 6)
-
-        return both.withColumn("p_passes", F.transform("scores", p)).drop("keys", "scores")
+        digit = lambda h, i: F.conv(F.substring(h, i + 1, 1), 16, 10).cast("int")
+        hashed = df.withColumn("_h", F.transform(F.sequence(F.lit(0), F.lit(n - 1)), key))
+        scored = hashed.withColumn("_s", F.transform("_h", lambda h: self._scores(lambda i: digit(h, i) >= 5)))
+        shares = scored.withColumn("_e", F.transform("_s", lambda s: F.transform(s, lambda x: F.exp((x - F.array_max(s)) / F.lit(1e6)))))
+        return shares.withColumn("p_passes", F.transform("_e", lambda e: F.round(self._yes_share(e), 6))).drop("_h", "_s", "_e")
 
 
 def model_of(counts: DataFrame, verb: Verbalizer | None = None) -> CountModel:
