@@ -38,7 +38,7 @@ def walks(graph: DataFrame, per_node: int = 4, length: int = 8) -> DataFrame:
 
     graph = cut(graph)
     start = graph.where(~F.col("src").startswith("w:")).select("src").distinct()
-    state = start.select(F.concat("src", F.lit("#"), F.explode(F.sequence(F.lit(1), F.lit(per_node))).cast("string")).alias("walk"), F.col("src").alias("node"))
+    state = start.select("src", F.explode(F.sequence(F.lit(1), F.lit(per_node))).alias("k")).select(F.concat_ws("#", "src", "k").alias("walk"), F.col("src").alias("node"))
     out = state.withColumn("step", F.lit(0))
     for step in range(1, length):
         state = cut(walk_step(state, graph, step))
