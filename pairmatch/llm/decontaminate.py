@@ -6,7 +6,8 @@ hash is tried first, so that most places cost one hash. Where a document's seed
 of a benchmark item's, the two are laid over each other at that shift and the equal
 tokens of the whole item are counted, so that changed tokens cost no more than
 themselves; shifts of one item in one document are put together, so that a token put
-in or left out costs no more than itself either.
+in or left out costs no more than itself either, if what stands on both sides of it is
+long enough to hold a seed.
 
 The benchmark's seeds go into the plan as a set while they are at most SET_LIMIT; beyond
 that documents and benchmark are joined on seeds. Only DataFrame functions are used.
@@ -61,26 +62,26 @@ def _places(rows: DataFrame, keep: list[str]) -> DataFrame:
 
 
 def _item_seeds(items: DataFrame) -> DataFrame:
-    """item_id, q, seed; a short item has the hash of its first tokens alone."""
+    """item_id, q, m, seed; a short item has the hash of its first tokens alone, as mask -1."""
     each = ", ".join(f"if({_fits(m, 'q')}, {_seed(m, 'q')}, null)" for m in range(len(MASKS)))
-    seeds = _places(items, ["item_id"]).select("item_id", "q", F.expr(f"explode_outer(filter(array({each}), s -> s is not null))").alias("seed")).where("seed is not null")
-    short = items.where(F.size("t") < max(map(len, MASKS))).select("item_id", F.lit(0).alias("q"), F.expr(_anchor("0")).alias("seed"))
+    seeds = _places(items, ["item_id"]).select("item_id", "q", F.expr(f"posexplode_outer(array({each}))").alias("m", "seed")).where("seed is not null")
+    short = items.where(F.size("t") < max(map(len, MASKS))).select("item_id", F.lit(0).alias("q"), F.lit(-1).alias("m"), F.expr(_anchor("0")).alias("seed"))
     return seeds.unionByName(short).distinct()
 
 
-def _doc_seeds(docs: DataFrame, anchors: set[int] | None, seeds: set[int] | None) -> DataFrame:
-    """Documents' places and seeds; with sets, only those that the benchmark has, tokens kept."""
+def _doc_seeds(docs: DataFrame, anchors: set[int] | None, seeds: dict[int, set[int]] | None) -> DataFrame:
+    """Documents' places and seeds; with sets (by mask), only those that the benchmark has, tokens kept."""
+    each = ", ".join([f"if({_fits(m, 'q')}, {_seed(m, 'q')}, null)" for m in range(len(MASKS))] + [_anchor("q")])
+    of_place = F.expr(f"explode_outer(filter(array({each}), s -> s is not null))").alias("seed")
     if anchors is None:
-        each = ", ".join([f"if({_fits(m, 'q')}, {_seed(m, 'q')}, null)" for m in range(len(MASKS))] + [_anchor("q")])
-        return _places(docs, ["doc_id", "th"]).select("doc_id", "th", "q", F.expr(f"explode_outer(filter(array({each}), s -> s is not null))").alias("seed")).where("seed is not null")
-    listed = lambda s: "(" + ",".join(map(str, sorted(s))) + ")"
-    some = " or ".join([f"({_fits(m, 'i')} and {_seed(m, 'i')} in {listed(seeds)})" for m in range(len(MASKS))] + [f"{_anchor('i')} in {listed(seeds)}"])
+        return _places(docs, ["doc_id", "th"]).select("doc_id", "th", "q", of_place).where("seed is not null")
+    listed = lambda s: "(" + ",".join(map(str, sorted(s) or [0])) + ")"
+    some = " or ".join([f"({_fits(m, 'i')} and {_seed(m, 'i')} in {listed(seeds.get(m, ()))})" for m in range(len(MASKS))] + [f"{_anchor('i')} in {listed(seeds.get(-1, ()))}"])
     # outer explodes and no condition on a computed column: else the optimizer puts size(column) > 0,
     # with the column's whole expression inside the lambda, below the projection
     hit = f"if(size(t) >= {ANCHOR}, filter(sequence(0, size(t) - {ANCHOR}), i -> {_anchor('i')} in {listed(anchors)} and ({some})), array())"
     held = docs.withColumn("at", F.expr(hit))
-    each = ", ".join([f"if({_fits(m, 'q')}, {_seed(m, 'q')}, null)" for m in range(len(MASKS))] + [_anchor("q")])
-    return held.select("doc_id", "th", "t", F.explode_outer("at").alias("q")).where("q is not null").select("doc_id", "th", "t", "q", F.expr(f"explode_outer(filter(array({each}), s -> s is not null))").alias("seed")).where("seed is not null")
+    return held.select("doc_id", "th", "t", F.explode_outer("at").alias("q")).where("q is not null").select("doc_id", "th", "t", "q", of_place).where("seed is not null")
 
 
 def overlaps(docs: DataFrame, bench: DataFrame, share: float = SHARE, set_limit: int = SET_LIMIT) -> DataFrame:
@@ -90,14 +91,14 @@ def overlaps(docs: DataFrame, bench: DataFrame, share: float = SHARE, set_limit:
     d = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("th"), tokens(F.col("text")).alias("t"))
     few = seeds.select("seed").distinct().limit(set_limit + 1).count() <= set_limit
     if few:
-        known = {r[0] for r in seeds.select("seed").distinct().collect()}  # at most set_limit
+        known: dict[int, set[int]] = {}
+        for r in seeds.select("m", "seed").distinct().collect():  # at most set_limit
+            known.setdefault(r["m"], set()).add(r["seed"])
         anchors = {r[0] for r in _places(items, ["item_id"]).select(F.expr(_anchor("q"))).distinct().collect()}
-        if not known:
-            known = anchors = {0}
-        found = _doc_seeds(d, anchors, known).join(seeds.withColumnRenamed("q", "at"), "seed")
+        found = _doc_seeds(d, anchors, known).join(seeds.select("item_id", "seed", F.col("q").alias("at")), "seed")
         met = found.select("doc_id", "th", "t", "item_id", (F.col("q") - F.col("at")).alias("shift")).dropDuplicates(["doc_id", "th", "item_id", "shift"])
     else:
-        found = _doc_seeds(d, None, None).join(seeds.withColumnRenamed("q", "at"), "seed")
+        found = _doc_seeds(d, None, None).join(seeds.select("item_id", "seed", F.col("q").alias("at")), "seed")
         shifts = found.select("doc_id", "th", "item_id", (F.col("q") - F.col("at")).alias("shift")).distinct()
         met = shifts.join(d.dropDuplicates(["doc_id", "th"]).withColumnRenamed("doc_id", "own"), ["th"]).where(F.col("own").eqNullSafe(F.col("doc_id"))).drop("own")
     laid = met.join(items.withColumnRenamed("t", "b"), "item_id").select(

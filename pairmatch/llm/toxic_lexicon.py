@@ -106,10 +106,18 @@ def learn_lexicon(sample: list, exceptions: tuple[str, ...] = (), precision: flo
             folded.append((f, y))
         heads |= ends
     size = Counter(y for _, y in folded)
-    seen: dict[int, Counter] = {0: Counter(), 1: Counter()}
-    for t, y in folded:
-        seen[y].update({w[:n] for w in set(t.split()) for n in range(SHORTEST, min(len(w), LONGEST) + 1)})
     least = max(support, 0.02 * size[1])
+    seen: dict[int, Counter] = {0: Counter(), 1: Counter()}
+    frequent = None  # beginnings of the last length that enough toxic documents have; only these are lengthened
+    for n in range(SHORTEST, LONGEST + 1):
+        level: dict[int, Counter] = {0: Counter(), 1: Counter()}
+        for t, y in folded:
+            level[y].update({w[:n] for w in t.split() if len(w) >= n and (frequent is None or w[: n - 1] in frequent)})
+        frequent = {w for w, k in level[1].items() if k >= least}
+        for y in (0, 1):
+            seen[y].update({w: level[y][w] for w in frequent if level[y][w]})
+        if not frequent:
+            break
     rate = lambda w, y: (seen[y][w] + (0.5 if y else 0.25)) / (size[y] + 1)
     telling = {w for w, n in seen[1].items() if n >= least and rate(w, 1) / (rate(w, 1) + rate(w, 0)) >= precision}
     longer: dict[str, list[str]] = {}
