@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, Window, functions as F
 from pairmatch.llm.common import cut
 
 SALTS = 64
-CACHE = 800_000
+CACHE = 400_000
 
 
 class ChunkIds(dict):
