@@ -1,6 +1,6 @@
 """Duplicate lines, equal or within a few edits, by segment partition.
 
-Lines are compared folded: lower case, runs of white space as one space, ends trimmed.
+Lines are compared folded: lower case, without blanks, tabs and carriage returns at the ends.
 Equal lines are found by hash. For lines within EDITS edits, a line of length l is cut
 into EDITS + 1 segments, one of which any line within so many edits has untouched, at a
 place that its length bounds. Each distinct line is indexed by (length, segment number,
@@ -27,12 +27,13 @@ from pairmatch.llm.common import stored
 
 EDITS = 2
 LEAST_CHARS = 30
-LETTERS = "etaonirs"
+LETTERS = "etno"
+RARER = "aisrhldcum"
 SMALL_ROWS = 1_000_000
 
 
 def fold(line: Column) -> Column:
-    return F.trim(F.regexp_replace(F.lower(line), r"\s+", " "))
+    return F.btrim(F.lower(line), F.lit(" \t\r"))
 
 
 def _small(df: DataFrame) -> DataFrame:
@@ -44,7 +45,7 @@ def lines(docs: DataFrame, least_chars: int = LEAST_CHARS) -> DataFrame:
     """doc (null id: the least long), th, line_no, norm, h, h2 of the lines that count."""
     doc = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63)))
     each = docs.where(F.col("text").isNotNull()).select(doc.alias("doc"), F.xxhash64("text").alias("th"), F.posexplode_outer(F.transform(F.split("text", "\n"), fold)).alias("line_no", "norm"))
-    return each.where(F.length("norm") >= least_chars).withColumn("h", F.xxhash64("norm")).withColumn("h2", F.xxhash64(F.lit(1), F.col("norm")))
+    return each.where(F.length("norm") >= least_chars).withColumns({"n": F.length("norm"), "h": F.xxhash64("norm"), "h2": F.xxhash64(F.lit(1), F.col("norm")), "sk": sketch(F.col("norm"))})
 
 
 def _segments(length: Column, edits: int) -> list[tuple[Column, Column]]:
@@ -63,20 +64,19 @@ def _key(length: Column, i: int, text: Column) -> Column:
     return F.xxhash64(length, F.lit(i), text)
 
 
-def index_keys(norm: Column, edits: int) -> Column:
-    n = F.length(norm)
+def index_keys(norm: Column, n: Column, edits: int) -> Column:
     return F.array(*[_key(n, i, norm.substr(p, s)) for i, (p, s) in enumerate(_segments(n, edits))])
 
 
-def probe_keys(norm: Column, edits: int) -> Column:
-    """The substrings, length by length, that can be an untouched segment of a line no longer."""
-    n, out = F.length(norm), []
+def probe_keys(norm: Column, n: Column, edits: int) -> Column:
+    """The substrings, length by length, that can be an untouched segment of a line no longer; not those of index_keys."""
+    out = []
     for less in range(edits + 1):
         target = n - less
         for i, (p, s) in enumerate(_segments(target, edits)):
             low = max(-i, less - (edits - i))
             high = min(i, less + (edits - i))
-            out += [_key(target, i, norm.substr(p + d, s)) for d in range(low, high + 1)]
+            out += [_key(target, i, norm.substr(p + d, s)) for d in range(low, high + 1) if less or d]
     return F.array(*out)
 
 
@@ -89,13 +89,23 @@ def sketch(norm: Column) -> Column:
     return out
 
 
-def sketch_apart(a: Column, b: Column) -> Column:
-    """Sum of differences of the counts, least way round; no edit adds more than 2."""
-    total = F.lit(0)
+def sketch_near(a: Column, b: Column, edits: int) -> Column:
+    """Whether sketches allow so many edits: an edit puts in one letter at most, and takes out one at most."""
+    more, less = F.lit(0), F.lit(0)
     for i in range(len(LETTERS)):
-        d = F.abs(F.shiftrightunsigned(a, 8 * i).bitwiseAND(127) - F.shiftrightunsigned(b, 8 * i).bitwiseAND(127))
-        total = total + F.least(d, 128 - d)
-    return total
+        d = (F.shiftrightunsigned(a, 8 * i).bitwiseAND(127) - F.shiftrightunsigned(b, 8 * i).bitwiseAND(127) + 192) % 128 - 64
+        more, less = more + F.greatest(d, F.lit(0)), less + F.greatest(-d, F.lit(0))
+    return (more <= edits) & (less <= edits)
+
+
+def letters_near(a: Column, b: Column, edits: int) -> Column:
+    """The same over RARER letters of the lines themselves."""
+    more, less = F.lit(0), F.lit(0)
+    count = lambda x, c: F.length(x) - F.length(F.replace(x, F.lit(c), F.lit("")))
+    for c in RARER:
+        d = count(a, c) - count(b, c)
+        more, less = more + F.greatest(d, F.lit(0)), less + F.greatest(-d, F.lit(0))
+    return (more <= edits) & (less <= edits)
 
 
 def within_edits(x: str, y: str, edits: int) -> Column:
@@ -121,18 +131,22 @@ def within_edits(x: str, y: str, edits: int) -> Column:
 
 def near_lines(kept: DataFrame, edits: int = EDITS) -> DataFrame:
     """kept: doc, th, line_no, norm, h, h2 of distinct lines. Returns h, h2 of the lines that go, with the earliest line near them."""
-    held = kept.select("h", "norm", sketch(F.col("norm")).alias("sk"))
-    indexed = held.select("h", "sk", F.explode(index_keys(F.col("norm"), edits)).alias("key"))
-    probes = held.select(F.col("h").alias("ph"), F.col("sk").alias("psk"), F.explode(probe_keys(F.col("norm"), edits)).alias("key"))
-    met = indexed.join(probes, (indexed["key"] == probes["key"]) & (F.col("h") != F.col("ph")) & (sketch_apart(F.col("sk"), F.col("psk")) <= 2 * edits))
+    indexed = kept.select("h", "sk", F.explode_outer(index_keys(F.col("norm"), F.col("n"), edits)).alias("key"))
+    probes = kept.select(F.col("h").alias("ph"), F.col("sk").alias("psk"), F.explode_outer(probe_keys(F.col("norm"), F.col("n"), edits)).alias("key"))
+    near = sketch_near(F.col("sk"), F.col("psk"), edits)
+    placed = indexed.join(indexed.withColumnsRenamed({"h": "ph", "sk": "psk"}), "key").where((F.col("h") < F.col("ph")) & near)
+    moved = indexed.join(probes, "key").where((F.col("h") != F.col("ph")) & near)
+    met = placed.select("h", "ph").unionByName(moved.select("h", "ph"))
     pairs = stored(met.select(F.least("h", "ph").alias("h_a"), F.greatest("h", "ph").alias("h_b")).distinct(), "line-pairs")
     wanted = stored(pairs.select(F.col("h_a").alias("h")).union(pairs.select("h_b")).distinct(), "line-wanted")
     texts = stored(kept.join(_small(wanted), "h"), "line-texts")
     side = lambda c: texts.select(*[F.col(k).alias(f"{k}_{c}") for k in ("h", "h2", "norm", "doc", "th", "line_no")])
-    both = pairs.join(side("a"), "h_a").join(side("b"), "h_b")
+    both = pairs.join(side("a"), "h_a").join(side("b"), "h_b").where(letters_near(F.col("norm_a"), F.col("norm_b"), edits))
     longer = F.length("norm_a") >= F.length("norm_b")
     cells = both.withColumn("x", F.split(F.when(longer, F.col("norm_a")).otherwise(F.col("norm_b")), "")).withColumn("y", F.split(F.when(longer, F.col("norm_b")).otherwise(F.col("norm_a")), ""))
-    near = cells.withColumn("edits", within_edits("x", "y", edits)).where(F.col("edits").isNotNull() & (F.levenshtein("norm_a", "norm_b", edits) >= 0))
+    # stored in between: the optimizer would else split the lines anew for every character
+    cells = stored(cells, "line-cells").withColumn("edits", within_edits("x", "y", edits))
+    near = stored(cells, "line-verified").where(F.col("edits").isNotNull() & (F.levenshtein("norm_a", "norm_b", edits) >= 0))
     place = lambda c: F.struct(f"doc_{c}", f"th_{c}", f"line_no_{c}")
     late = F.when(place("a") < place("b"), "b").otherwise("a")
     pick = lambda k, which: F.when(late == which, F.col(f"{k}_a")).otherwise(F.col(f"{k}_b"))
@@ -142,7 +156,7 @@ def near_lines(kept: DataFrame, edits: int = EDITS) -> DataFrame:
 
 def duplicate_lines(docs: DataFrame, edits: int = EDITS, least_chars: int = LEAST_CHARS) -> DataFrame:
     """doc, th, line_no, of_doc, of_line_no, edits of every line that goes."""
-    all_lines = lines(docs, least_chars)
+    all_lines = stored(lines(docs, least_chars), "lines")
     firsts = all_lines.groupBy("h", "h2").agg(F.min(F.struct("doc", "th", "line_no")).alias("first"), F.count("*").alias("n"))
     several = stored(firsts.where("n > 1").select("h", "h2", "first"), "line-firsts")
     own = F.struct("doc", "th", "line_no")
