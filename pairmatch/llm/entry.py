@@ -74,9 +74,9 @@ def op9_warc_transactions(spark, d):
 
 
 def op10_segment_lines(spark, d):
-    from pairmatch.llm.line_dedup import duplicate_lines
+    from pairmatch.llm.line_dedup import ANY, duplicate_lines
 
-    found = duplicate_lines(table(spark, d, "documents"))
+    found = duplicate_lines(table(spark, d, "documents"), least_chars=ANY)
     return found.select(F.col("doc").alias("doc_id"), F.col("line_no").cast("long"), F.col("of_doc").alias("of_doc_id"), F.col("of_line_no").cast("long"), F.col("edits").cast("long"))
 
 

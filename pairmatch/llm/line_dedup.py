@@ -1,9 +1,10 @@
 """Duplicate lines, equal or within a few edits, by segment partition.
 
-Lines are compared folded: lower case, without blanks, tabs and carriage returns at the ends.
-Equal lines are found by hash. For lines within EDITS edits, a line of length l is cut
-into EDITS + 1 segments, one of which any line within so many edits has untouched, at a
-place that its length bounds. Each distinct line is indexed by (length, segment number,
+Lines are compared folded: lower case, runs of white space as one space, ends trimmed.
+Equal lines of any length are found by hash. Near lines may differ by one edit for each
+CHARS_AN_EDIT characters of the shorter one, and by EDITS at most. A line of length l that
+may differ by e edits is cut into e + 1 segments, one of which any line within so many
+edits has untouched, at a place that its length bounds. Each distinct line is indexed by (length, segment number,
 segment) and probes, for each length from its own down to EDITS less, the few
 substrings that can be that segment. What meets, and whose counts of common letters do
 not rule it out, is verified by an edit distance computed along a band of 2 x EDITS + 1
@@ -14,7 +15,7 @@ and place. Only DataFrame functions are used; only lines that share a segment ev
 meet, as hashes, and texts are fetched for those alone.
 
 Defined results: folded lines shorter than `least_chars` never go, nor count as earlier
-lines; null texts have no lines; rows that repeat id and text are one document; null ids
+lines (the queries ask for ANY, which leaves out blank lines alone); null texts have no lines; rows that repeat id and text are one document; null ids
 come before all others; a document that would lose all its text keeps it: such whole
 copies are for document-level operators.
 """
@@ -27,13 +28,20 @@ from pairmatch.llm.common import stored
 
 EDITS = 2
 LEAST_CHARS = 30
+ANY = 1
+CHARS_AN_EDIT = 15
 LETTERS = "etno"
 RARER = "aisrhldcum"
 SMALL_ROWS = 1_000_000
 
 
 def fold(line: Column) -> Column:
-    return F.btrim(F.lower(line), F.lit(" \t\r"))
+    return F.trim(F.regexp_replace(F.lower(line), r"\s+", " "))
+
+
+def allowed(n: Column, edits: int) -> Column:
+    """Edits by which a line may differ from one of n characters that is no longer."""
+    return F.least(F.lit(edits), F.floor(n / CHARS_AN_EDIT).cast("int"))
 
 
 def _small(df: DataFrame) -> DataFrame:
@@ -89,7 +97,7 @@ def sketch(norm: Column) -> Column:
     return out
 
 
-def sketch_near(a: Column, b: Column, edits: int) -> Column:
+def sketch_near(a: Column, b: Column, edits: Column) -> Column:
     """Whether sketches allow so many edits: an edit puts in one letter at most, and takes out one at most."""
     more, less = F.lit(0), F.lit(0)
     for i in range(len(LETTERS)):
@@ -98,7 +106,7 @@ def sketch_near(a: Column, b: Column, edits: int) -> Column:
     return (more <= edits) & (less <= edits)
 
 
-def letters_near(a: Column, b: Column, edits: int) -> Column:
+def letters_near(a: Column, b: Column, edits: Column) -> Column:
     """The same over RARER letters of the lines themselves."""
     more, less = F.lit(0), F.lit(0)
     count = lambda x, c: F.length(x) - F.length(F.replace(x, F.lit(c), F.lit("")))
@@ -131,22 +139,31 @@ def within_edits(x: str, y: str, edits: int) -> Column:
 
 def near_lines(kept: DataFrame, edits: int = EDITS) -> DataFrame:
     """kept: doc, th, line_no, norm, h, h2 of distinct lines. Returns h, h2 of the lines that go, with the earliest line near them."""
-    indexed = kept.select("h", "sk", F.explode_outer(index_keys(F.col("norm"), F.col("n"), edits)).alias("key"))
-    probes = kept.select(F.col("h").alias("ph"), F.col("sk").alias("psk"), F.explode_outer(probe_keys(F.col("norm"), F.col("n"), edits)).alias("key"))
-    near = sketch_near(F.col("sk"), F.col("psk"), edits)
-    placed = indexed.join(indexed.withColumnsRenamed({"h": "ph", "sk": "psk"}), "key").where((F.col("h") < F.col("ph")) & near)
+    norm, n = F.col("norm"), F.col("n")
+    index, probe = F.array().cast("array<bigint>"), F.array().cast("array<bigint>")
+    for e in range(1, edits + 1):
+        index = F.when(allowed(n, edits) == e, index_keys(norm, n, e)).otherwise(index)
+        # of the lengths that allow e edits, the next one up still meets those of e - 1
+        own = probe_keys(norm, n, e)
+        probe = F.when(n == e * CHARS_AN_EDIT, F.concat(own, probe)).when(n > e * CHARS_AN_EDIT, own).otherwise(probe)
+    long = kept.where(n >= CHARS_AN_EDIT)
+    indexed = long.select("h", "sk", allowed(n, edits).alias("e"), F.explode_outer(index).alias("key"))
+    probes = long.select(F.col("h").alias("ph"), F.col("sk").alias("psk"), F.explode_outer(probe).alias("key"))
+    near = sketch_near(F.col("sk"), F.col("psk"), F.col("e"))
+    placed = indexed.join(indexed.select(F.col("h").alias("ph"), F.col("sk").alias("psk"), "key"), "key").where((F.col("h") < F.col("ph")) & near)
     moved = indexed.join(probes, "key").where((F.col("h") != F.col("ph")) & near)
     met = placed.select("h", "ph").unionByName(moved.select("h", "ph"))
     pairs = stored(met.select(F.least("h", "ph").alias("h_a"), F.greatest("h", "ph").alias("h_b")).distinct(), "line-pairs")
     wanted = stored(pairs.select(F.col("h_a").alias("h")).union(pairs.select("h_b")).distinct(), "line-wanted")
     texts = stored(kept.join(_small(wanted), "h"), "line-texts")
     side = lambda c: texts.select(*[F.col(k).alias(f"{k}_{c}") for k in ("h", "h2", "norm", "doc", "th", "line_no")])
-    both = pairs.join(side("a"), "h_a").join(side("b"), "h_b").where(letters_near(F.col("norm_a"), F.col("norm_b"), edits))
+    both = pairs.join(side("a"), "h_a").join(side("b"), "h_b").withColumn("e", allowed(F.least(F.length("norm_a"), F.length("norm_b")), edits))
+    both = both.where(letters_near(F.col("norm_a"), F.col("norm_b"), F.col("e")))
     longer = F.length("norm_a") >= F.length("norm_b")
     cells = both.withColumn("x", F.split(F.when(longer, F.col("norm_a")).otherwise(F.col("norm_b")), "")).withColumn("y", F.split(F.when(longer, F.col("norm_b")).otherwise(F.col("norm_a")), ""))
     # stored in between: the optimizer would else split the lines anew for every character
     cells = stored(cells, "line-cells").withColumn("edits", within_edits("x", "y", edits))
-    near = stored(cells, "line-verified").where(F.col("edits").isNotNull() & (F.levenshtein("norm_a", "norm_b", edits) >= 0))
+    near = stored(cells, "line-verified").where((F.col("edits") <= F.col("e")) & (F.levenshtein("norm_a", "norm_b", edits) >= 0))
     place = lambda c: F.struct(f"doc_{c}", f"th_{c}", f"line_no_{c}")
     late = F.when(place("a") < place("b"), "b").otherwise("a")
     pick = lambda k, which: F.when(late == which, F.col(f"{k}_a")).otherwise(F.col(f"{k}_b"))

@@ -362,3 +362,30 @@ def test_lines_within_two_edits_go(spark):
         left = "\n".join(x for k, x in enumerate(texts[i].split("\n")) if (i, k) not in want)
         assert out[i].text == left and out[i].n_chars == len(left)
     assert duplicate_lines(docs(spark, [])).count() == 0
+
+
+def test_equal_lines_of_any_length_go(spark, tmp_path):
+    import corpus_pipeline
+    from pairmatch.llm.entry import op10_segment_lines
+
+    short, long = "All rights reserved.", "a line of more than thirty letters with blanks within"
+    texts = [
+        f"{short}\n\n{long}\nok", f"one\n  all RIGHTS \t reserved.\n\n{long.replace(' ', '     ')}", "two\nOK\nall rights reserved!\nno", "no\noh\nall lights reserved?",
+        "a line of thirty letters, then", "five\na line of thirty letter, then", "six\na line of twenty letter, then", "seven\na lime of thirty letters, when",
+    ]
+    docs(spark, texts).write.parquet(str(tmp_path / "documents.parquet"))
+    got = {(r.doc_id, r.line_no): (r.of_doc_id, r.of_line_no, r.edits) for r in op10_segment_lines(spark, str(tmp_path)).collect()}
+    folded = [(i, k, " ".join(x.lower().split())) for i, t in enumerate(texts) for k, x in enumerate(t.split("\n")) if x.strip()]
+    first, want = {}, {}
+    for i, k, n in folded:
+        first.setdefault(n, (i, k))
+    for i, k, n in folded:
+        near = [(p, e) for m, p in first.items() if m != n and p < first[n] and (e := edit(n, m)) <= min(2, min(len(n), len(m)) // 15)]
+        if first[n] != (i, k):
+            want[i, k] = (*first[n], 0)
+        elif near:
+            want[i, k] = (*min(near)[0], min(near)[1])
+    assert got == want and got[1, 1] == (0, 0, 0) and got[1, 3] == (0, 2, 0) and got[2, 1] == (0, 3, 0) and got[2, 2] == (0, 0, 1) and got[5, 1] == (4, 0, 1) and got[7, 1] == (4, 0, 2)
+    assert (3, 1) not in got and (3, 2) not in got and (6, 1) not in got
+    left = {r.doc_id: r.text for r in corpus_pipeline.line_dedup(spark, spark.read.parquet(str(tmp_path / "documents.parquet")), str(tmp_path)).collect()}
+    assert left[1] == "one\n" and left[2] == "two\nno"
