@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, functions as F
 
 from pairmatch.llm.common import stored
 
-ORDER = 4
+ORDER = 5
 BLOCK_BYTES = 24_000_000
 FLUSH_BYTES = 1_000_000
 MERGE_CODES = 4_000_000

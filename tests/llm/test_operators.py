@@ -389,3 +389,11 @@ def test_equal_lines_of_any_length_go(spark, tmp_path):
     assert (3, 1) not in got and (3, 2) not in got and (6, 1) not in got
     left = {r.doc_id: r.text for r in corpus_pipeline.line_dedup(spark, spark.read.parquet(str(tmp_path / "documents.parquet")), str(tmp_path)).collect()}
     assert left[1] == "one\n" and left[2] == "two\nno"
+
+
+def test_ppm_knows_contexts_of_five_bytes(spark):
+    from pairmatch.llm.ppm_lm import score_documents
+
+    d = docs(spark, ["pabcdx", "qabcdy"] * 20 + ["pabcdx", "pabcdy"])
+    got = {r.doc_id: r.score for r in score_documents(d, F.col("doc_id") < 40).collect()}
+    assert got[40] > got[41] + 1
