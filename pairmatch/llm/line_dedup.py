@@ -16,8 +16,8 @@ meet, as hashes, and texts are fetched for those alone.
 
 Defined results: folded lines shorter than `least_chars` never go, nor count as earlier
 lines (the queries ask for ANY, which leaves out blank lines alone); null texts have no lines; rows that repeat id and text are one document; null ids
-come before all others; a document that would lose all its text keeps it: such whole
-copies are for document-level operators.
+come before all others. Lines of any length take part whole. without_duplicate_lines
+leaves an empty text where every line stands elsewhere.
 """
 
 from __future__ import annotations
@@ -32,11 +32,15 @@ ANY = 1
 CHARS_AN_EDIT = 15
 LETTERS = "etno"
 RARER = "aisrhldcum"
-SMALL_ROWS = 1_000_000
+OFTEN = 40
 
 
 def fold(line: Column) -> Column:
-    return F.trim(F.regexp_replace(F.lower(line), r"\s+", " "))
+    low = F.lower(line)
+    odd = F.lit(False)
+    for x in ("  ", "\t", "\r", "\n", "\x0b", "\f"):  # most lines need no pattern run over them
+        odd = odd | F.contains(low, F.lit(x))
+    return F.trim(F.when(odd, F.regexp_replace(low, r"\s+", " ")).otherwise(low))
 
 
 def allowed(n: Column, edits: int) -> Column:
@@ -44,11 +48,6 @@ def allowed(n: Column, edits: int) -> Column:
     return F.least(F.lit(edits), F.floor(n / CHARS_AN_EDIT).cast("int"))
 
 
-def _small(df: DataFrame) -> DataFrame:
-    """Broadcast only what has been counted to be small."""
-    return F.broadcast(df) if df.count() <= SMALL_ROWS else df
-
-
 def lines(docs: DataFrame, least_chars: int = LEAST_CHARS) -> DataFrame:
     """doc (null id: the least long), th, line_no, norm, h, h2 of the lines that count."""
     doc = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63)))
@@ -116,12 +115,39 @@ def letters_near(a: Column, b: Column, edits: Column) -> Column:
     return (more <= edits) & (less <= edits)
 
 
+def common_start(x: str, y: str) -> str:
+    """SQL for the length of the common beginning of two different strings, by halving steps."""
+    least = f"least(length({x}), length({y}))"
+    steps = f"filter(transform(sequence(0, 30), i -> shiftleft(1, 30 - i)), k -> k <= {least})"
+    return f"aggregate({steps}, 0, (p, k) -> if(p + k <= {least} and substr({x}, p + 1, k) = substr({y}, p + 1, k), p + k, p))"
+
+
+def _held(df: DataFrame, name: str, value: Column) -> DataFrame:
+    """A column computed once: the optimizer doesn't copy expressions through an outer explode."""
+    return df.withColumn(name, F.explode_outer(F.array(value)))
+
+
+def differing(pairs: DataFrame, a: str, b: str) -> DataFrame:
+    """Adds x and y: what is left of columns a and b without their common ends, as characters, x no shorter."""
+    longer = F.length(a) >= F.length(b)
+    one = pairs.withColumns({"_x": F.when(longer, F.col(a)).otherwise(F.col(b)), "_y": F.when(longer, F.col(b)).otherwise(F.col(a))})
+    one = _held(one, "_p", F.expr(common_start("_x", "_y")))
+    one = _held(one, "_xy", F.expr("named_struct('x', substr(_x, _p + 1), 'y', substr(_y, _p + 1))"))
+    one = _held(one, "_r", F.expr("named_struct('x', reverse(_xy.x), 'y', reverse(_xy.y))"))
+    one = _held(one, "_s", F.expr(common_start("_r.x", "_r.y")))
+    cut = lambda c: F.split(F.expr(f"substr(_xy.{c}, 1, length(_xy.{c}) - _s)"), "")
+    empty = F.array().cast("array<string>")
+    chars = lambda c: F.when(F.expr(f"length(_xy.{c}) = _s"), empty).otherwise(cut(c))
+    return _held(_held(one, "x", chars("x")), "y", chars("y")).drop("_x", "_y", "_p", "_xy", "_r", "_s")
+
+
 def within_edits(x: str, y: str, edits: int) -> Column:
     """Edit distance of columns x and y, arrays of characters with x no shorter, if at most edits, else null.
 
     After j characters of y, bit k of vp (vn) says that row j - edits + k of the table is
     one more (less) than the row above it. d follows the diagonal that ends in the last
-    cell: it grows where bit k of d0, "as on the diagonal before", is not set.
+    cell, where it never shrinks: it grows where bit k of d0, "as on the diagonal before",
+    is not set, and past edits nothing more is computed.
     """
     w = 2 * edits + 1
     full = (1 << w) - 1
@@ -129,15 +155,71 @@ def within_edits(x: str, y: str, edits: int) -> Column:
     d0 = f"(((((pm & s.vp) + s.vp) ^ s.vp) | pm | s.vn) & {full})"
     hp = "(e.vn | ~(e.d0 | e.vp))"
     start = f"named_struct('vp', {full & ~((1 << edits) - 1)}, 'vn', 0, 'd', size({x}) - size({y}))"
-    step = f"""transform(array(named_struct('d0', {d0}, 'vp', s.vp, 'vn', s.vn, 'd', s.d)),
+    step = f"""transform(transform(array({match}), pm -> named_struct('d0', {d0}, 'vp', s.vp, 'vn', s.vn, 'd', s.d)),
         e -> named_struct('vp', ((e.d0 & e.vp) | ~(shiftright(e.d0, 1) | {hp})) & {full},
                           'vn', shiftright(e.d0, 1) & {hp} & {full},
                           'd', e.d + 1 - (shiftright(e.d0, {edits} + size({x}) - size({y})) & 1)))[0]"""
-    run = f"aggregate(transform(sequence(0, size({y}) - 1), j -> {match}), {start}, (s, pm) -> {step}, s -> if(s.d <= {edits}, s.d, null))"
+    run = f"aggregate(sequence(0, size({y}) - 1), {start}, (s, j) -> if(s.d > {edits}, s, {step}), s -> if(s.d <= {edits}, s.d, null))"
     return F.expr(f"if(size({x}) - size({y}) <= {edits}, if(size({y}) = 0, size({x}), {run}), null)")
 
 
-def near_lines(kept: DataFrame, edits: int = EDITS) -> DataFrame:
+def letter_pairs(df: DataFrame) -> DataFrame:
+    """Adds bag: hashes of the neighbouring letters of norm, each numbered by how many equal ones come before it."""
+    one = _held(df, "_f", F.expr("array_sort(transform(sequence(1, greatest(length(norm) - 1, 1)), i -> substr(norm, i, 2)))"))
+    one = _held(one, "_at", F.expr("filter(sequence(0, size(_f) - 1), i -> i = 0 or _f[i] <> _f[i - 1])"))
+    runs = "transform(_at, (a, k) -> transform(sequence(0, coalesce(get(_at, k + 1), size(_f)) - a - 1), o -> xxhash64(_f[a], o)))"
+    return one.withColumn("bag", F.expr(f"flatten({runs})")).drop("_f", "_at")
+
+
+def _verified(pairs: DataFrame, texts: DataFrame, edits: int) -> DataFrame:
+    """pairs: h_a, h_b. Those within the edits that the shorter one allows, with both lines' columns and edits."""
+    side = lambda c: texts.select(*[F.col(k).alias(f"{k}_{c}") for k in ("h", "h2", "norm", "doc", "th", "line_no")])
+    both = pairs.join(side("a"), "h_a").join(side("b"), "h_b").withColumn("e", allowed(F.least(F.length("norm_a"), F.length("norm_b")), edits))
+    both = both.where(letters_near(F.col("norm_a"), F.col("norm_b"), F.col("e")))
+    cells = differing(both, "norm_a", "norm_b")
+    near = cells.withColumn("edits", F.explode_outer(F.array(within_edits("x", "y", edits)))).drop("x", "y")
+    return near.where((F.col("edits") <= F.col("e")) & (F.levenshtein("norm_a", "norm_b", edits) >= 0))
+
+
+def _ends(near: DataFrame) -> DataFrame:
+    """h, h2 of the later line of each verified pair, and the earlier one's place."""
+    place = lambda c: F.struct(f"doc_{c}", f"th_{c}", f"line_no_{c}")
+    late = F.when(place("a") < place("b"), "b").otherwise("a")
+    pick = lambda k, which: F.when(late == which, F.col(f"{k}_a")).otherwise(F.col(f"{k}_b"))
+    return near.select(pick("h", "a").alias("h"), pick("h2", "a").alias("h2"), *[pick(k, "b").alias(k) for k in ("doc", "th", "line_no")], "edits")
+
+
+def _often(members: DataFrame, kept: DataFrame, edits: int) -> tuple[DataFrame, DataFrame]:
+    """Pairs of lines that share a frequent segment.
+
+    members: key, h, sk, e, ix of those segments. Returns verified pairs with each
+    segment's leader, and h_a, h_b of the other pairs that letter pairs don't rule out.
+    """
+    few = 2 * edits
+    place = F.struct("doc", "th", "line_no", "h")
+    rows = members.join(kept.select("h", "doc", "th", "line_no"), "h")
+    lead = rows.groupBy("key").agg(F.min(place).alias("lead"))
+    rows = stored(rows.join(lead, "key").withColumn("lead", F.col("lead.h")), "line-often")
+    own = rows.select("h", "lead").where("h <> lead").distinct()
+    ids = rows.select("h").union(rows.select("lead")).distinct()
+    texts = stored(letter_pairs(kept.join(ids, "h")), "line-often-texts")
+    near = stored(_verified(own.select(F.col("h").alias("h_a"), F.col("lead").alias("h_b")), texts, edits), "line-led")
+    close = near.select(F.col("h_a").alias("h"), F.col("h_b").alias("lead"), F.lit(True).alias("close"))
+    bags = own.join(texts.select("h", "bag"), "h").join(texts.select(F.col("h").alias("lead"), F.col("bag").alias("of_lead")), "lead")
+    some = lambda a, b: F.expr(f"slice(array_sort(array_except({a}, {b})), 1, {few + 1})")
+    marks = lambda c: F.when(F.size(c) > few, F.col(c)).otherwise(F.concat(c, F.array(F.lit(0).cast("long"))))
+    told = bags.select("h", "lead", some("bag", "of_lead").alias("_m"), some("of_lead", "bag").alias("_l")).select("h", "lead", marks("_m").alias("more"), marks("_l").alias("less"))
+    told = stored(told.join(close, ["h", "lead"], "left").withColumn("close", F.coalesce("close", F.lit(False))), "line-told")
+    # the leader itself has been compared with all; a line near it needs no other earlier one here
+    cells = rows.join(told, ["h", "lead"]).withColumn("cell", F.explode(F.expr("flatten(transform(more, m -> transform(less, l -> xxhash64(key, m, l))))")))
+    cells = stored(cells.select("cell", "h", "sk", "e", "ix", "close", F.struct("doc", "th", "line_no").alias("place")), "line-cells")
+    later = cells.where("not close").select("cell", F.col("h").alias("ph"), F.col("sk").alias("psk"), F.col("e").alias("pe"), F.col("ix").alias("pix"), F.col("place").alias("pp"))
+    fits = (F.col("place") < F.col("pp")) & (F.col("ix") | F.col("pix")) & sketch_near(F.col("sk"), F.col("psk"), F.least("e", "pe"))
+    met = cells.join(later, "cell").where(fits).select(F.least("h", "ph").alias("h_a"), F.greatest("h", "ph").alias("h_b"))
+    return near, met
+
+
+def near_lines(kept: DataFrame, edits: int = EDITS, often: int = OFTEN) -> DataFrame:
     """kept: doc, th, line_no, norm, h, h2 of distinct lines. Returns h, h2 of the lines that go, with the earliest line near them."""
     norm, n = F.col("norm"), F.col("n")
     index, probe = F.array().cast("array<bigint>"), F.array().cast("array<bigint>")
@@ -147,28 +229,22 @@ def near_lines(kept: DataFrame, edits: int = EDITS) -> DataFrame:
         own = probe_keys(norm, n, e)
         probe = F.when(n == e * CHARS_AN_EDIT, F.concat(own, probe)).when(n > e * CHARS_AN_EDIT, own).otherwise(probe)
     long = kept.where(n >= CHARS_AN_EDIT)
-    indexed = long.select("h", "sk", allowed(n, edits).alias("e"), F.explode_outer(index).alias("key"))
-    probes = long.select(F.col("h").alias("ph"), F.col("sk").alias("psk"), F.explode_outer(probe).alias("key"))
+    keyed = lambda of, ix: long.select("h", "sk", allowed(n, edits).alias("e"), F.lit(ix).alias("ix"), F.explode_outer(of).alias("key"))
+    indexed, probes = keyed(index, True), keyed(probe, False)
+    frequent = stored(indexed.groupBy("key").agg(F.count("*").alias("m")).where(F.col("m") > often).select("key"), "line-frequent")
+    usual = lambda df: df.join(frequent, "key", "left_anti")
+    a, b = usual(indexed), usual(probes)
+    as_probe = lambda df: df.select(F.col("h").alias("ph"), F.col("sk").alias("psk"), "key")
     near = sketch_near(F.col("sk"), F.col("psk"), F.col("e"))
-    placed = indexed.join(indexed.select(F.col("h").alias("ph"), F.col("sk").alias("psk"), "key"), "key").where((F.col("h") < F.col("ph")) & near)
-    moved = indexed.join(probes, "key").where((F.col("h") != F.col("ph")) & near)
-    met = placed.select("h", "ph").unionByName(moved.select("h", "ph"))
-    pairs = stored(met.select(F.least("h", "ph").alias("h_a"), F.greatest("h", "ph").alias("h_b")).distinct(), "line-pairs")
-    wanted = stored(pairs.select(F.col("h_a").alias("h")).union(pairs.select("h_b")).distinct(), "line-wanted")
-    texts = stored(kept.join(_small(wanted), "h"), "line-texts")
-    side = lambda c: texts.select(*[F.col(k).alias(f"{k}_{c}") for k in ("h", "h2", "norm", "doc", "th", "line_no")])
-    both = pairs.join(side("a"), "h_a").join(side("b"), "h_b").withColumn("e", allowed(F.least(F.length("norm_a"), F.length("norm_b")), edits))
-    both = both.where(letters_near(F.col("norm_a"), F.col("norm_b"), F.col("e")))
-    longer = F.length("norm_a") >= F.length("norm_b")
-    cells = both.withColumn("x", F.split(F.when(longer, F.col("norm_a")).otherwise(F.col("norm_b")), "")).withColumn("y", F.split(F.when(longer, F.col("norm_b")).otherwise(F.col("norm_a")), ""))
-    # stored in between: the optimizer would else split the lines anew for every character
-    cells = stored(cells, "line-cells").withColumn("edits", within_edits("x", "y", edits))
-    near = stored(cells, "line-verified").where((F.col("edits") <= F.col("e")) & (F.levenshtein("norm_a", "norm_b", edits) >= 0))
-    place = lambda c: F.struct(f"doc_{c}", f"th_{c}", f"line_no_{c}")
-    late = F.when(place("a") < place("b"), "b").otherwise("a")
-    pick = lambda k, which: F.when(late == which, F.col(f"{k}_a")).otherwise(F.col(f"{k}_b"))
-    ends = near.select(pick("h", "a").alias("h"), pick("h2", "a").alias("h2"), *[pick(k, "b").alias(k) for k in ("doc", "th", "line_no")], "edits")
-    return ends.groupBy("h", "h2").agg(F.min(F.struct("doc", "th", "line_no", "edits")).alias("by"))
+    placed = a.join(as_probe(a), "key").where((F.col("h") < F.col("ph")) & near)
+    moved = a.join(as_probe(b), "key").where((F.col("h") != F.col("ph")) & near)
+    led, more = _often(indexed.unionByName(probes).join(frequent, "key", "left_semi"), kept, edits)
+    met = placed.select("h", "ph").unionByName(moved.select("h", "ph")).select(F.least("h", "ph").alias("h_a"), F.greatest("h", "ph").alias("h_b")).unionByName(more)
+    pairs = stored(met.distinct(), "line-pairs")
+    wanted = pairs.select(F.col("h_a").alias("h")).union(pairs.select("h_b")).distinct()
+    texts = stored(kept.join(wanted, "h"), "line-texts")
+    near = stored(_verified(pairs, texts, edits), "line-verified")
+    return _ends(near).unionByName(_ends(led)).groupBy("h", "h2").agg(F.min(F.struct("doc", "th", "line_no", "edits")).alias("by"))
 
 
 def duplicate_lines(docs: DataFrame, edits: int = EDITS, least_chars: int = LEAST_CHARS) -> DataFrame:
@@ -177,10 +253,10 @@ def duplicate_lines(docs: DataFrame, edits: int = EDITS, least_chars: int = LEAS
     firsts = all_lines.groupBy("h", "h2").agg(F.min(F.struct("doc", "th", "line_no")).alias("first"), F.count("*").alias("n"))
     several = stored(firsts.where("n > 1").select("h", "h2", "first"), "line-firsts")
     own = F.struct("doc", "th", "line_no")
-    marked = all_lines.join(_small(several), ["h", "h2"], "left")
+    marked = all_lines.join(several, ["h", "h2"], "left")
     kept = marked.where(F.col("first").isNull() | (F.col("first") == own)).drop("first")
     near = stored(near_lines(kept, edits), "line-near")
-    judged = marked.join(_small(near), ["h", "h2"], "left")
+    judged = marked.join(near, ["h", "h2"], "left")
     equal = F.col("first").isNotNull() & (F.col("first") != own)
     return judged.where(equal | F.col("by").isNotNull()).select(
         "doc", "th", "line_no", F.coalesce(F.when(equal, F.col("first.doc")), F.col("by.doc")).alias("of_doc"),
@@ -188,16 +264,26 @@ def duplicate_lines(docs: DataFrame, edits: int = EDITS, least_chars: int = LEAS
     )
 
 
-def without_duplicate_lines(docs: DataFrame, edits: int = EDITS, least_chars: int = LEAST_CHARS) -> DataFrame:
-    """docs with the lines gone from text (and n_chars counted anew where a text changed), all columns and rows."""
-    gone = stored(duplicate_lines(docs, edits, least_chars).distinct().groupBy("doc", "th").agg(F.collect_set("line_no").alias("_gone")), "line-gone")
-    doc = F.coalesce(docs["doc_id"].cast("long"), F.lit(-(1 << 63)))
-    gone = _small(gone.select(F.col("doc").alias("_doc"), F.col("th").alias("_th"), "_gone"))
-    held = docs.join(gone, (doc == F.col("_doc")) & (F.xxhash64(docs["text"]) == F.col("_th")), "left")
-    left = F.expr("array_join(filter(split(text, '\n'), (x, i) -> not array_contains(_gone, i)), '\n')")
-    text = F.when(F.col("_gone").isNull(), F.col("text")).otherwise(F.when(F.trim(F.regexp_replace(left, r"\s+", " ")) == "", F.col("text")).otherwise(left))
-    out = held.withColumn("_new", text)
-    cols = {"text": F.col("_new")}
-    if "n_chars" in docs.columns:
-        cols["n_chars"] = F.when(F.col("_new") != F.col("text"), F.length("_new").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars"))
-    return out.select(*[cols.get(c, F.col(c)).alias(c) for c in docs.columns])
+def without_duplicate_lines(docs: DataFrame, edits: int = EDITS, least_chars: int = LEAST_CHARS, drop_emptied: bool = False) -> DataFrame:
+    """docs with the lines gone from text (and n_chars counted anew where a text changed), all columns and rows.
+
+    Decided on distinct texts: copies of a whole text keep what their first one keeps, for
+    document-level operators to find. drop_emptied: without the rows that had lines and have none left.
+    """
+    texts = docs.where(F.col("text").isNotNull()).groupBy(F.xxhash64("text").alias("th")).agg(F.min(F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63)))).alias("doc"))
+    own = docs.select(F.col("text"), F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63))).alias("doc_id"), F.xxhash64("text").alias("_th"))
+    own = own.join(texts, (own["_th"] == texts["th"]) & (own["doc_id"] == texts["doc"]), "left_semi").select("doc_id", "text")
+    gone = stored(duplicate_lines(own, edits, least_chars).groupBy("th").agg(F.collect_set("line_no").alias("gone")), "line-gone")
+    names = docs.columns
+    # the row goes along whole, so that none of its names can clash
+    held = docs.select(F.struct(*[docs[c] for c in names]).alias("row"), F.xxhash64(docs["text"]).alias("th")).join(gone, "th", "left")
+    left = F.expr("array_join(filter(split(row.text, '\n'), (x, i) -> not array_contains(gone, i)), '\n')")
+    # where blank lines alone are left, nothing is
+    left = F.when(F.trim(F.regexp_replace(left, r"\s+", " ")) == "", F.lit("")).otherwise(left)
+    out = _held(held, "new", F.when(F.col("gone").isNull(), F.col("row.text")).otherwise(left))
+    if drop_emptied:
+        out = out.where(F.col("gone").isNull() | (F.col("new") != ""))
+    cols = {"text": F.col("new")}
+    if "n_chars" in names:
+        cols["n_chars"] = F.when(F.col("new") != F.col("row.text"), F.length("new").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("row.n_chars"))
+    return out.select(*[cols.get(c, F.col("row")[c]).alias(c) for c in names])

@@ -357,11 +357,36 @@ def test_lines_within_two_edits_go(spark):
     got = {(r.doc, r.line_no): (r.of_doc, r.of_line_no, r.edits) for r in duplicate_lines(d).collect()}
     assert got == want and any(v[2] for v in want.values())
     out = {r.doc_id: r for r in without_duplicate_lines(d.withColumn("h", F.lit(1)).withColumn("norm", F.lit(2))).collect()}
-    assert len(out) == len(texts) and out[30].text is None and out[31].text == "" and out[32].text == lines[0]
+    assert len(out) == len(texts) and out[30].text is None and out[31].text == "" and out[32].text == ""
     for i in range(30):
         left = "\n".join(x for k, x in enumerate(texts[i].split("\n")) if (i, k) not in want)
         assert out[i].text == left and out[i].n_chars == len(left)
     assert duplicate_lines(docs(spark, [])).count() == 0
+    copies = docs(spark, ["\n".join(lines[:4]), "\n".join(lines[:3]), "\n".join(lines[:4]), "\n".join(lines[1:3])]).withColumns({"_doc": F.lit(1), "_th": F.lit(2), "_gone": F.lit(3), "gone": F.lit(4), "new": F.lit(5), "row": F.lit(6)})
+    left = {r.doc_id: r.text for r in without_duplicate_lines(copies).collect()}
+    assert left[0] == left[2] != "" and left[1] == left[3] == ""
+    assert {r.doc_id for r in without_duplicate_lines(copies, drop_emptied=True).collect()} == {0, 2}
+
+
+def test_frequent_segments_lose_no_line(spark):
+    from pyspark.sql.functions import length
+
+    from pairmatch.llm import line_dedup as L
+
+    rng = random.Random(12)
+    base, lines = " ".join(words(rng, 14)), []
+    for k in range(260):  # variants of one line: put in, taken out, changed, at one place or two
+        t = base
+        for _ in range(rng.choice([1, 1, 2])):
+            at = rng.randrange(len(t))
+            t = t[:at] + "".join(rng.choice("abcxyz ") for _ in range(rng.choice([0, 1, 1, 2, 3, 4]))) + t[at + rng.choice([0, 0, 1, 1, 2, 4]) :]
+        lines.append(t)
+    lines += [" ".join(words(rng, 14))[: rng.randrange(20, 60)] + base[-40:] for _ in range(60)]  # a common ending alone
+    rng.shuffle(lines)
+    d = docs(spark, lines)
+    kept = L.lines(d).dropDuplicates(["h"]).where(length("norm") > 0)
+    few = {(r.h, r.by) for r in L.near_lines(kept, often=10**6).collect()}
+    assert few and {(r.h, r.by) for r in L.near_lines(kept, often=5).collect()} == few
 
 
 def test_equal_lines_of_any_length_go(spark, tmp_path):
