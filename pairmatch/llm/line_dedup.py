@@ -33,14 +33,15 @@ CHARS_AN_EDIT = 15
 LETTERS = "etno"
 RARER = "aisrhldcum"
 OFTEN = 40
+COPIES = 16
 
 
 def fold(line: Column) -> Column:
-    low = F.lower(line)
+    """White space inside as one space, ends trimmed; few lines need the pattern run over them."""
     odd = F.lit(False)
-    for x in ("  ", "\t", "\r", "\n", "\x0b", "\f"):  # most lines need no pattern run over them
-        odd = odd | F.contains(low, F.lit(x))
-    return F.trim(F.when(odd, F.regexp_replace(low, r"\s+", " ")).otherwise(low))
+    for x in ("  ", "\t", "\r", "\x0b", "\f"):
+        odd = odd | F.contains(line, F.lit(x))
+    return F.trim(F.when(odd, F.regexp_replace(line, r"\s+", " ")).otherwise(line))
 
 
 def allowed(n: Column, edits: int) -> Column:
@@ -48,43 +49,54 @@ def allowed(n: Column, edits: int) -> Column:
     return F.least(F.lit(edits), F.floor(n / CHARS_AN_EDIT).cast("int"))
 
 
-def lines(docs: DataFrame, least_chars: int = LEAST_CHARS) -> DataFrame:
-    """doc (null id: the least long), th, line_no, norm, h, h2 of the lines that count."""
+def lines(docs: DataFrame, least_chars: int = LEAST_CHARS, edits: int = EDITS) -> DataFrame:
+    """doc (null id: the least long), th, line_no, norm, n, h, h2, sk, ix and pr (index and probe keys) of the lines that count."""
     doc = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63)))
-    each = docs.where(F.col("text").isNotNull()).select(doc.alias("doc"), F.xxhash64("text").alias("th"), F.posexplode_outer(F.transform(F.split("text", "\n"), fold)).alias("line_no", "norm"))
-    return each.where(F.length("norm") >= least_chars).withColumns({"n": F.length("norm"), "h": F.xxhash64("norm"), "h2": F.xxhash64(F.lit(1), F.col("norm")), "sk": sketch(F.col("norm"))})
-
-
-def _segments(length: Column, edits: int) -> list[tuple[Column, Column]]:
-    """1-based start and size of each of edits + 1 segments; the last ones are the longer."""
-    k = edits + 1
-    out, at = [], F.lit(1)
-    base, extra = F.floor(length / k).cast("int"), (length % k).cast("int")
-    for i in range(k):
-        size = base + F.when(F.lit(k - i) <= extra, 1).otherwise(0)
-        out.append((at, size))
-        at = at + size
-    return out
-
-
-def _key(length: Column, i: int, text: Column) -> Column:
-    return F.xxhash64(length, F.lit(i), text)
-
-
-def index_keys(norm: Column, n: Column, edits: int) -> Column:
-    return F.array(*[_key(n, i, norm.substr(p, s)) for i, (p, s) in enumerate(_segments(n, edits))])
-
-
-def probe_keys(norm: Column, n: Column, edits: int) -> Column:
-    """The substrings, length by length, that can be an untouched segment of a line no longer; not those of index_keys."""
+    each = docs.where(F.col("text").isNotNull()).select(doc.alias("doc"), F.xxhash64("text").alias("th"), F.posexplode_outer(F.split(F.lower("text"), "\n")).alias("line_no", "norm"))
+    each = each.withColumn("norm", fold(F.col("norm")))
+    each = each.where(F.length("norm") >= least_chars).withColumn("n", F.length("norm"))
+    index, probe = segment_keys(edits)
+    return each.withColumns({"h": F.xxhash64("norm"), "h2": F.xxhash64(F.lit(1), F.col("norm")), "sk": sketch(F.col("norm")), "ix": index, "pr": probe})
+
+
+def _places(e: int) -> tuple[list, list]:
+    """(characters less, segment, shift) of the index and of the probes: substrings that can be an untouched segment of a line no longer."""
+    index = [(0, i, 0) for i in range(e + 1)]
+    probes = []
+    for less in range(e + 1):
+        for i in range(e + 1):
+            low, high = max(-i, less - (e - i)), min(i, less + (e - i))
+            probes += [(less, i, d) for d in range(low, high + 1) if less or d]
+    return index, probes
+
+
+def _keys(places: list, e: int, text: str) -> str:
+    """SQL for the hashes of (length, segment, substring); the last segments are the longer ones."""
+    k = e + 1
+    spec = ", ".join(f"named_struct('less', {less}, 'i', {i}, 'd', {d})" for less, i, d in places)
+    at = f"p.i * int((n - p.less) div {k}) + greatest(0, p.i - {k} + (n - p.less) % {k})"
+    size = f"int((n - p.less) div {k}) + if({k} - p.i <= (n - p.less) % {k}, 1, 0)"
+    return f"transform(array({spec}), p -> xxhash64(n - p.less, p.i, substr({text}, {at} + p.d + 1, {size})))"
+
+
+def segment_keys(edits: int) -> tuple[Column, Column]:
+    """Index and probe keys of columns norm and n; empty for lines that allow no edit."""
     out = []
-    for less in range(edits + 1):
-        target = n - less
-        for i, (p, s) in enumerate(_segments(target, edits)):
-            low = max(-i, less - (edits - i))
-            high = min(i, less + (edits - i))
-            out += [_key(target, i, norm.substr(p + d, s)) for d in range(low, high + 1) if less or d]
-    return F.array(*out)
+    none = "cast(array() as array<bigint>)"
+    for which in (0, 1):
+        sides = []
+        # bytes are cut in one step, characters are counted from the start each time; hashes are the same
+        for text, when in (("binary(norm)", "octet_length(norm) = n"), ("norm", "true")):
+            keys = [none] + [_keys(_places(e)[which], e, text) for e in range(1, edits + 1)]
+            cases = f"when n >= {edits * CHARS_AN_EDIT} then {keys[edits]} " if not which else f"when n > {edits * CHARS_AN_EDIT} then {keys[edits]} "
+            for e in range(edits, 0, -1):
+                if which:  # of the lengths that allow e edits, the least still meets those of e - 1
+                    cases += f"when n = {e * CHARS_AN_EDIT} then concat({keys[e]}, {keys[e - 1]}) "
+                if e > 1:
+                    cases += f"when n >= {(e - 1) * CHARS_AN_EDIT} then {keys[e - 1]} "
+            sides.append(f"when {when} then case {cases} else {none} end")
+        out.append(F.expr(f"case {' '.join(sides)} end"))
+    return out[0], out[1]
 
 
 def sketch(norm: Column) -> Column:
@@ -189,22 +201,28 @@ def _ends(near: DataFrame) -> DataFrame:
     return near.select(pick("h", "a").alias("h"), pick("h2", "a").alias("h2"), *[pick(k, "b").alias(k) for k in ("doc", "th", "line_no")], "edits")
 
 
-def _often(members: DataFrame, kept: DataFrame, edits: int) -> tuple[DataFrame, DataFrame]:
+def _texts(all_lines: DataFrame, wanted: DataFrame) -> DataFrame:
+    """h, h2, norm and the first place of the lines whose h is wanted."""
+    one = all_lines.join(wanted, "h").groupBy("h", "h2").agg(F.min(F.struct("doc", "th", "line_no", "norm")).alias("one"))
+    return one.select("h", "h2", "one.*")
+
+
+def _often(members: DataFrame, all_lines: DataFrame, edits: int) -> tuple[DataFrame, DataFrame]:
     """Pairs of lines that share a frequent segment.
 
     members: key, h, sk, e, ix of those segments. Returns verified pairs with each
     segment's leader, and h_a, h_b of the other pairs that letter pairs don't rule out.
     """
     few = 2 * edits
-    place = F.struct("doc", "th", "line_no", "h")
-    rows = members.join(kept.select("h", "doc", "th", "line_no"), "h")
-    lead = rows.groupBy("key").agg(F.min(place).alias("lead"))
-    rows = stored(rows.join(lead, "key").withColumn("lead", F.col("lead.h")), "line-often")
+    members = stored(members.distinct(), "line-often")
+    texts = stored(letter_pairs(_texts(all_lines, members.select("h").distinct())), "line-often-texts")
+    place = F.struct("doc", "th", "line_no")
+    rows = members.join(texts.select("h", place.alias("place")), "h")
+    lead = rows.groupBy("key").agg(F.min(F.struct("place", "h")).alias("lead")).select("key", F.col("lead.h").alias("lead"))
+    rows = stored(rows.join(lead, "key"), "line-often-led")
     own = rows.select("h", "lead").where("h <> lead").distinct()
-    ids = rows.select("h").union(rows.select("lead")).distinct()
-    texts = stored(letter_pairs(kept.join(ids, "h")), "line-often-texts")
     near = stored(_verified(own.select(F.col("h").alias("h_a"), F.col("lead").alias("h_b")), texts, edits), "line-led")
-    close = near.select(F.col("h_a").alias("h"), F.col("h_b").alias("lead"), F.lit(True).alias("close"))
+    close = near.select(F.col("h_a").alias("h"), F.col("h_b").alias("lead"), F.lit(True).alias("close")).distinct()
     bags = own.join(texts.select("h", "bag"), "h").join(texts.select(F.col("h").alias("lead"), F.col("bag").alias("of_lead")), "lead")
     some = lambda a, b: F.expr(f"slice(array_sort(array_except({a}, {b})), 1, {few + 1})")
     marks = lambda c: F.when(F.size(c) > few, F.col(c)).otherwise(F.concat(c, F.array(F.lit(0).cast("long"))))
@@ -212,25 +230,25 @@ def _often(members: DataFrame, kept: DataFrame, edits: int) -> tuple[DataFrame,
     told = stored(told.join(close, ["h", "lead"], "left").withColumn("close", F.coalesce("close", F.lit(False))), "line-told")
     # the leader itself has been compared with all; a line near it needs no other earlier one here
     cells = rows.join(told, ["h", "lead"]).withColumn("cell", F.explode(F.expr("flatten(transform(more, m -> transform(less, l -> xxhash64(key, m, l))))")))
-    cells = stored(cells.select("cell", "h", "sk", "e", "ix", "close", F.struct("doc", "th", "line_no").alias("place")), "line-cells")
+    cells = stored(cells.select("cell", "h", "sk", "e", "ix", "close", "place"), "line-cells")
     later = cells.where("not close").select("cell", F.col("h").alias("ph"), F.col("sk").alias("psk"), F.col("e").alias("pe"), F.col("ix").alias("pix"), F.col("place").alias("pp"))
     fits = (F.col("place") < F.col("pp")) & (F.col("ix") | F.col("pix")) & sketch_near(F.col("sk"), F.col("psk"), F.least("e", "pe"))
     met = cells.join(later, "cell").where(fits).select(F.least("h", "ph").alias("h_a"), F.greatest("h", "ph").alias("h_b"))
     return near, met
 
 
-def near_lines(kept: DataFrame, edits: int = EDITS, often: int = OFTEN) -> DataFrame:
-    """kept: doc, th, line_no, norm, h, h2 of distinct lines. Returns h, h2 of the lines that go, with the earliest line near them."""
-    norm, n = F.col("norm"), F.col("n")
-    index, probe = F.array().cast("array<bigint>"), F.array().cast("array<bigint>")
-    for e in range(1, edits + 1):
-        index = F.when(allowed(n, edits) == e, index_keys(norm, n, e)).otherwise(index)
-        # of the lengths that allow e edits, the next one up still meets those of e - 1
-        own = probe_keys(norm, n, e)
-        probe = F.when(n == e * CHARS_AN_EDIT, F.concat(own, probe)).when(n > e * CHARS_AN_EDIT, own).otherwise(probe)
-    long = kept.where(n >= CHARS_AN_EDIT)
-    keyed = lambda of, ix: long.select("h", "sk", allowed(n, edits).alias("e"), F.lit(ix).alias("ix"), F.explode_outer(of).alias("key"))
-    indexed, probes = keyed(index, True), keyed(probe, False)
+def near_lines(all_lines: DataFrame, several: DataFrame, edits: int = EDITS, often: int = OFTEN) -> DataFrame:
+    """h, h2 of the lines near an earlier one, and the earliest such.
+
+    all_lines: as `lines` gives; several: h, h2, first and n of those that stand more than once.
+    """
+    n = F.col("n")
+    # of lines with many copies only the first is looked up; a few equal rows more do no harm
+    copied = several.where(F.col("n") > COPIES).select("h", "h2", "first")
+    keys = all_lines.where(n >= CHARS_AN_EDIT).select("h", "h2", "doc", "th", "line_no", "n", "sk", "ix", "pr").join(copied, ["h", "h2"], "left")
+    keys = keys.where(F.col("first").isNull() | (F.col("first") == F.struct("doc", "th", "line_no")))
+    keyed = lambda of, ix: keys.select("h", "sk", allowed(n, edits).alias("e"), F.lit(ix).alias("ix"), F.explode_outer(of).alias("key"))
+    indexed, probes = keyed("ix", True), keyed("pr", False)
     frequent = stored(indexed.groupBy("key").agg(F.count("*").alias("m")).where(F.col("m") > often).select("key"), "line-frequent")
     usual = lambda df: df.join(frequent, "key", "left_anti")
     a, b = usual(indexed), usual(probes)
@@ -238,32 +256,33 @@ def near_lines(kept: DataFrame, edits: int = EDITS, often: int = OFTEN) -> DataF
     near = sketch_near(F.col("sk"), F.col("psk"), F.col("e"))
     placed = a.join(as_probe(a), "key").where((F.col("h") < F.col("ph")) & near)
     moved = a.join(as_probe(b), "key").where((F.col("h") != F.col("ph")) & near)
-    led, more = _often(indexed.unionByName(probes).join(frequent, "key", "left_semi"), kept, edits)
+    led, more = _often(indexed.unionByName(probes).join(frequent, "key", "left_semi"), all_lines, edits)
     met = placed.select("h", "ph").unionByName(moved.select("h", "ph")).select(F.least("h", "ph").alias("h_a"), F.greatest("h", "ph").alias("h_b")).unionByName(more)
     pairs = stored(met.distinct(), "line-pairs")
-    wanted = pairs.select(F.col("h_a").alias("h")).union(pairs.select("h_b")).distinct()
-    texts = stored(kept.join(wanted, "h"), "line-texts")
+    texts = stored(_texts(all_lines, pairs.select(F.col("h_a").alias("h")).union(pairs.select("h_b")).distinct()), "line-texts")
     near = stored(_verified(pairs, texts, edits), "line-verified")
     return _ends(near).unionByName(_ends(led)).groupBy("h", "h2").agg(F.min(F.struct("doc", "th", "line_no", "edits")).alias("by"))
 
 
 def duplicate_lines(docs: DataFrame, edits: int = EDITS, least_chars: int = LEAST_CHARS) -> DataFrame:
     """doc, th, line_no, of_doc, of_line_no, edits of every line that goes."""
-    all_lines = stored(lines(docs, least_chars), "lines")
-    firsts = all_lines.groupBy("h", "h2").agg(F.min(F.struct("doc", "th", "line_no")).alias("first"), F.count("*").alias("n"))
-    several = stored(firsts.where("n > 1").select("h", "h2", "first"), "line-firsts")
-    own = F.struct("doc", "th", "line_no")
-    marked = all_lines.join(several, ["h", "h2"], "left")
-    kept = marked.where(F.col("first").isNull() | (F.col("first") == own)).drop("first")
-    near = stored(near_lines(kept, edits), "line-near")
-    judged = marked.join(near, ["h", "h2"], "left")
-    equal = F.col("first").isNotNull() & (F.col("first") != own)
+    all_lines = stored(lines(docs, least_chars, edits), "lines")
+    several = stored(repeated(all_lines), "line-firsts")
+    near = stored(near_lines(all_lines, several, edits), "line-near")
+    judged = all_lines.select("doc", "th", "line_no", "h", "h2").join(several, ["h", "h2"], "left").join(near, ["h", "h2"], "left")
+    equal = F.col("first").isNotNull() & (F.col("first") != F.struct("doc", "th", "line_no"))
     return judged.where(equal | F.col("by").isNotNull()).select(
         "doc", "th", "line_no", F.coalesce(F.when(equal, F.col("first.doc")), F.col("by.doc")).alias("of_doc"),
         F.coalesce(F.when(equal, F.col("first.line_no")), F.col("by.line_no")).alias("of_line_no"), F.when(equal, 0).otherwise(F.col("by.edits")).alias("edits"),
     )
 
 
+def repeated(all_lines: DataFrame) -> DataFrame:
+    """h, h2, first place and number of the lines that stand more than once."""
+    counted = stored(all_lines.groupBy("h", "h2").agg(F.count("*").alias("n")).where("n > 1"), "line-counts")
+    return all_lines.select("h", "h2", "doc", "th", "line_no").join(counted, ["h", "h2"]).groupBy("h", "h2", "n").agg(F.min(F.struct("doc", "th", "line_no")).alias("first"))
+
+
 def without_duplicate_lines(docs: DataFrame, edits: int = EDITS, least_chars: int = LEAST_CHARS, drop_emptied: bool = False) -> DataFrame:
     """docs with the lines gone from text (and n_chars counted anew where a text changed), all columns and rows.
 
