@@ -30,10 +30,11 @@ EDITS = 2
 LEAST_CHARS = 30
 ANY = 1
 CHARS_AN_EDIT = 15
-LETTERS = "etno"
-RARER = "aisrhldcum"
+LETTERS = "et"
+RARER = "noaisrhldcum"
 OFTEN = 40
 COPIES = 16
+MOST_WORDS = 1 << 20  # of 64 bits: the bound of what is sent to all
 
 
 def fold(line: Column) -> Column:
@@ -49,14 +50,19 @@ def allowed(n: Column, edits: int) -> Column:
     return F.least(F.lit(edits), F.floor(n / CHARS_AN_EDIT).cast("int"))
 
 
-def lines(docs: DataFrame, least_chars: int = LEAST_CHARS, edits: int = EDITS) -> DataFrame:
-    """doc (null id: the least long), th, line_no, norm, n, h, h2, sk, ix and pr (index and probe keys) of the lines that count."""
+def placed_lines(docs: DataFrame, least_chars: int = LEAST_CHARS) -> DataFrame:
+    """doc (null id: the least long), th, line_no, norm, n, h, h2 of the lines that count."""
     doc = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63)))
     each = docs.where(F.col("text").isNotNull()).select(doc.alias("doc"), F.xxhash64("text").alias("th"), F.posexplode_outer(F.split(F.lower("text"), "\n")).alias("line_no", "norm"))
     each = each.withColumn("norm", fold(F.col("norm")))
     each = each.where(F.length("norm") >= least_chars).withColumn("n", F.length("norm"))
+    return each.withColumns({"h": F.xxhash64("norm"), "h2": F.xxhash64(F.lit(1), F.col("norm"))})
+
+
+def lines(docs: DataFrame, least_chars: int = LEAST_CHARS, edits: int = EDITS) -> DataFrame:
+    """The same without norm, but with sk, ix and pr: sketch, index and probe keys."""
     index, probe = segment_keys(edits)
-    return each.withColumns({"h": F.xxhash64("norm"), "h2": F.xxhash64(F.lit(1), F.col("norm")), "sk": sketch(F.col("norm")), "ix": index, "pr": probe})
+    return placed_lines(docs, least_chars).withColumns({"sk": sketch(F.col("norm")), "ix": index, "pr": probe}).drop("norm")
 
 
 def _places(e: int) -> tuple[list, list]:
@@ -201,21 +207,31 @@ def _ends(near: DataFrame) -> DataFrame:
     return near.select(pick("h", "a").alias("h"), pick("h2", "a").alias("h2"), *[pick(k, "b").alias(k) for k in ("doc", "th", "line_no")], "edits")
 
 
-def _texts(all_lines: DataFrame, wanted: DataFrame) -> DataFrame:
-    """h, h2, norm and the first place of the lines whose h is wanted."""
-    one = all_lines.join(wanted, "h").groupBy("h", "h2").agg(F.min(F.struct("doc", "th", "line_no", "norm")).alias("one"))
+def _maybe(rows: DataFrame, wanted: DataFrame) -> DataFrame:
+    """The rows whose h may be wanted, by a table of bits of a bounded size, ahead of the join that decides."""
+    words = min(MOST_WORDS, max(1 << 10, 1 << (wanted.count() // 8).bit_length()))
+    word = f"shiftrightunsigned(h, 6) % {words}"
+    bits = wanted.select(F.expr(word).alias("_w"), F.expr("shiftleft(1L, int(h & 63))").alias("_b")).groupBy("_w").agg(F.bit_or("_b").alias("_b"))
+    held = rows.withColumn("_w", F.expr(word)).join(F.broadcast(bits), "_w")  # at most MOST_WORDS rows of two longs
+    return held.where(F.expr("shiftrightunsigned(_b, int(h & 63)) & 1 = 1")).drop("_w", "_b")
+
+
+def _texts(docs: DataFrame, wanted: DataFrame) -> DataFrame:
+    """h, h2, norm and the first place of the lines whose h is wanted, read from the documents again."""
+    wanted = stored(wanted, "line-wanted")
+    one = _maybe(placed_lines(docs, CHARS_AN_EDIT).drop("n"), wanted).join(wanted, "h").groupBy("h", "h2").agg(F.min(F.struct("doc", "th", "line_no", "norm")).alias("one"))
     return one.select("h", "h2", "one.*")
 
 
-def _often(members: DataFrame, all_lines: DataFrame, edits: int) -> tuple[DataFrame, DataFrame]:
+def _often(members: DataFrame, found: DataFrame, edits: int) -> tuple[DataFrame, DataFrame]:
     """Pairs of lines that share a frequent segment.
 
-    members: key, h, sk, e, ix of those segments. Returns verified pairs with each
-    segment's leader, and h_a, h_b of the other pairs that letter pairs don't rule out.
+    members: key, h, sk, e, ix of those segments; found: texts, as _texts gives. Returns
+    verified pairs with each segment's leader, and h_a, h_b of the other pairs that letter
+    pairs don't rule out.
     """
     few = 2 * edits
-    members = stored(members.distinct(), "line-often")
-    texts = stored(letter_pairs(_texts(all_lines, members.select("h").distinct())), "line-often-texts")
+    texts = stored(letter_pairs(found.join(members.select("h").distinct(), "h")), "line-often-texts")
     place = F.struct("doc", "th", "line_no")
     rows = members.join(texts.select("h", place.alias("place")), "h")
     lead = rows.groupBy("key").agg(F.min(F.struct("place", "h")).alias("lead")).select("key", F.col("lead.h").alias("lead"))
@@ -237,30 +253,33 @@ def _often(members: DataFrame, all_lines: DataFrame, edits: int) -> tuple[DataFr
     return near, met
 
 
-def near_lines(all_lines: DataFrame, several: DataFrame, edits: int = EDITS, often: int = OFTEN) -> DataFrame:
+def near_lines(docs: DataFrame, all_lines: DataFrame, several: DataFrame, edits: int = EDITS, often: int = OFTEN) -> DataFrame:
     """h, h2 of the lines near an earlier one, and the earliest such.
 
-    all_lines: as `lines` gives; several: h, h2, first and n of those that stand more than once.
+    all_lines: as `lines` gives of docs; several: h, h2, first and n of those that stand more than once.
     """
     n = F.col("n")
     # of lines with many copies only the first is looked up; a few equal rows more do no harm
-    copied = several.where(F.col("n") > COPIES).select("h", "h2", "first")
+    copied = stored(several.where(F.col("n") > COPIES).select("h", "h2", "first"), "line-copied")
     keys = all_lines.where(n >= CHARS_AN_EDIT).select("h", "h2", "doc", "th", "line_no", "n", "sk", "ix", "pr").join(copied, ["h", "h2"], "left")
     keys = keys.where(F.col("first").isNull() | (F.col("first") == F.struct("doc", "th", "line_no")))
     keyed = lambda of, ix: keys.select("h", "sk", allowed(n, edits).alias("e"), F.lit(ix).alias("ix"), F.explode_outer(of).alias("key"))
     indexed, probes = keyed("ix", True), keyed("pr", False)
     frequent = stored(indexed.groupBy("key").agg(F.count("*").alias("m")).where(F.col("m") > often).select("key"), "line-frequent")
-    usual = lambda df: df.join(frequent, "key", "left_anti")
-    a, b = usual(indexed), usual(probes)
-    as_probe = lambda df: df.select(F.col("h").alias("ph"), F.col("sk").alias("psk"), "key")
-    near = sketch_near(F.col("sk"), F.col("psk"), F.col("e"))
-    placed = a.join(as_probe(a), "key").where((F.col("h") < F.col("ph")) & near)
-    moved = a.join(as_probe(b), "key").where((F.col("h") != F.col("ph")) & near)
-    led, more = _often(indexed.unionByName(probes).join(frequent, "key", "left_semi"), all_lines, edits)
-    met = placed.select("h", "ph").unionByName(moved.select("h", "ph")).select(F.least("h", "ph").alias("h_a"), F.greatest("h", "ph").alias("h_b")).unionByName(more)
-    pairs = stored(met.distinct(), "line-pairs")
-    texts = stored(_texts(all_lines, pairs.select(F.col("h_a").alias("h")).union(pairs.select("h_b")).distinct()), "line-texts")
-    near = stored(_verified(pairs, texts, edits), "line-verified")
+    usual = lambda df: df.join(frequent, "key", "left_anti").select("key", "h", "sk", "e")
+    a = usual(indexed)  # both sides read the same columns, so that it is shuffled once for all three places
+
+    def meet(right: DataFrame, once: bool) -> DataFrame:
+        x, y = a.alias("x"), right.alias("y")
+        fits = sketch_near(F.col("x.sk"), F.col("y.sk"), F.least("x.e", "y.e"))
+        order = F.col("x.h") < F.col("y.h") if once else F.col("x.h") != F.col("y.h")
+        return x.join(y, F.col("x.key") == F.col("y.key")).where(order & fits).select(F.least("x.h", "y.h").alias("h_a"), F.greatest("x.h", "y.h").alias("h_b"))
+
+    members = stored(indexed.unionByName(probes).join(frequent, "key", "left_semi").distinct(), "line-often")
+    met = stored(meet(a, True).unionByName(meet(usual(probes), False)).distinct(), "line-pairs")
+    texts = stored(_texts(docs, met.select(F.col("h_a").alias("h")).union(met.select("h_b")).union(members.select("h")).distinct()), "line-texts")
+    led, more = _often(members, texts, edits)
+    near = stored(_verified(met.unionByName(more).distinct(), texts, edits), "line-verified")
     return _ends(near).unionByName(_ends(led)).groupBy("h", "h2").agg(F.min(F.struct("doc", "th", "line_no", "edits")).alias("by"))
 
 
@@ -268,7 +287,7 @@ def duplicate_lines(docs: DataFrame, edits: int = EDITS, least_chars: int = LEAS
     """doc, th, line_no, of_doc, of_line_no, edits of every line that goes."""
     all_lines = stored(lines(docs, least_chars, edits), "lines")
     several = stored(repeated(all_lines), "line-firsts")
-    near = stored(near_lines(all_lines, several, edits), "line-near")
+    near = stored(near_lines(docs, all_lines, several, edits), "line-near")
     judged = all_lines.select("doc", "th", "line_no", "h", "h2").join(several, ["h", "h2"], "left").join(near, ["h", "h2"], "left")
     equal = F.col("first").isNotNull() & (F.col("first") != F.struct("doc", "th", "line_no"))
     return judged.where(equal | F.col("by").isNotNull()).select(
@@ -279,8 +298,8 @@ def duplicate_lines(docs: DataFrame, edits: int = EDITS, least_chars: int = LEAS
 
 def repeated(all_lines: DataFrame) -> DataFrame:
     """h, h2, first place and number of the lines that stand more than once."""
-    counted = stored(all_lines.groupBy("h", "h2").agg(F.count("*").alias("n")).where("n > 1"), "line-counts")
-    return all_lines.select("h", "h2", "doc", "th", "line_no").join(counted, ["h", "h2"]).groupBy("h", "h2", "n").agg(F.min(F.struct("doc", "th", "line_no")).alias("first"))
+    firsts = all_lines.groupBy("h", "h2").agg(F.min(F.struct("doc", "th", "line_no")).alias("first"), F.count("*").alias("n"))
+    return firsts.where("n > 1")
 
 
 def without_duplicate_lines(docs: DataFrame, edits: int = EDITS, least_chars: int = LEAST_CHARS, drop_emptied: bool = False) -> DataFrame:

@@ -383,8 +383,8 @@ def test_frequent_segments_lose_no_line(spark):
     rng.shuffle(lines)
     d = docs(spark, lines)
     found = L.lines(d)
-    few = {(r.h, r.by) for r in L.near_lines(found, L.repeated(found), often=10**6).collect()}
-    assert few and {(r.h, r.by) for r in L.near_lines(found, L.repeated(found), often=5).collect()} == few
+    few = {(r.h, r.by) for r in L.near_lines(d, found, L.repeated(found), often=10**6).collect()}
+    assert few and {(r.h, r.by) for r in L.near_lines(d, found, L.repeated(found), often=5).collect()} == few
 
 
 def test_equal_lines_of_any_length_go(spark, tmp_path):
