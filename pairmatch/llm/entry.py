@@ -132,8 +132,13 @@ with d as (select doc_id, list_filter(string_split_regex(lower(coalesce(text, ''
 b as (select item_id, list_filter(string_split_regex(lower(text), '[^\p{L}\p{N}]+'), lambda x: x <> '') as t from benchmark),
 dt as (select doc_id, unnest(t) as w, generate_subscripts(t, 1) as p from d),
 bt as (select item_id, len(t) as n, unnest(t) as w, generate_subscripts(t, 1) as q from b),
-m as (select doc_id, item_id, n, p - q as shift, count(*) as c from dt join bt using (w) group by all),
-g as (select *, row_number() over (partition by doc_id, item_id order by c desc, shift) as r from m where c * 1000 >= n * 800)
+m as (select doc_id, item_id, n, n - ceil(n * 800 / 1000)::int as lost, p - q as shift, q, p from dt join bt using (w)),
+k as (select distinct a.doc_id, a.item_id, a.shift from m a join m b on a.doc_id = b.doc_id and a.item_id = b.item_id and a.shift = b.shift and b.q = a.q + 1
+  join m c on a.doc_id = c.doc_id and a.item_id = c.item_id and a.shift = c.shift and c.q = a.q + 2),
+j as (select m.* from m join k using (doc_id, item_id, shift)),
+u as (select k.doc_id, k.item_id, k.shift, j.n, least(count(distinct j.q), count(distinct j.p)) as c
+  from k join j on k.doc_id = j.doc_id and k.item_id = j.item_id and j.shift between k.shift and k.shift + j.lost group by all),
+g as (select *, row_number() over (partition by doc_id, item_id order by c desc, shift) as r from u where c * 1000 >= n * 800)
 select doc_id, item_id, greatest(shift, 0)::bigint as start, c::bigint as matched, n::bigint as item_tokens from g where r = 1
 """
 

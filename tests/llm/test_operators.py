@@ -145,6 +145,39 @@ def test_leaks_with_changed_tokens_are_found_on_either_path(spark, limit):
         assert overlaps(d, bench.where("false")).count() == 0 and clean_of(docs(spark, []), bench).count() == 0
 
 
+def test_leaks_of_odd_and_short_items(spark):
+    from pairmatch.llm.decontaminate import clean_of, overlaps
+
+    rng = random.Random(55)
+    text = " ".join
+    long = words(rng, 30)
+    bench = spark.createDataFrame([(None, text(words(random.Random(1), 25))), (4, text(words(random.Random(2), 25))), (4, text(words(random.Random(3), 25))), (5, text(long))], "item_id long, text string")
+    apart = long[15:] + words(rng, 300, 90000) + long[:15]
+    d = docs(spark, [text(words(random.Random(k), 25)) for k in (1, 2, 3)] + [text(apart), text(long[:11] + long[12:]), text(words(rng, 30000)) + " " + text(long)])
+    got = {(r.doc_id, r.item_id, r.matched) for r in overlaps(d, bench).collect()}
+    assert got == {(0, None, 25), (1, 4, 25), (2, 4, 25), (4, 5, 29), (5, 5, 30)}
+    clash = d.withColumns({"_leak": F.lit(1), "th": F.lit(2), "row": F.lit(3)})
+    kept = clean_of(clash, bench)
+    assert kept.columns == clash.columns and [r.doc_id for r in kept.collect()] == [3]
+    for n, least in ((10, 1.0), (15, 1.0), (22, 1.0), (30, 0.98)):  # a fifth of the tokens changed anywhere
+        items = [words(rng, n, 10**6) for _ in range(100)]
+        copies = []
+        for t in items:
+            c = list(t)
+            for k in rng.sample(range(n), n // 5):
+                c[k] = "other"
+            copies.append(text(words(rng, 40) + c + words(rng, 40)))
+        found = overlaps(docs(spark, copies), spark.createDataFrame([(i, text(t)) for i, t in enumerate(items)], "item_id long, text string")).where("doc_id = item_id").count()
+        assert found >= least * 100, (n, found)
+
+
+def test_leaks_agree_with_sql(spark):
+    from pairmatch.llm.entry import OP4_SQL, op4_spaced_seeds
+    from tests.oracle import same
+
+    same(spark, op4_spaced_seeds, OP4_SQL, "/root/testdata/sf0.01")
+
+
 # --- 5, 7: learned scores -----------------------------------------------------------
 
 
