@@ -196,7 +196,7 @@ def _verified(pairs: DataFrame, texts: DataFrame, edits: int) -> DataFrame:
     both = both.where(letters_near(F.col("norm_a"), F.col("norm_b"), F.col("e")))
     cells = differing(both, "norm_a", "norm_b")
     near = cells.withColumn("edits", F.explode_outer(F.array(within_edits("x", "y", edits)))).drop("x", "y")
-    return near.where((F.col("edits") <= F.col("e")) & (F.levenshtein("norm_a", "norm_b", edits) >= 0))
+    return near.where(F.col("edits") <= F.col("e"))
 
 
 def _ends(near: DataFrame) -> DataFrame:

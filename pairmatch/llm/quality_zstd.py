@@ -5,12 +5,14 @@ is cut into chunks, each compressed with either dictionary; the difference of th
 summed sizes over the text's bytes is turned into a score by logistic calibration
 on labelled rows that trained no dictionary.
 
-The labelled rows used are at most `per_class` of each class (the lowest by hash of
-the id) and `sample_bytes` of each text; scoring reads whole texts.
+The labelled rows used are at most `per_class` of each class (the lowest by hash of the
+id); of the longer ones `parts` pieces, dealt evenly from first to last, so that the
+sample has a bound; scoring reads whole texts.
 
 Defined results: null and empty texts score the calibration's value at difference 0;
 null labels and labels without a document are not used; with one class or none the
-score is constant.
+score is constant; repeated rows are scored each, alike; an empty table gives no row;
+texts of any length are read whole, chunk by chunk.
 """
 
 from __future__ import annotations
@@ -23,17 +25,27 @@ from pairmatch.llm.common import fit_logistic, sigmoid, stored
 
 CHUNK = 2048
 DICTIONARY = 110 * 1024
+PIECE = 2048
 SHRINK = 128  # bytes added to a text's length, so that short texts need more evidence
 LEVEL = 3
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, learn: Column, per_class: int, sample_bytes: int) -> list:
-    """[(text, 0 or 1)] of at most per_class rows of either class, chosen by hash."""
+def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, learn: Column, per_class: int, parts: int) -> list:
+    """[([pieces of a text], 0 or 1)] of at most per_class rows of either class, chosen by hash.
+
+    Texts of more than `parts` pieces of PIECE characters give that many, dealt evenly
+    from their first to their last: what the driver gets is bounded, and no part of a
+    text is beyond the reach of fitting.
+    """
     picked = labels.where(learn & F.col("doc_id").isNotNull()).select("doc_id", F.col(label).alias("y"), F.xxhash64(F.lit("sample"), F.col("doc_id")).alias("n"))
     lowest = [picked.where(F.col("y") == y).orderBy("n", "doc_id").limit(per_class) for y in (0, 1)]
     chosen = stored(lowest[0].unionByName(lowest[1]), "labelled-sample")  # 2 x per_class rows
-    rows = docs.select("doc_id", F.substring(F.col("text"), 1, sample_bytes).alias("text")).join(F.broadcast(chosen), "doc_id").collect()
-    return [(r["text"] or "", r["y"]) for r in sorted(rows, key=lambda r: (r["n"], r["y"]))]
+    n = f"int(ceil(length(text) / {PIECE}))"
+    at = f"if({n} <= {parts}, sequence(0, greatest({n} - 1, 0)), transform(sequence(0, {parts - 1}), i -> int(round(i * ({n} - 1) / {max(parts - 1, 1)}))))"
+    pieces = F.expr(f"transform({at}, i -> substr(text, 1 + i * {PIECE}, {PIECE}))")
+    held = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
+    rows = held.select("doc_id", pieces.alias("pieces"), F.xxhash64("text").alias("th")).join(F.broadcast(chosen), "doc_id").collect()
+    return [(r["pieces"], r["y"]) for r in sorted(rows, key=lambda r: (r["n"], r["y"], r["th"]))]
 
 
 def chunks(data: bytes):
@@ -62,10 +74,10 @@ class TwoDictionaries:
         return sigmoid(self.weight * difference + self.bias)
 
 
-def _train(texts: list[str]) -> bytes:
+def _train(texts: list[list[str]]) -> bytes:
     import zstandard as z
 
-    parts = [c for t in texts for c in chunks(t.encode())]
+    parts = [c for t in texts for c in chunks("".join(t).encode())]
     try:
         return z.train_dictionary(DICTIONARY, parts).as_bytes()
     except z.ZstdError:  # too little text to train on: the text itself is the dictionary
@@ -81,7 +93,7 @@ def fit(sample: list, odds: float = 1.0) -> TwoDictionaries:
     model = TwoDictionaries(_train(shape[1]), _train(shape[0]))
     held = [(t, y) for y in (0, 1) for t in by[y][len(shape[y]) :]]
     good, bad = model.compressors()
-    x = np.array([model.difference(t.encode(), good, bad) for t, _ in held])
+    x = np.array([model.difference("".join(t).encode(), good, bad) for t, _ in held])
     w, model.bias = fit_logistic(x, np.array([y for _, y in held])) if held else (np.zeros(1), 0.0)
     model.weight = float(w[0])
     if model.weight:
@@ -104,7 +116,7 @@ def score_documents(docs: DataFrame, model: TwoDictionaries) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, difference double, score double")
 
 
-def quality_scores(docs: DataFrame, labels: DataFrame, learn: Column, per_class: int = 4000, sample_bytes: int = 8192) -> DataFrame:
+def quality_scores(docs: DataFrame, labels: DataFrame, learn: Column, per_class: int = 4000, parts: int = 4) -> DataFrame:
     n = labels.where(learn).agg(F.count_if(F.col("quality") == 1).alias("good"), F.count_if(F.col("quality") == 0).alias("bad")).first()
     odds = n["good"] / n["bad"] if n["good"] and n["bad"] else 1.0
-    return score_documents(docs, fit(labelled_sample(docs, labels, "quality", learn, per_class, sample_bytes), odds))
+    return score_documents(docs, fit(labelled_sample(docs, labels, "quality", learn, per_class, parts), odds))

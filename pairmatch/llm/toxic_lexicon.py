@@ -7,12 +7,13 @@ shortest beginning that is rare in clean text, lengthened while it loses few tox
 documents. A hit inside an exception phrase does not count. The weight found is set
 against the text's length and calibrated to a score.
 
-The labelled rows used are at most `per_class` of each class, lowest by hash of the
-id, and `sample_bytes` of each; scoring reads whole texts.
+The labelled rows used are at most `per_class` of each class, lowest by hash of the id,
+of the longer ones `parts` pieces, dealt evenly from first to last; texts that are equal
+when folded count once. Scoring reads whole texts.
 
 Defined results: null and empty texts have weight 0 and so the lowest score; null
 labels, and labels without a document, are not used; an empty lexicon scores all
-documents alike.
+documents alike; repeated rows are scored each, alike; an empty table gives no row.
 """
 
 from __future__ import annotations
@@ -80,8 +81,11 @@ class Lexicon:
                 spare.append((end - n, end))
             else:
                 hits.append((end - n, end, weight))
-        for a, b, weight in hits:
-            if not any(s <= a and b <= e for s, e in spare):
+        reach, rest = 0, sorted(spare, reverse=True)  # phrases by where they begin; the furthest end of those begun
+        for a, b, weight in sorted(hits):
+            while rest and rest[-1][0] <= a:
+                reach = max(reach, rest.pop()[1])
+            if b > reach:
                 total += weight
         return total
 
@@ -95,16 +99,11 @@ class Lexicon:
 
 
 def learn_lexicon(sample: list, exceptions: tuple[str, ...] = (), precision: float = 0.9, support: int = 8) -> Lexicon:
-    """sample: [(text, toxic)]; exceptions: phrases, besides those that are learnt."""
+    """sample: [(text, or its pieces; toxic)]; exceptions: phrases, besides those that are learnt."""
     import numpy as np
 
-    heads, folded = set(), []
-    for t, y in sample:  # copies of one text must not vouch for its words
-        f = fold(t)
-        ends = {(y, f[:60]), (y, f[-60:], 1)}
-        if not ends & heads:
-            folded.append((f, y))
-        heads |= ends
+    sample = [(t if isinstance(t, str) else "".join(t), y) for t, y in sample]
+    folded = list(dict.fromkeys((fold(t), y) for t, y in sample))  # copies of one text must not vouch for its words
     size = Counter(y for _, y in folded)
     least = max(support, 0.02 * size[1])
     seen: dict[int, Counter] = {0: Counter(), 1: Counter()}
@@ -176,8 +175,8 @@ def clean_documents(docs: DataFrame, lexicon: Lexicon, threshold: float = 0.7) -
     return docs.mapInArrow(run, docs.schema)
 
 
-def fitted_lexicon(docs: DataFrame, labels: DataFrame, learn: Column, per_class: int = 3000, sample_bytes: int = 16384) -> Lexicon:
-    return learn_lexicon(labelled_sample(docs, labels, "toxic", learn, per_class, sample_bytes))
+def fitted_lexicon(docs: DataFrame, labels: DataFrame, learn: Column, per_class: int = 3000, parts: int = 8) -> Lexicon:
+    return learn_lexicon(labelled_sample(docs, labels, "toxic", learn, per_class, parts))
 
 
 def toxicity_scores(docs: DataFrame, labels: DataFrame, learn: Column) -> DataFrame:

@@ -195,6 +195,65 @@ def test_quality_separates_held_out_texts(spark):
     assert quality_scores(d, labels.where("false"), F.lit(True)).count() == 242
 
 
+def test_quality_equals_brute_force_over_whole_texts(spark):
+    import zstandard as z
+
+    from pairmatch.llm.quality_zstd import CHUNK, LEVEL, SHRINK, fit, score_documents
+
+    rng = random.Random(66)
+    prose, junk = (lambda n: " ".join(words(rng, n))), (lambda n: "".join(rng.choice("#$%&! ") for _ in range(n)))
+    model = fit([([prose(80)], 1) for _ in range(60)] + [([junk(400)], 0) for _ in range(60)])
+    texts = [prose(30), junk(200), prose(9000) + junk(9000), None, "", prose(30)]
+    make = lambda d: z.ZstdCompressor(level=LEVEL, dict_data=z.ZstdCompressionDict(d), write_content_size=False, write_checksum=False, write_dict_id=False)
+    size = lambda t, d: sum(len(make(d).compress(t[i : i + CHUNK])) for i in range(0, len(t), CHUNK))
+    for r in score_documents(docs(spark, texts), model).collect():
+        t = (texts[r.doc_id] or "").encode()
+        diff = (size(t, model.bad) - size(t, model.good)) / (len(t) + SHRINK) if t else 0.0
+        assert abs(r.difference - diff) < 1e-12 and abs(r.score - 1 / (1 + math.exp(-model.weight * diff - model.bias))) < 1e-9
+    assert score_documents(docs(spark, []), model).count() == 0
+
+
+def test_samples_reach_over_whole_texts(spark):
+    from pairmatch.llm.quality_zstd import PIECE, labelled_sample
+
+    text = "".join(chr(97 + i) * PIECE for i in range(9)) + "z"
+    d = docs(spark, [text, None, "", "short"])
+    labels = spark.createDataFrame([(i, 1, 0) for i in range(4)], "doc_id long, quality int, toxic int")
+    got = {len(p): ["".join(sorted(set(x))) for x in p] for p, _ in labelled_sample(d, labels, "quality", F.lit(True), 10, 4)}
+    assert got[4] == ["a", "d", "g", "z"] and sorted(got) == [1, 4]
+
+
+def test_common_headers_do_not_empty_the_lexicon(spark):
+    from pairmatch.llm.toxic_lexicon import Lexicon, fold, learn_lexicon
+
+    rng = random.Random(77)
+    head, foot = "this header of more than sixty characters opens every document of the source", "and this footer of more than sixty characters closes every document of it"
+    text = lambda bad: " ".join([head, *words(rng, 40), *(["grobian"] if bad else []), *words(rng, 20), foot])
+    lex = learn_lexicon([(text(i % 4 == 0), int(i % 4 == 0)) for i in range(200)])
+    assert set(lex.weights) == {"grobian"} and lex.slope > 0
+    # hits outside exception phrases, by brute force
+    lexicon = Lexicon({"abc": 2.0, "bcd": 3.0}, ("abc film", "the abc film", "bcd"))
+    automaton = lexicon.automaton()
+    for _ in range(200):
+        t = fold(" ".join(rng.choice(["abc", "bcd", "abcx", "film", "the", "bcdq"]) for _ in range(rng.randrange(12))))
+        spare = [(m.start(), m.start() + len(p) + 1) for p in lexicon.exceptions for m in re.finditer(f"(?= {p} )", t)]
+        hits = [(m.start(), m.start() + len(w) , x) for w, x in lexicon.weights.items() for m in re.finditer(f"(?= {w})", t)]
+        assert lexicon.found(t, automaton) == sum(x for a, b, x in hits if not any(s <= a and b <= e for s, e in spare))
+
+
+def test_toxicity_equals_brute_force(spark):
+    from pairmatch.llm.toxic_lexicon import Lexicon, fold, score_documents
+
+    rng = random.Random(78)
+    lexicon = Lexicon({"schurk": 3.0, "halunke": 5.5}, (), 2.0, -1.0)
+    texts = [" ".join([*words(rng, n), *(["Schurken", "HALUNKE", "xschurk"] * k)]) for n in (5, 50, 20000) for k in (0, 1, 3)] + [None, ""]
+    for r in score_documents(docs(spark, texts), lexicon).collect():
+        f = fold(texts[r.doc_id] or "")
+        weight = sum(3.0 for w in f.split() if w.startswith("schurk")) + sum(5.5 for w in f.split() if w.startswith("halunke"))
+        x = math.log1p(100 * weight / (100 + math.sqrt(len(f)))) if weight else 0.0
+        assert abs(r.feature - x) < 1e-9 and abs(r.score - 1 / (1 + math.exp(1 - 2 * x))) < 1e-9
+
+
 def test_toxicity_folds_and_spares_exceptions(spark):
     from pairmatch.llm.toxic_lexicon import Lexicon, clean_documents, fold, learn_lexicon, score_documents
 
@@ -260,6 +319,28 @@ def test_near_duplicates_equal_brute_force(spark):
     assert near_duplicates(docs(spark, [])).count() == 0
 
 
+def test_ids_with_several_texts_are_one_document(spark):
+    from pairmatch.llm.minhash_bbit import near_duplicates
+
+    rng = random.Random(88)
+    a, b = words(rng, 60), words(rng, 60)
+    near = lambda t: " ".join(t[:-1] + ["other"])
+    d = docs(spark, [" ".join(a), " ".join(b), near(a), near(b), " ".join(words(rng, 60)), near(b)], [1, 1, 2, 3, 4, 9])
+    got = sorted((r.doc_id, r.component_id) for r in near_duplicates(d, 85).collect())
+    assert got == [(1, 1), (1, 1), (2, 1), (3, 1), (4, 4), (9, 1)]
+
+
+def test_a_very_long_text_and_its_near_copy(spark):
+    from pairmatch.llm.line_dedup import duplicate_lines
+    from pairmatch.llm.minhash_bbit import near_duplicates
+
+    rng = random.Random(89)
+    long = words(rng, 60000)
+    d = docs(spark, [" ".join(long), " ".join(long[:30000] + ["x"] + long[30001:]), "q " * 30000])
+    assert sorted((r.doc_id, r.component_id) for r in near_duplicates(d, 85).collect()) == [(0, 0), (1, 0), (2, 2)]
+    assert [(r.doc, r.of_doc, r.edits) for r in duplicate_lines(docs(spark, [" ".join(long), " ".join(long)[:-1] + "é"])).collect()] == [(1, 0, 1)]
+
+
 def test_components_of_paths_and_stars(spark):
     from pairmatch.llm.components import components
 
