@@ -15,7 +15,8 @@ its own distinct words, and is scored with what it was sent.
 Defined results: null text is the empty text, which costs the end mark alone; NUL
 bytes count as byte 1, since NUL marks both ends; repeated rows are scored each; rows
 with a null id are scored, learnt from, and never held out; with no training rows
-every byte costs log10(1/256) and the base score is 0.
+every byte costs log10(1/256) and the base score is 0; an empty table gives no row;
+texts of any length are scored whole, and a block holds one at least.
 """
 
 from __future__ import annotations
@@ -28,9 +29,9 @@ from pyspark.sql import DataFrame, functions as F
 from pairmatch.llm.common import stored
 
 ORDER = 5
-BLOCK_BYTES = 24_000_000
+BLOCK_BYTES = 16_000_000
 FLUSH_BYTES = 1_000_000
-MERGE_CODES = 4_000_000
+MERGE_CODES = 2_000_000
 FLUSH_WORDS = 600_000
 MASK = [(1 << 8 * (j + 1)) - 1 for j in range(ORDER + 1)]
 
@@ -77,29 +78,30 @@ def merge(parts: list):
 
 
 def _count_grams(batches):
-    import numpy as np
+    """Counts of a part's codes; what grows past MERGE_CODES is sent on, for the grouped sum to put together."""
     import pyarrow as pa
 
     parts, texts, size = [], [], 0
 
-    def flush():
+    def rows(last: bool):
         nonlocal parts, texts, size
         if texts:
             parts.append(distinct(grams(texts)[0], True))
-            if sum(len(p[0]) for p in parts) > MERGE_CODES:
-                parts = [merge(parts)]
-        texts, size = [], 0
+            texts, size = [], 0
+        if last or sum(len(p[0]) for p in parts) > MERGE_CODES:
+            parts = [merge(parts)]
+            if last or len(parts[0][0]) > MERGE_CODES // 2:
+                keys, n = parts.pop()
+                for i in range(0, len(keys), 100_000):
+                    yield pa.record_batch([pa.array(keys[i : i + 100_000]), pa.array(n[i : i + 100_000].astype("int64"))], names=["g", "n"])
 
     for batch in batches:
         for t in batch.column(0):
             texts.append(clean(t.as_py()))
             size += len(texts[-1]) + 64
             if size > FLUSH_BYTES:
-                flush()
-    flush()
-    keys, n = merge(parts)
-    for i in range(0, len(keys), 100_000):
-        yield pa.record_batch([pa.array(keys[i : i + 100_000]), pa.array(n[i : i + 100_000].astype(np.int64))], names=["g", "n"])
+                yield from rows(False)
+    yield from rows(True)
 
 
 def _count_words(batches):
@@ -220,16 +222,18 @@ class Lookup:
 
 def _score_block(end_log: float, log_all: float):
     def run(key, docs, sent):
-        import numpy as np
-        import pandas as pd
-
-        coded = sent[sent.g.notna()]
-        look = Lookup(coded.g.to_numpy().astype(np.int64), coded.v.to_numpy(float)) if len(coded) else None
-        named = sent[sent.word.notna()]
-        logs = dict(zip([w.encode() for w in named.word], named.v.tolist(), strict=True))
+        import pyarrow as pa
+        import pyarrow.compute as pc
+
+        coded = sent.filter(pc.is_valid(sent.column("g"))).select(["g", "v"])
+        look = Lookup(coded.column("g").to_numpy(), coded.column("v").to_numpy()) if len(coded) else None
+        del coded
+        named = sent.filter(pc.is_valid(sent.column("word"))).select(["word", "v"])
+        logs = dict(zip([w.encode() for w in named.column("word").to_pylist()], named.column("v").to_pylist(), strict=True))
+        del named, sent
         score, base, n_tokens, n_known, pending, size = [], [], [], [], [], 0
-        for i, text in enumerate(docs.text):
-            raw = (text or "").encode("utf-8", "replace").lower()
+        for i, text in enumerate(docs.column("text")):
+            raw = (text.as_py() or "").encode("utf-8", "replace").lower()
             got = [logs[w] for w in raw.split()] + [end_log]
             n_tokens.append(len(got))
             n_known.append(len(got) - got.count(0.0))
@@ -238,13 +242,19 @@ def _score_block(end_log: float, log_all: float):
             size += len(raw) + 64
             if size > FLUSH_BYTES or i == len(docs) - 1:
                 code, starts = grams(pending)
-                score += np.add.reduceat(look(code), starts).tolist()
+                score += [math.fsum(x) for x in _split(look(code), starts)]
                 pending, size = [], 0
-        return pd.DataFrame({"doc_id": docs.doc_id, "n_tokens": n_tokens, "n_known": n_known, "base_score": base, "score": score}).astype({"doc_id": "Int64"})
+        return pa.table({"doc_id": docs.column("doc_id"), "n_tokens": pa.array(n_tokens, pa.int64()), "n_known": pa.array(n_known, pa.int64()), "base_score": pa.array(base, pa.float64()), "score": pa.array(score, pa.float64())})
 
     return run
 
 
+def _split(values, starts):
+    import numpy as np
+
+    return np.split(values, starts[1:])
+
+
 def score_documents(docs: DataFrame, learn) -> DataFrame:
     """doc_id, n_tokens, n_known, train_tokens, base_score, score of every document.
 
@@ -260,17 +270,17 @@ def score_documents(docs: DataFrame, learn) -> DataFrame:
 
     total = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0)).alias("b"), F.count("*").alias("n")).first()
     blocks = max(1, -(-(total["b"] + 64 * total["n"]) // BLOCK_BYTES))
-    dealt = docs.select(F.pmod(F.xxhash64("doc_id", F.substring("text", 1, 64)), F.lit(blocks)).cast("int").alias("block"), "doc_id", "text")
+    dealt = docs.select(F.pmod(F.xxhash64("doc_id", "text"), F.lit(blocks)).cast("int").alias("block"), "doc_id", "text")
     asked = stored(dealt.groupBy("block").applyInArrow(_asks, "block int, g long, word string"), "ppm-asked")
     codes = asked.where("g is not null").select("block", "g")
     values = trie.log10_p(codes.select("g").distinct())
     sent = (
-        codes.join(values, "g").select("block", "g", F.lit(None).cast("string").alias("word"), F.col("lp").cast("float").alias("v"))
+        codes.join(values, "g").select("block", "g", F.lit(None).cast("string").alias("word"), F.col("lp").alias("v"))
         .unionByName(
             asked.where("word is not null").select("block", "word").join(words, "word", "left")
             .select("block", F.lit(None).cast("long").alias("g"), "word", F.log10(F.coalesce("n", F.lit(0)) + 1.0).cast("double").alias("v"))
         )
     )
     run = _score_block(math.log10(n_docs + 1), math.log10(train_tokens + distinct + 1))
-    out = dealt.groupBy("block").cogroup(sent.groupBy("block")).applyInPandas(run, "doc_id long, n_tokens long, n_known long, base_score double, score double")
+    out = dealt.groupBy("block").cogroup(sent.groupBy("block")).applyInArrow(run, "doc_id long, n_tokens long, n_known long, base_score double, score double")
     return out.select("doc_id", "n_tokens", "n_known", F.lit(train_tokens).cast("long").alias("train_tokens"), "base_score", "score")

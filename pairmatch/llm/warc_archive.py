@@ -2,7 +2,7 @@
 
 A capture is a request, a response or revisit, and a metadata record; the last two
 name the first's sibling through WARC-Concurrent-To. Reading parses records by their
-declared lengths, and assembly joins the three kinds into one nested row a capture.
+declared lengths (a torn record raises an error), and assembly joins the three kinds into one nested row a capture.
 Payloads are the UTF-8 bytes of the html; a payload already held by the page with the
 smallest id is written as a revisit of it.
 
@@ -51,9 +51,9 @@ def _id(kind: str, page: Column, digest: Column) -> Column:
 
 
 def _record(head: list[tuple[str, Column]], body: Column) -> Column:
-    """One record as text; the writer's line separator is the last line end."""
-    lines = [F.concat(F.lit(f"{k}: "), v) for k, v in head] + [F.concat(F.lit("Content-Length: "), F.octet_length(body).cast("string"))]
-    return F.concat(F.lit("WARC/1.1\r\n"), *[F.concat(x, F.lit("\r\n")) for x in lines], F.lit("\r\n"), body, F.lit("\r\n"))
+    """One record as text, without headers of null value; the writer's line separator is the last line end."""
+    lines = [F.concat(F.lit(f"{k}: "), v, F.lit("\r\n")) for k, v in head] + [F.concat(F.lit("Content-Length: "), F.octet_length(body).cast("string"), F.lit("\r\n"))]
+    return F.concat(F.lit("WARC/1.1\r\n"), *[F.coalesce(x, F.lit("")) for x in lines], F.lit("\r\n"), body, F.lit("\r\n"))
 
 
 def records(pages: DataFrame, decisions: DataFrame) -> DataFrame:
@@ -67,9 +67,9 @@ def records(pages: DataFrame, decisions: DataFrame) -> DataFrame:
     main = _id("main", page, digest)
     shared = [("WARC-Target-URI", uri), ("WARC-Date", F.lit(DATE))]
     held = F.concat(F.lit("HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\n\r\n"), F.when(hit, "").otherwise(F.col("body")))
-    refers = F.when(hit, F.concat(F.lit("\r\nWARC-Refers-To: "), _id("main", F.col("refers_to"), digest), F.lit("\r\nWARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"))).otherwise("")
+    of = [("WARC-Refers-To", F.when(hit, _id("main", F.col("refers_to"), digest))), ("WARC-Profile", F.when(hit, F.lit("http://netpreserve.org/warc/1.1/revisit/identical-payload-digest")))]
     response = _record(
-        [("WARC-Type", F.when(hit, "revisit").otherwise("response")), ("WARC-Record-ID", main), *shared, ("WARC-Payload-Digest", F.concat(F.lit("sha1:"), digest)), ("Content-Type", F.concat(F.lit("application/http; msgtype=response"), refers))], held
+        [("WARC-Type", F.when(hit, "revisit").otherwise("response")), ("WARC-Record-ID", main), *shared, ("WARC-Payload-Digest", F.concat(F.lit("sha1:"), digest)), *of, ("Content-Type", F.lit("application/http; msgtype=response"))], held
     )
     request = _record([("WARC-Type", F.lit("request")), ("WARC-Record-ID", _id("request", page, digest)), ("WARC-Concurrent-To", main), *shared, ("Content-Type", F.lit("application/http; msgtype=request"))], F.concat(F.lit("GET "), uri, F.lit(" HTTP/1.1\r\n\r\n")))
     metadata = _record(
@@ -86,20 +86,20 @@ def write_archives(pages: DataFrame, path: str, least_bytes: int = 0) -> str:
     return path
 
 
-def parse(data: bytes):
-    """(headers, block) of each record of an archive; ends at the first torn record."""
+def parse(data: bytes, strict: bool = False):
+    """(headers, block) of each record of an archive; a torn record ends it, or raises where strict."""
     at = data.find(b"WARC/1.")
     while 0 <= at < len(data):
         end = data.find(b"\r\n\r\n", at)
-        if end < 0:
-            return
         head = {}
-        for line in data[at:end].split(b"\r\n")[1:]:
+        for line in data[at : max(end, at)].split(b"\r\n")[1:]:
             name, _, value = line.partition(b":")
             head[name.strip().lower().decode("ascii", "replace")] = value.strip().decode("utf-8", "replace")
         size = int(head.get("content-length") or 0)
         block = data[end + 4 : end + 4 + size]
-        if len(block) < size:
+        if end < 0 or len(block) < size:
+            if strict:
+                raise ValueError(f"torn record at byte {at}: {head.get('warc-record-id')}")
             return
         yield head, block
         at = data.find(b"WARC/1.", end + 4 + size)
@@ -126,7 +126,7 @@ def read_records(spark, path: str) -> DataFrame:
                     data += d.decompress(rest) + d.flush()
                     rest = d.unused_data
                 rows = []
-                for head, block in parse(data):
+                for head, block in parse(data, strict=True):
                     rows.append((*(head.get(n) for n in names), block))
                     if len(rows) == 500:
                         yield pa.record_batch([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)], names=labels)
