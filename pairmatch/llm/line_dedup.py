@@ -30,8 +30,8 @@ EDITS = 2
 LEAST_CHARS = 30
 ANY = 1
 CHARS_AN_EDIT = 15
-LETTERS = "et"
-RARER = "noaisrhldcum"
+LETTERS = "etno"
+RARER = "aisrhldcum"
 OFTEN = 40
 COPIES = 16
 MOST_WORDS = 1 << 20  # of 64 bits: the bound of what is sent to all
@@ -105,19 +105,19 @@ def segment_keys(edits: int) -> tuple[Column, Column]:
     return out[0], out[1]
 
 
-def sketch(norm: Column) -> Column:
-    """Counts of common letters, a byte each, modulo 128."""
+def sketch(norm: Column, letters: str = LETTERS) -> Column:
+    """Counts of up to eight letters, a byte each, modulo 128."""
     out = F.lit(0).cast("long")
-    for i, c in enumerate(LETTERS):
+    for i, c in enumerate(letters):
         n = F.length(norm) - F.length(F.replace(norm, F.lit(c), F.lit("")))
         out = out.bitwiseOR(F.shiftleft((n % 128).cast("long"), 8 * i))
     return out
 
 
-def sketch_near(a: Column, b: Column, edits: Column) -> Column:
+def sketch_near(a: Column, b: Column, edits: Column, letters: str = LETTERS) -> Column:
     """Whether sketches allow so many edits: an edit puts in one letter at most, and takes out one at most."""
     more, less = F.lit(0), F.lit(0)
-    for i in range(len(LETTERS)):
+    for i in range(len(letters)):
         d = (F.shiftrightunsigned(a, 8 * i).bitwiseAND(127) - F.shiftrightunsigned(b, 8 * i).bitwiseAND(127) + 192) % 128 - 64
         more, less = more + F.greatest(d, F.lit(0)), less + F.greatest(-d, F.lit(0))
     return (more <= edits) & (less <= edits)
@@ -233,22 +233,29 @@ def _often(members: DataFrame, found: DataFrame, edits: int) -> tuple[DataFrame,
     few = 2 * edits
     texts = stored(letter_pairs(found.join(members.select("h").distinct(), "h")), "line-often-texts")
     place = F.struct("doc", "th", "line_no")
-    rows = members.join(texts.select("h", place.alias("place")), "h")
+    rows = members.join(texts.select("h", place.alias("place"), sketch(F.col("norm"), RARER[:8]).alias("rk")), "h")
     lead = rows.groupBy("key").agg(F.min(F.struct("place", "h")).alias("lead")).select("key", F.col("lead.h").alias("lead"))
     rows = stored(rows.join(lead, "key"), "line-often-led")
     own = rows.select("h", "lead").where("h <> lead").distinct()
     near = stored(_verified(own.select(F.col("h").alias("h_a"), F.col("lead").alias("h_b")), texts, edits), "line-led")
     close = near.select(F.col("h_a").alias("h"), F.col("h_b").alias("lead"), F.lit(True).alias("close")).distinct()
     bags = own.join(texts.select("h", "bag"), "h").join(texts.select(F.col("h").alias("lead"), F.col("bag").alias("of_lead")), "lead")
-    some = lambda a, b: F.expr(f"slice(array_sort(array_except({a}, {b})), 1, {few + 1})")
-    marks = lambda c: F.when(F.size(c) > few, F.col(c)).otherwise(F.concat(c, F.array(F.lit(0).cast("long"))))
-    told = bags.select("h", "lead", some("bag", "of_lead").alias("_m"), some("of_lead", "bag").alias("_l")).select("h", "lead", marks("_m").alias("more"), marks("_l").alias("less"))
+    sides = F.expr("array(struct(0 as side, array_except(bag, of_lead) as t), struct(1 as side, array_except(of_lead, bag) as t))")
+    apart = bags.select("h", "lead", F.explode(sides).alias("s")).select("h", "lead", "s.side", F.explode("s.t").alias("t"))
+    # the rarer a pair among the leader's lines, the earlier in the order: what all of them have besides it tells none apart
+    rare = apart.groupBy("lead", "side", "t").agg(F.count("*").alias("n"))
+    order = F.expr(f"transform(slice(sort_array(collect_list(struct(n, t))), 1, {few + 1}), x -> x.t)")
+    first = stored(apart.join(rare, ["lead", "side", "t"]).groupBy("h", "lead", "side").agg(order.alias("t")), "line-apart")
+    of_side = lambda i, name: first.where(F.col("side") == i).select("h", "lead", F.col("t").alias(name))
+    zero = F.array(F.lit(0).cast("long"))
+    marks = lambda c: F.when(F.size(c) > few, F.col(c)).otherwise(F.concat(F.coalesce(F.col(c), F.array().cast("array<bigint>")), zero))
+    told = own.join(of_side(0, "_m"), ["h", "lead"], "left").join(of_side(1, "_l"), ["h", "lead"], "left").select("h", "lead", marks("_m").alias("more"), marks("_l").alias("less"))
     told = stored(told.join(close, ["h", "lead"], "left").withColumn("close", F.coalesce("close", F.lit(False))), "line-told")
     # the leader itself has been compared with all; a line near it needs no other earlier one here
     cells = rows.join(told, ["h", "lead"]).withColumn("cell", F.explode(F.expr("flatten(transform(more, m -> transform(less, l -> xxhash64(key, m, l))))")))
-    cells = stored(cells.select("cell", "h", "sk", "e", "ix", "close", "place"), "line-cells")
-    later = cells.where("not close").select("cell", F.col("h").alias("ph"), F.col("sk").alias("psk"), F.col("e").alias("pe"), F.col("ix").alias("pix"), F.col("place").alias("pp"))
-    fits = (F.col("place") < F.col("pp")) & (F.col("ix") | F.col("pix")) & sketch_near(F.col("sk"), F.col("psk"), F.least("e", "pe"))
+    cells = stored(cells.select("cell", "h", "sk", "rk", "e", "ix", "close", "place"), "line-cells")
+    later = cells.where("not close").select("cell", F.col("h").alias("ph"), F.col("sk").alias("psk"), F.col("rk").alias("prk"), F.col("e").alias("pe"), F.col("ix").alias("pix"), F.col("place").alias("pp"))
+    fits = (F.col("place") < F.col("pp")) & (F.col("ix") | F.col("pix")) & sketch_near(F.col("sk"), F.col("psk"), F.least("e", "pe")) & sketch_near(F.col("rk"), F.col("prk"), F.least("e", "pe"), RARER[:8])
     met = cells.join(later, "cell").where(fits).select(F.least("h", "ph").alias("h_a"), F.greatest("h", "ph").alias("h_b"))
     return near, met
 
