@@ -47,11 +47,14 @@ SPLIT = "case when H('split|' || left_id) % 5 <= 2 then 'train' when H('split|'
 
 def pairs_cte(w: str, per_left: int = 10) -> str:
     """CTEs l, r and pairs (pair_id, left_id, right_id, left_seq, right_seq, y, split)."""
-    rank = duck_sql("row_number() over (partition by left_id order by y desc, H('neg|' || left_id || '|' || right_id), right_id)")
+    rank = duck_sql("row_number() over (partition by block order by H('rank|' || id), id) - 1")
+    at = duck_sql("(H('neg|' || asked_.id) + j_) % asked_.size_")
     return f"""l as ({side(w, 0)}), r as ({side(w, 1)}),
-met as (select l.id as left_id, r.id as right_id, (l.key = r.key)::int as y, l.seq as left_seq, r.seq as right_seq from l join r on l.block = r.block),
-pairs as (select left_id || '|' || right_id as pair_id, left_id, right_id, left_seq, right_seq, y, {duck_sql(SPLIT)} as split
-  from (select *, {rank} as n_ from met) where n_ <= {per_left})"""
+ranked_ as (select *, {rank} as rank_, count(*) over (partition by block) as size_ from r),
+asked_ as (select l.id, l.key, l.block, l.seq, b_.size_, unnest(generate_series(0, least(b_.size_, {per_left - 1}) - 1)) as j_ from l join (select distinct block, size_ from ranked_) b_ on l.block = b_.block),
+met as (select l.id as left_id, r.id as right_id, 1 as y, l.seq as left_seq, r.seq as right_seq from l join r on l.block = r.block and l.key = r.key
+  union all select asked_.id, n_.id, 0, asked_.seq, n_.seq from asked_ join ranked_ n_ on n_.block = asked_.block and n_.rank_ = {at} where n_.key <> asked_.key),
+pairs as (select left_id || '|' || right_id as pair_id, left_id, right_id, left_seq, right_seq, y::int as y, {duck_sql(SPLIT)} as split from met)"""
 
 
 def evidence_cte(template: str = "t2") -> str:

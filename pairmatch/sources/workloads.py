@@ -10,7 +10,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, SparkSession, functions as F
+from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
 from pairmatch.functions.serialize import serialize
 from pairmatch.plans.dialect import spark_sql
@@ -115,14 +115,39 @@ def sequences(spark: SparkSession, d: str, w: str) -> tuple[DataFrame, DataFrame
     return tuple(serialize(side_records(spark, d, s), "rec", s.fmt).select("id", "key", "block", "seq") for s in SIDES[w])
 
 
+CELL_ROWS = 50_000  # rows of a block that one task numbers
+
+
+def numbered(rows: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """rows (id, key, block) with their rank by hash within the block, and the blocks' sizes.
+
+    A block is numbered in ranges of the hash, so that no block, however large, is in one
+    task; ranks don't depend on the number of ranges.
+    """
+    cells = max(1, -(-rows.count() // CELL_ROWS))
+    hashed = rows.withColumn("h_", F.expr(spark_sql("H('rank|' || id)"))).withColumn("cell_", F.expr(f"h_ * {cells} div 4294967296"))
+    counted = hashed.groupBy("block", "cell_").agg(F.count("*").alias("n_"))
+    before = Window.partitionBy("block").orderBy("cell_").rowsBetween(Window.unboundedPreceding, -1)
+    sizes = counted.withColumns({"base_": F.coalesce(F.sum("n_").over(before), F.lit(0)), "size_": F.sum("n_").over(Window.partitionBy("block"))})
+    within = F.row_number().over(Window.partitionBy("block", "cell_").orderBy("h_", "id"))
+    ranked = hashed.withColumn("in_", within).join(sizes.select("block", "cell_", "base_"), ["block", "cell_"])
+    return ranked.select("id", "key", "block", (F.col("base_") + F.col("in_") - 1).alias("rank")), sizes.select("block", "size_").distinct()
+
+
 def pairs(spark: SparkSession, d: str, w: str, per_left: int = 10) -> DataFrame:
-    """pair_id, left_id, right_id, y, split of a keyed workload: the partner and others of the block by hash."""
-    from pairmatch.operators.blocking import cap_per_left
+    """pair_id, left_id, right_id, y, split of a keyed workload: the partner, and others of the block.
 
+    The others stand at the ranks that follow a hashed one, so that a left record meets
+    per_left right ones at most, whatever the size of its block.
+    """
     left, right = (run_sql(spark, d, s.source).select("id", "key", "block") for s in SIDES[w])
-    met = left.withColumnsRenamed({"id": "left_id", "key": "lk"}).join(right.withColumnsRenamed({"id": "right_id", "key": "rk"}), "block")
-    met = met.withColumn("y", (F.col("lk") == F.col("rk")).cast("int"))
-    return with_split(cap_per_left(met, per_left).select("left_id", "right_id", "y"))
+    ranked, sizes = numbered(right)
+    true = left.join(right.select(F.col("id").alias("right_id"), "key", "block"), ["block", "key"]).select(F.col("id").alias("left_id"), "right_id", F.lit(1).alias("y"))
+    asked = left.join(sizes, "block").withColumn("j_", F.explode(F.sequence(F.lit(0), F.least(F.col("size_"), F.lit(per_left - 1)) - 1)))
+    asked = asked.select(F.col("id").alias("left_id"), F.col("key").alias("lk"), "block", F.expr(spark_sql("(H('neg|' || id) + j_) % size_")).alias("rank"))
+    others = asked.join(ranked.select(F.col("id").alias("right_id"), F.col("key").alias("rk"), "block", "rank"), ["block", "rank"])
+    others = others.where(F.col("lk") != F.col("rk")).select("left_id", "right_id", F.lit(0).alias("y"))
+    return with_split(true.unionByName(others))
 
 
 def with_split(df: DataFrame) -> DataFrame:
