@@ -296,9 +296,9 @@ def library_queries() -> dict:
     q |= {"workload_stats": workload_stats, "split_counts": split_counts, "label_rate_nested": label_rate_nested, "label_count_80": label_count_80, "count_pretext_table": count_pretext}
     q |= {"word_probabilities": word_probabilities, "class_scores_simple_words": class_scores_simple, "mc_uncertainty_w1": mc_uncertainty, "selector_tpr_tnr": selector_quality, "el2n_w1": el2n_rows, "mc_el2n_w1": mc_el2n_rows}
     q |= {"prune_once_w1": prune_once, "prune_schedule_w1": prune_schedule, "prf_by_workload": prf_by_workload, "pr_curve_w1": pr_curve, "self_train_w1": self_train_w1, "student_without_pruning_w1": student_f1_w1, "ablation_grid": ablation_grid}
-    from pairmatch.more_queries import queries as more
+    from pairmatch import more_queries, record_queries
 
-    return q | more()
+    return q | more_queries.queries() | record_queries.queries()
 
 
 def library_oracles() -> dict[str, str]:
@@ -315,6 +315,6 @@ def library_oracles() -> dict[str, str]:
     o |= {"prune_once_w1": f"with {NORMS} select pair_id, y from nrm where pair_id not in (select pair_id from ({O.lowest('e_micro', 'nrm', 'floor((select count(*) from nrm) * 0.3 + 1e-9)')}))"}
     o |= {"prf_by_workload": PRF_SQL, "student_without_pruning_w1": STUDENT_SQL}
     o |= {"pr_curve_w1": f"with {O.base('w1', 0.10)}, {O.score_cte()}, g as (select p_yes, sum(y) as pos, count(*) as n from scored where split = 'test' group by p_yes) select p_yes, (sum(pos) over (order by p_yes desc))::bigint as tp, (sum(n) over (order by p_yes desc))::bigint as predicted from g"}
-    from pairmatch.more_queries import oracles as more
+    from pairmatch import more_queries, record_queries
 
-    return o | more()
+    return o | more_queries.oracles() | record_queries.oracles()

@@ -18,6 +18,12 @@ def cap_per_left(met: DataFrame, per_left: int) -> DataFrame:
     return met.withColumn("r", F.row_number().over(Window.partitionBy("left_id").orderBy(*order))).where(F.col("r") <= per_left).drop("r")
 
 
+def cap_others(met: DataFrame, per_left: int) -> DataFrame:
+    """All true partners of each left record, and of the others so many by hash."""
+    order = [F.expr(spark_sql("H('neg|' || left_id || '|' || right_id)")), "right_id"]
+    return met.withColumn("r", F.row_number().over(Window.partitionBy("left_id", "y").orderBy(*order))).where((F.col("y") == 1) | (F.col("r") <= per_left)).drop("r")
+
+
 def _sides(left: DataFrame, right: DataFrame, key: str) -> DataFrame:
     return left.select(F.col("id").alias("left_id"), key).join(right.select(F.col("id").alias("right_id"), key), key).select("left_id", "right_id").distinct()
 

@@ -24,16 +24,21 @@ def as_of(left: DataFrame, right: DataFrame, by: str, at_left: str, at_right: st
 def containment(spark: SparkSession, d: str, sample: int = 10) -> DataFrame:
     """left_id (item), right_id (document), y: whether the document has the item's words in a row.
 
-    Items meet documents on a shared five-word shingle; those met that lack the rest, and
-    a few documents by hash, are the others. No item meets all documents.
+    Items meet documents on a shared five-word shingle (those of fewer words take no such
+    part); those met that lack the rest, and `sample` documents at the ranks that follow a
+    hashed one, are the others. No item meets all documents.
     """
+    from pairmatch.sources.workloads import numbered
+
     grams = lambda t, i: run_sql(spark, d, f"select STR({i}) as id, GRAMS(t, 5) as g, ' ' || JOIN(t) || ' ' as s from (select {i}, TOK(text) as t from {{{t}}}) q_")
     items, docs = grams("benchmark", "item_id"), grams("documents", "doc_id")
     a = items.select(F.col("id").alias("left_id"), F.explode_outer(F.array_distinct("g")).alias("x")).where("x is not null")
     b = docs.select(F.col("id").alias("right_id"), F.explode_outer(F.array_distinct("g")).alias("x")).where("x is not null")
     met = a.join(b, "x").select("left_id", "right_id").distinct()
-    slot = lambda c: F.expr(spark_sql(f"H('slot|' || {c}) % 64"))
-    some = items.select(F.col("id").alias("left_id"), slot("id").alias("k")).join(docs.select(F.col("id").alias("right_id"), slot("id").alias("k")), "k").select("left_id", "right_id")
+    ranked, sizes = numbered(docs.select("id", F.lit(0).alias("key"), F.lit(0).alias("block")))
+    asked = items.select("id").crossJoin(sizes.select("size_"))  # one row
+    asked = asked.withColumn("j_", F.explode(F.sequence(F.lit(0), F.least(F.col("size_"), F.lit(sample)) - 1)))
+    some = asked.select(F.col("id").alias("left_id"), F.expr(spark_sql("(H('neg|' || id) + j_) % size_")).alias("rank")).join(ranked.select(F.col("id").alias("right_id"), "rank"), "rank").select("left_id", "right_id")
     both = met.unionByName(some).distinct()
     texts = both.join(items.select(F.col("id").alias("left_id"), F.col("s").alias("s1")), "left_id").join(docs.select(F.col("id").alias("right_id"), F.col("s").alias("s2")), "right_id")
     return texts.select("left_id", "right_id", F.col("s2").contains(F.col("s1")).cast("int").alias("y"))

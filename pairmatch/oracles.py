@@ -38,7 +38,11 @@ def seq(fields, fmt: str) -> str:
 
 
 def side(w: str, i: int) -> str:
-    s = SIDES[w][i]
+    return seq_of(SIDES[w][i])
+
+
+def seq_of(s) -> str:
+    """id, key, block and seq of a side's records."""
     return f"select id, key, block, {seq(s.fields, s.fmt)} as seq from ({tables(duck_sql(s.source))}) s_"
 
 

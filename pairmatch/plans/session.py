@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 
 from pyspark.sql import DataFrame, SparkSession
@@ -22,13 +23,15 @@ def local_session(cores: int | str = "*", shuffle_partitions: int = 8, memory: s
 
 
 def checkpoint_root(spark: SparkSession) -> str:
-    """The shared folder named in spark.checkpoint.dir; a local one only where none is set."""
+    """The shared folder named in spark.checkpoint.dir; a local one only where none is set and all runs on one machine."""
     sc = spark.sparkContext
     shared = spark.conf.get("spark.checkpoint.dir", None)
     if shared is None:
         shared = sc._jsc.sc().getCheckpointDir()
         shared = shared.get() if shared.isDefined() else None
     if shared is None:
+        if not re.fullmatch(r"local(\[.*\])?", sc.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all machines share")
         shared = "file://" + tempfile.mkdtemp(prefix="pairmatch-ck-")
         sc.setCheckpointDir(shared)
     elif not sc._jsc.sc().getCheckpointDir().isDefined():

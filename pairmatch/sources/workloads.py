@@ -165,14 +165,14 @@ def attach(pairs_: DataFrame, left: DataFrame, right: DataFrame) -> DataFrame:
 
 def natural_pairs(spark: SparkSession, d: str, w: str) -> DataFrame:
     """Workloads whose truth is in the data: w9 near copies, w10 relevance, w11 quality, w12 noise."""
-    from pairmatch.operators.blocking import cap_per_left
+    from pairmatch.operators.blocking import cap_others
     from pairmatch.operators.relational import containment, near_copies
 
     if w == "w9":
         found = near_copies(spark.read.parquet(f"{d}/documents.parquet"), floor_percent=40)
         return with_split(found.select(F.col("left_id").cast("string"), F.col("right_id").cast("string"), (F.col("shared") * 10 >= F.col("united") * 7).cast("int").alias("y")))
     if w == "w10":
-        return with_split(cap_per_left(containment(spark, d), 10))
+        return with_split(cap_others(containment(spark, d), 10))
     if w == "w11":
         labels = spark.read.parquet(f"{d}/labels.parquet")
         return with_split(labels.select(F.col("doc_id").cast("string").alias("left_id"), F.lit("").alias("right_id"), F.col("quality").cast("int").alias("y")))
