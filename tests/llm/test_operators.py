@@ -558,3 +558,17 @@ def test_every_secret_of_a_token_is_a_candidate(spark):
     many = [f'{{"token":"1{hexes(30)}","n":1}}' for _ in range(40)] + [f"call {rng.randrange(10**15, 10**16)} now" for _ in range(40)] + [f"password=hu{i}nt7r" for i in range(20)]
     found = {r.doc_id for r in find_secrets(docs(spark, many), trees=8, depth=4).where("score >= 0.5").collect()}
     assert found == {*range(40), *range(80, 100)}
+
+
+def test_secrets_learnt_from_given_findings(spark):
+    from pairmatch.llm.secret_forest import find_secrets
+
+    rng = random.Random(21)
+    mixed = lambda n: "".join(rng.choice("ABCDEFGHJKLMNPQRSTUVWXYZabcdefghijkmnopqrstuvwxyz23456789") for _ in range(n))
+    hexes = lambda n: "".join(rng.choice("0123456789abcdef") for _ in range(n))
+    texts = [f"use 1{mixed(31)} to sign in" if i % 2 else f"see commit 1{hexes(39)} for this change" for i in range(240)]
+    d = docs(spark, texts)
+    labelled = spark.createDataFrame([(i, 1 if i % 2 else 2, float(i % 2)) for i in range(120)], "doc_id long, token_no int, label double")
+    found = {r.doc_id for r in find_secrets(d, labelled, trees=8, depth=4).where("score >= 0.5 and doc_id >= 120").collect()}
+    held = {i for i in range(120, 240) if i % 2}
+    assert len(found & held) >= 0.95 * len(held) and len(found - held) <= 0.05 * len(held)
