@@ -222,6 +222,7 @@ class Lookup:
 
 def _score_block(end_log: float, log_all: float):
     def run(key, docs, sent):
+        import numpy as np
         import pyarrow as pa
         import pyarrow.compute as pc
 
@@ -242,19 +243,13 @@ def _score_block(end_log: float, log_all: float):
             size += len(raw) + 64
             if size > FLUSH_BYTES or i == len(docs) - 1:
                 code, starts = grams(pending)
-                score += [math.fsum(x) for x in _split(look(code), starts)]
+                score += np.add.reduceat(look(code), starts).tolist()
                 pending, size = [], 0
         return pa.table({"doc_id": docs.column("doc_id"), "n_tokens": pa.array(n_tokens, pa.int64()), "n_known": pa.array(n_known, pa.int64()), "base_score": pa.array(base, pa.float64()), "score": pa.array(score, pa.float64())})
 
     return run
 
 
-def _split(values, starts):
-    import numpy as np
-
-    return np.split(values, starts[1:])
-
-
 def score_documents(docs: DataFrame, learn) -> DataFrame:
     """doc_id, n_tokens, n_known, train_tokens, base_score, score of every document.
 
