@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, functions as F
+import time
 
-from pairmatch.operators import graph_walk as G, neural as M, self_training as S
+from pyspark.sql import DataFrame, SparkSession, Window, functions as F
+
+from pairmatch.operators import graph_walk as G, measures as Q, neural as M, self_training as S
 from pairmatch.plans.session import cut
 from pairmatch.sources import workloads as W
 
@@ -27,14 +29,47 @@ def runs(w: str, methods, setting: str, spec: dict | None = None) -> list[dict]:
     return [{"run_id": f"{w}:{m}:{setting}", "workload": w, "method": m, "setting": setting, "spec": spec or {}} for m in methods]
 
 
-def main_comparison(spark, d, w="w6", methods=M.METHODS, source="w8"):
+def walk_results(spark, d, w: str, roles: DataFrame, setting: str) -> DataFrame:
+    """Rows of the result table for walks without labels and for the network on their vectors, which learns from the label rows."""
+    began, none = time.time(), F.lit(float("nan"))
+    left, right = W.sequences(spark, d, w)
+    found = cut(G.match(left, right, W.pairs(spark, d, w)).join(roles.select("pair_id", "role"), "pair_id"))
+    out = None
+    for method, scored in (("graph_walk", found), ("graph_walk_mlp", cut(G.match_mlp(found)))):
+        cost = [none.alias("tpr"), none.alias("tnr"), F.lit(time.time() - began).alias("seconds"), none.alias("example_epochs"), F.lit(Q.peak_memory_mb()).alias("peak_mb")]
+        names = [F.lit(f"{w}:{method}:{setting}").alias("run_id"), F.lit(w).alias("workload"), F.lit(method).alias("method"), F.lit(setting).alias("setting")]
+        one = Q.prf(scored.where("role = 'test'")).select(*names, "precision", "recall", "f1", *cost)
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def main_comparison(spark, d, w="w6", methods=M.METHODS, source="w8", walks=True):
     """Default label rate, all methods (the table of the main comparison)."""
-    return M.run_experiments(role_rows(spark, d, w, W.DEFAULT_RATE[w], source=source), runs(w, methods, f"rate {W.DEFAULT_RATE[w]}"))
+    rows, setting = cut(role_rows(spark, d, w, W.DEFAULT_RATE[w], source=source if source != w else "w4")), f"rate {W.DEFAULT_RATE[w]}"
+    found = M.run_experiments(rows, runs(w, methods, setting))
+    return found.unionByName(walk_results(spark, d, w, rows, setting)) if walks else found
+
+
+def over_workloads(spark, d, ws=tuple(W.DEFAULT_RATE), methods=M.METHODS, walks=True):
+    """The main comparison over several workloads."""
+    out = None
+    for w in ws:
+        one = main_comparison(spark, d, w, methods, walks=walks)
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def mean_f1(results: DataFrame, to: str = "proposed") -> DataFrame:
+    """method, workloads, mean_f1 over workloads, and its difference from one method's."""
+    mean = results.groupBy("method").agg(F.count("*").alias("workloads"), F.round(F.avg("f1"), 4).alias("mean_f1"))
+    other = F.max(F.when(F.col("method") == to, F.col("mean_f1"))).over(Window.partitionBy(F.lit(0)))  # a row a method
+    return mean.withColumn("difference", F.round(F.col("mean_f1") - other, 4))
 
 
 def few_labels(spark, d, w="w6"):
     """A fixed count of 80 labels."""
-    return M.run_experiments(role_rows(spark, d, w, count=80, source="w8"), runs(w, M.METHODS, "80 labels"))
+    rows = cut(role_rows(spark, d, w, count=80, source="w8"))
+    return M.run_experiments(rows, runs(w, M.METHODS, "80 labels")).unionByName(walk_results(spark, d, w, rows, "80 labels"))
 
 
 def label_rates(spark, d, w="w6", methods=("proposed", "pair_lm", "siamese")):

@@ -298,6 +298,13 @@ def confusion_cube(spark, d):
     return c.select(F.coalesce("workload", F.lit("all")).alias("workload"), F.coalesce("y", F.lit(-1)).alias("y"), F.coalesce("pred", F.lit(-1)).alias("pred"), "level", "n")
 
 
+def mean_f1_workloads(spark, d):
+    """F1 of each workload's test rows, the mean over workloads and the difference from it."""
+    one = Q.prf(_scored(spark, d).where("split = 'test'"), ("workload",))
+    mean = F.avg("f1").over(Window.partitionBy(F.lit(0)))  # a row a workload
+    return one.select("workload", "tp", "fp", "fn", "f1", F.round(mean, 6).alias("mean_f1"), F.round(F.col("f1") - mean, 6).alias("difference"))
+
+
 def pivot_splits(spark, d):
     return _scored(spark, d).groupBy("workload").pivot("split", ["train", "valid", "test"]).agg(F.count(F.lit(1)))
 
@@ -348,7 +355,7 @@ z as (select left_id, right_id, (s * 10 >= n * 7)::int as y from u where s * 100
 
 
 def queries() -> dict:
-    q = {f.__name__: f for f in (block_equi_part, blocking_quality, asof_event_order, containment_benchmark, near_copies_exact, semi_with_candidates, set_ops_splits, topk_per_left, window_frames_events, tumbling_events, sliding_events, session_events, json_props, html_title_lang, tfidf_summary, graph_edges, graph_walk_w6, jaccard_floor, prf_rollup, confusion_cube, time_cut_proxy, numeric_value_share)}
+    q = {f.__name__: f for f in (block_equi_part, blocking_quality, asof_event_order, containment_benchmark, near_copies_exact, semi_with_candidates, set_ops_splits, topk_per_left, window_frames_events, tumbling_events, sliding_events, session_events, json_props, html_title_lang, tfidf_summary, graph_edges, graph_walk_w6, jaccard_floor, prf_rollup, confusion_cube, mean_f1_workloads, time_cut_proxy, numeric_value_share)}
     q |= {"block_tokens_documents": block_tokens_docs, "block_minhash_documents": block_minhash_docs, "block_grid_geo": block_grid_geo, "block_sorted_part": block_sorted_part, "block_vectors_embeddings": block_vectors_emb, "anti_remaining_unlabelled": anti_remaining, "map_token_freq": token_freq, "knowledge_tags_orders": knowledge_tags, "augment_attribute_delete": augment_delete, "graph_walk_step": graph_first_step, "pivot_metrics": pivot_splits, "approx_distinct_tokens": approx_tokens}
     q |= {f"pairs_{w}": pairs_natural(w) for w in ("w9", "w10", "w11", "w12")}
     from pairmatch.experiments import queries as experiments
@@ -367,6 +374,7 @@ def oracles() -> dict[str, str]:
         "html_title_lang": HTML, "map_token_freq": TOKEN_FREQ, "tfidf_summary": TFIDF, "knowledge_tags_orders": KNOWLEDGE, "augment_attribute_delete": AUGMENT, "graph_edges": f"with {GRAPH} select * from g", "graph_walk_step": GRAPH_STEP, "jaccard_floor": JACCARD,
         "prf_rollup": f"with {z} select coalesce(workload, 'all') as workload, coalesce(split, 'all') as split, grouping(workload, split)::int as level, count(*) filter (y = 1 and pred = 1) as tp, count(*) as n from z group by rollup (workload, split)",
         "confusion_cube": f"with {z} select coalesce(workload, 'all') as workload, coalesce(y, -1) as y, coalesce(pred, -1) as pred, grouping(workload, y, pred)::int as level, count(*) as n from z group by cube (workload, y, pred)",
+        "mean_f1_workloads": f"with {z}, c as (select workload, count(*) filter (y = 1 and pred = 1) as tp, count(*) filter (y = 0 and pred = 1) as fp, count(*) filter (y = 1 and pred = 0) as fn from z where split = 'test' group by 1), f as (select *, round(coalesce((2 * tp)::double / nullif(2 * tp + fp + fn, 0), 0) * 100, 4) as f1 from c) select *, round(avg(f1) over (), 6) as mean_f1, round(f1 - avg(f1) over (), 6) as difference from f",
         "pivot_metrics": f"with {z} select workload, count(*) filter (split = 'train') as train, count(*) filter (split = 'valid') as valid, count(*) filter (split = 'test') as test from z group by workload",
         "numeric_value_share": NUMERIC, "pairs_w9": W9, "pairs_w11": W11, "pairs_w12": W12,
     }

@@ -76,7 +76,7 @@ def match(left: DataFrame, right: DataFrame, pairs: DataFrame, per_node: int = 4
 
 
 def match_mlp(scored: DataFrame, dim: int = 32, seed: int = 7) -> DataFrame:
-    """The supervised form: a small network on |u - v| and u x v; scored has u, w, y, role ('label' rows train)."""
+    """The supervised form: a small network on |u - v| and u x v; scored has u, w, y, role ('label' rows train; without any, no pair matches)."""
     from pyspark.ml.classification import MultilayerPerceptronClassifier
     from pyspark.ml.functions import array_to_vector
 
@@ -84,5 +84,7 @@ def match_mlp(scored: DataFrame, dim: int = 32, seed: int = 7) -> DataFrame:
     u, w = F.coalesce("u", zero), F.coalesce("w", zero)
     feats = scored.withColumn("features", array_to_vector(F.concat(F.zip_with(u, w, lambda a, b: F.abs(a - b)), F.zip_with(u, w, lambda a, b: a * b))))
     train = feats.where("role = 'label'").withColumn("label", F.col("y").cast("double"))
+    if not train.head(1):
+        return scored.withColumn("pred", F.lit(0))
     model = MultilayerPerceptronClassifier(layers=[2 * dim, 16, 2], maxIter=60, seed=seed).fit(train)
     return model.transform(feats).withColumn("pred", F.col("prediction").cast("int")).drop("features", "rawPrediction", "probability", "prediction")

@@ -76,6 +76,10 @@ class NeuralModel:
     def passes(self, df: DataFrame, n: int = 10) -> DataFrame:
         return self._add(df, "p_passes", "array<double>", lambda m, rows: [x.tolist() for x in m.predict_passes(rows, n).round(6)])
 
+    def vectors(self, df: DataFrame) -> DataFrame:
+        """Adds vec: the pair's vector, dropout off."""
+        return self._add(df, "vec", "array<double>", lambda m, rows: [x.tolist() for x in m.vectors(rows).round(6)])
+
     def save(self, spark: SparkSession, path: str) -> None:
         spark.createDataFrame([(self.kind, json.dumps(self.spec or {}), *t) for t in self.tensors], "kind string, spec string, name string, shape array<int>, data array<double>").write.mode("overwrite").parquet(path)
 
@@ -99,10 +103,18 @@ class NeuralLearner:
         return NeuralModel(self.kind, self.spec, [(r["name"], r["shape"], r["data"]) for r in rows])
 
 
+def _added(pdf):
+    import numpy as np
+    import pandas as pd
+
+    return pd.DataFrame([(pdf["name"].iloc[0], int(pdf["chunk"].iloc[0]), np.sum(np.stack(pdf["g"].to_numpy()), 0).tolist())], columns=["name", "chunk", "g"])
+
+
 def fit_allreduce(train: DataFrame, kind: str = "cloze", spec: dict | None = None, steps: int = 5) -> NeuralModel:
     """Full-batch steps over any number of rows: partitions sum gradients, the driver updates.
 
-    What reaches the driver is one gradient a partition, summed on the cluster first.
+    Gradients go as chunks of arrays and are added in two levels, so that no task holds
+    those of all partitions; the driver gets one.
     """
     from pairmatch.functions import tape as T
 
@@ -130,8 +142,8 @@ def fit_allreduce(train: DataFrame, kind: str = "cloze", spec: dict | None = Non
             yield pd.DataFrame([(k, i // 4096, np.ravel(g)[i : i + 4096].tolist()) for k, g in total.items() for i in range(0, g.size, 4096)], columns=["name", "chunk", "g"])
 
         parts = train.select("pair_id", "left_seq", "right_seq", "y").mapInPandas(gradients, "name string, chunk int, g array<double>")
-        summed = parts.select("name", "chunk", F.posexplode("g").alias("i", "x")).groupBy("name", "chunk", "i").agg(F.sum("x").alias("x"))
-        rows = summed.groupBy("name", "chunk").agg(F.array_sort(F.collect_list(F.struct("i", "x")))["x"].alias("g")).collect()
+        some = parts.withColumn("b", F.spark_partition_id() % 64).groupBy("name", "chunk", "b").applyInPandas(_added, "name string, chunk int, g array<double>")
+        rows = some.groupBy("name", "chunk").applyInPandas(_added, "name string, chunk int, g array<double>").collect()  # one net's gradient
         for k, v in model.net.params.items():
             got = sorted((r["chunk"], r["g"]) for r in rows if r["name"] == k)
             if got:
@@ -182,7 +194,7 @@ def run_method(method: str, rows: dict[str, list[dict]], spec: dict) -> dict:
             score = {"uncertainty": u, "confidence": -np.maximum(p_un, 1 - p_un).round(6), "random": np.array([int(t[8:16], 16) for t in tie], float)}.get(how)
             label = (p_un > 0.5).astype(int)
             if how == "clustering":
-                score, label = cluster_scores(np.c_[p_un, passes], label)
+                score, label = cluster_scores(model.vectors(un), label)
             order = sorted(range(len(un)), key=lambda i: (score[i], tie[i]))[: int(len(un) * u_r + 1e-9)]
             chosen = [un[i] | {"y": int(label[i])} for i in order]
             pos = [i for i in order if truth[un[i]["pair_id"]] == 1]
@@ -193,6 +205,8 @@ def run_method(method: str, rows: dict[str, list[dict]], spec: dict) -> dict:
         p = model.predict(test)
     else:
         kind = {"pair_lm": "head", "augmented_lm": "augmented"}.get(method, method)
+        if kind in ("augmented", "meta_aug"):  # weights of the workload's own words; labels play no part
+            spec = spec | {"idf": N.term_weights([r[c] for r in lab + un + valid + test for c in ("left_seq", "right_seq")])}
         model = make(kind, spec, rows.get("source") or lab).fit(lab, valid, epochs)
         p = model.predict(test)
     y, yes = np.array([r["y"] for r in test], bool), p > 0.5

@@ -133,7 +133,7 @@ class SelfTrainConfig:
         return sum(1 for e in range(1, self.student_epochs) if e % self.prune_every == 0) if self.pruning else 0
 
 
-SELECTORS = {"uncertainty": select_uncertainty, "confidence": select_confidence, "random": select_random, "balanced": select_balanced, "all": select_all}
+SELECTORS = {"uncertainty": select_uncertainty, "confidence": select_confidence, "random": select_random, "balanced": select_balanced, "all": select_all, "clustering": select_clustering}
 
 
 @dataclass
@@ -177,7 +177,10 @@ def self_train(learner, labelled: DataFrame, unlabelled: DataFrame, valid: DataF
             return best[1], log, labelled
         scored = uncertainty(teacher.passes(teacher.score(unlabelled), cfg.passes), cfg.passes)
         label = F.col("pred") if cfg.pseudo_from == "eval" else (F.col("p_mean") > 0.5).cast("int")
-        scored = cut(scored.withColumn("pseudo", label).select("pair_id", *cols, "p_yes", "u", "u_micro", "pseudo"))
+        vec = ()
+        if cfg.selector == "clustering":  # a model without vectors of its own is clustered by its passes
+            scored, vec = teacher.vectors(scored) if hasattr(teacher, "vectors") else scored.withColumn("vec", F.col("p_passes")), ("vec",)
+        scored = cut(scored.withColumn("pseudo", label).select("pair_id", *cols, "p_yes", "u", "u_micro", "pseudo", *vec))
         chosen, unlabelled = SELECTORS[cfg.selector](scored, cfg.u_r)
         unlabelled = unlabelled.select("pair_id", *cols)
         labelled = cut(labelled.unionByName(chosen.select("pair_id", *cols, F.col("pseudo").alias("y"), F.lit("pseudo").alias("source"))))

@@ -1,7 +1,10 @@
 import numpy as np
 
 from pairmatch.functions import neural as N
+from pairmatch.experiments import mean_f1
+from pairmatch.operators.measures import prf
 from pairmatch.operators.neural import NeuralLearner, NeuralModel, fit_allreduce, make, run_method
+from pairmatch.operators.self_training import SelfTrainConfig, self_train
 from tests.test_neural import rows
 
 SPEC = {"net": {"dim": 8, "max_len": 24}}
@@ -42,3 +45,26 @@ def test_every_method_runs_and_hidden_truth_stays_hidden():
     flipped = part | {"unlabel": [r | {"y": 1 - r["y"]} for r in part["unlabel"]]}
     a, b = (run_method("proposed", p, SPEC | {"epochs": 2, "passes": 3}) for p in (part, flipped))
     assert a["f1"] == b["f1"]
+
+
+def test_self_training_by_clusters_of_pair_vectors_around_another_method(spark):
+    lab, un, valid = (frame(spark, rows(n, k)) for n, k in ((40, 1), (40, 2), (30, 3)))
+    cfg = SelfTrainConfig(u_r=0.2, passes=3, selector="clustering", student_epochs=2, prune_every=4)
+    for kind in ("siamese", "cloze"):
+        best, log, last = self_train(NeuralLearner(kind, SPEC, 2), lab, un, valid, cfg)
+        assert [x["rows"] for x in log.rows] == [40, 48, 48] and last.where("source = 'pseudo'").count() == 8
+        assert prf(best.score(valid)).first()["f1"] == max(x["f1"] for x in log.rows if x["phase"] == "student")
+        size = {len(r.vec) for r in best.vectors(valid).collect()}
+        assert size == {24 if kind == "siamese" else 8}
+
+
+def test_term_weights_choose_the_summary():
+    w = N.term_weights(["a b", "a c", "a b d"])
+    assert w["a"] == 0 and w["d"] > w["b"] > 0
+    assert N.summarize("[COL] x a d b", w | {"x": 0.0}, 2) == "[COL] d b"
+
+
+def test_mean_f1_over_workloads_and_differences(spark):
+    found = spark.createDataFrame([("w1", "proposed", 80.0), ("w2", "proposed", 60.0), ("w1", "siamese", 50.0), ("w2", "siamese", 70.0)], "workload string, method string, f1 double")
+    got = {r["method"]: (r["workloads"], r["mean_f1"], r["difference"]) for r in mean_f1(found).collect()}
+    assert got == {"proposed": (2, 70.0, 0.0), "siamese": (2, 60.0, -10.0)}
