@@ -56,14 +56,24 @@ def grams(texts: list[bytes]):
     return code, starts
 
 
-def distinct(code, counts: bool = False):
-    """Distinct codes without the pads' mark."""
+def distinct(code):
+    """Sorted distinct codes without the pads' mark; a sort, as hashing that many costs several times more."""
     import numpy as np
 
-    found = np.unique(code, return_counts=counts)
-    keys = found[0] if counts else found
+    code = np.sort(code)
+    new = np.ones(len(code), bool)
+    np.not_equal(code[1:], code[:-1], out=new[1:])
+    keys = code[new]
+    return keys[int(len(keys) > 0 and keys[0] == -1) :]
+
+
+def counted(code):
+    """The same with their counts."""
+    import numpy as np
+
+    keys, n = np.unique(code, return_counts=True)
     skip = int(len(keys) > 0 and keys[0] == -1)
-    return (keys[skip:], found[1][skip:]) if counts else keys[skip:]
+    return keys[skip:], n[skip:]
 
 
 def merge(parts: list):
@@ -73,8 +83,26 @@ def merge(parts: list):
         return np.zeros(0, np.int64), np.zeros(0, np.int64)
     if len(parts) == 1:
         return parts[0]
-    keys, back = np.unique(np.concatenate([p[0] for p in parts]), return_inverse=True)
-    return keys, np.bincount(back, np.concatenate([p[1] for p in parts]), len(keys)).astype(np.int64)
+    keys = np.concatenate([p[0] for p in parts])
+    order = np.argsort(keys, kind="stable")  # takes sorted runs as they are
+    keys, n = keys[order], np.concatenate([p[1] for p in parts])[order]
+    first = np.flatnonzero(np.r_[len(keys) > 0, keys[1:] != keys[:-1]])
+    return keys[first], np.add.reduceat(n, first) if len(first) else n
+
+
+def words_of(texts):
+    """All words of a column of texts, one after the other, and where each text's begin and end."""
+    import numpy as np
+    import pyarrow as pa
+    import pyarrow.compute as pc
+
+    if isinstance(texts, pa.ChunkedArray):
+        texts = texts.combine_chunks()
+    lists = pc.ascii_split_whitespace(pc.ascii_lower(pc.fill_null(texts, "")))
+    flat = lists.flatten()
+    full = pc.not_equal(flat, "")  # white space at an end leaves an empty word there
+    at = np.r_[0, np.cumsum(pc.list_value_length(lists).to_numpy(zero_copy_only=False))].astype(np.int64)
+    return flat.filter(full), np.r_[0, np.cumsum(full.to_numpy(zero_copy_only=False))][at].tolist()
 
 
 def _count_grams(batches):
@@ -86,7 +114,7 @@ def _count_grams(batches):
     def rows(last: bool):
         nonlocal parts, texts, size
         if texts:
-            parts.append(distinct(grams(texts)[0], True))
+            parts.append(counted(grams(texts)[0]))
             texts, size = [], 0
         if last or sum(len(p[0]) for p in parts) > MERGE_CODES:
             parts = [merge(parts)]
@@ -108,15 +136,15 @@ def _count_words(batches):
     import pyarrow as pa
 
     def rows(c):
-        return pa.record_batch([pa.array([w.decode() for w in c], pa.string()), pa.array(list(c.values()), pa.int64())], names=["word", "n"])
+        return pa.record_batch([pa.array(list(c), pa.string()), pa.array(list(c.values()), pa.int64())], names=["word", "n"])
 
     c: Counter = Counter()
     for batch in batches:
-        for t in batch.column(0):
-            c.update((t.as_py() or "").encode().lower().split())
-            if len(c) > FLUSH_WORDS:
-                yield rows(c)
-                c = Counter()
+        word, n = words_of(batch.column(0))[0].value_counts().flatten()
+        c.update(dict(zip(word.to_pylist(), n.to_pylist(), strict=True)))
+        if len(c) > FLUSH_WORDS:
+            yield rows(c)
+            c = Counter()
     if c:
         yield rows(c)
 
@@ -172,24 +200,22 @@ def _asks(key, table):
     import numpy as np
     import pyarrow as pa
 
-    parts, texts, size, words = [], [], 0, set()
+    parts, texts, size = [], [], 0
     col = table.column("text")
     for i in range(len(col) + 1):
         if i == len(col) or size > FLUSH_BYTES:
             if texts:
                 parts.append(distinct(grams(texts)[0]))
-                if i == len(col) or sum(map(len, parts)) > MERGE_CODES:
-                    parts = [np.unique(np.concatenate(parts))]
+                if sum(map(len, parts[1:])) > max(MERGE_CODES, len(parts[0])):
+                    parts = [distinct(np.concatenate(parts))]
             texts, size = [], 0
         if i < len(col):
-            raw = (col[i].as_py() or "").encode("utf-8", "replace").lower()
-            words.update(raw.split())
-            texts.append(raw.replace(b"\0", b"\1"))
-            size += len(raw) + 64
-    g = np.unique(np.concatenate(parts)) if parts else np.zeros(0, np.int64)
-    w = sorted(words)
-    block = pa.array([key[0].as_py()] * (len(g) + len(w)), pa.int32())
-    return pa.table({"block": block, "g": pa.concat_arrays([pa.array(g, pa.int64()), pa.nulls(len(w), pa.int64())]), "word": pa.concat_arrays([pa.nulls(len(g), pa.string()), pa.array([x.decode() for x in w], pa.string())])})
+            texts.append(clean(col[i].as_py()))
+            size += len(texts[-1]) + 64
+    g = distinct(np.concatenate(parts)) if parts else np.zeros(0, np.int64)
+    w = words_of(col)[0].unique().cast(pa.string())
+    block = pa.array(np.full(len(g) + len(w), key[0].as_py(), np.int32))
+    return pa.table({"block": block, "g": pa.concat_arrays([pa.array(g, pa.int64()), pa.nulls(len(w), pa.int64())]), "word": pa.concat_arrays([pa.nulls(len(g), pa.string()), w])})
 
 
 class Lookup:
@@ -230,17 +256,17 @@ def _score_block(end_log: float, log_all: float):
         look = Lookup(coded.column("g").to_numpy(), coded.column("v").to_numpy()) if len(coded) else None
         del coded
         named = sent.filter(pc.is_valid(sent.column("word"))).select(["word", "v"])
-        logs = dict(zip([w.encode() for w in named.column("word").to_pylist()], named.column("v").to_pylist(), strict=True))
-        del named, sent
+        words, ends = words_of(docs.column("text"))
+        logs = named.column("v").to_numpy()[pc.index_in(words, value_set=named.column("word").combine_chunks().cast(words.type)).to_numpy(zero_copy_only=False)] if len(words) else np.zeros(0)
+        del named, sent, words
         score, base, n_tokens, n_known, pending, size = [], [], [], [], [], 0
         for i, text in enumerate(docs.column("text")):
-            raw = (text.as_py() or "").encode("utf-8", "replace").lower()
-            got = [logs[w] for w in raw.split()] + [end_log]
+            got = logs[ends[i] : ends[i + 1]].tolist() + [end_log]
             n_tokens.append(len(got))
             n_known.append(len(got) - got.count(0.0))
             base.append(math.fsum(got) - len(got) * log_all)
-            pending.append(raw.replace(b"\0", b"\1"))
-            size += len(raw) + 64
+            pending.append(clean(text.as_py()))
+            size += len(pending[-1]) + 64
             if size > FLUSH_BYTES or i == len(docs) - 1:
                 code, starts = grams(pending)
                 score += np.add.reduceat(look(code), starts).tolist()

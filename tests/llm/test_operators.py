@@ -572,3 +572,27 @@ def test_secrets_learnt_from_given_findings(spark):
     found = {r.doc_id for r in find_secrets(d, labelled, trees=8, depth=4).where("score >= 0.5 and doc_id >= 120").collect()}
     held = {i for i in range(120, 240) if i % 2}
     assert len(found & held) >= 0.95 * len(held) and len(found - held) <= 0.05 * len(held)
+
+
+def test_ppm_words_and_codes_of_columns():
+    """Words as bytes.split gives them, sorted distinct codes, merged counts."""
+    import numpy as np
+    import pyarrow as pa
+
+    from pairmatch.llm import ppm_lm
+
+    texts = ["", None, "  a B\tc\n", "Ünï x\x0by\x1cz  q", "  nbsp wide", " \n ", "w" * 9000, "x y " * 3000, "É é"]
+    expected = [(t or "").encode().lower().split() for t in texts]
+    for column in (pa.array(texts, pa.string()), pa.chunked_array([pa.array(texts[:3], pa.string()), pa.array(texts[3:], pa.string())])):
+        flat, ends = ppm_lm.words_of(column)
+        found = [w.encode() for w in flat.to_pylist()]
+        assert [found[a:b] for a, b in zip(ends, ends[1:])] == expected
+    empty, ends = ppm_lm.words_of(pa.array([], pa.string()))
+    assert len(empty) == 0 and ends == [0]
+
+    code = np.random.default_rng(3).integers(-1, 40, 500)
+    assert ppm_lm.distinct(code).tolist() == sorted(set(code.tolist()) - {-1})
+    assert ppm_lm.distinct(code[:0]).tolist() == []
+    keys, n = ppm_lm.merge([ppm_lm.counted(code[:200]), ppm_lm.counted(code[200:]), ppm_lm.counted(code[:0])])
+    whole = ppm_lm.counted(code)
+    assert keys.tolist() == whole[0].tolist() and n.tolist() == whole[1].tolist()
