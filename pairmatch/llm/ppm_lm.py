@@ -33,6 +33,7 @@ BLOCK_BYTES = 16_000_000
 FLUSH_BYTES = 1_000_000
 MERGE_CODES = 2_000_000
 FLUSH_WORDS = 600_000
+WORD_BYTES = 4_000_000
 MASK = [(1 << 8 * (j + 1)) - 1 for j in range(ORDER + 1)]
 
 
@@ -90,6 +91,32 @@ def merge(parts: list):
     return keys[first], np.add.reduceat(n, first) if len(first) else n
 
 
+def give_back():
+    """Freed memory to the system: workers are kept between stages, with what their allocators hold."""
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc alone has it
+    if trim is not None:
+        trim(0)
+
+
+def slices(texts):
+    """A column of texts in runs of rows of WORD_BYTES, a row at least."""
+    import pyarrow.compute as pc
+
+    first, size = 0, 0
+    for i, n in enumerate(pc.fill_null(pc.binary_length(texts), 0).to_pylist()):
+        if size and size + n + 64 > WORD_BYTES:
+            yield texts.slice(first, i - first)
+            first, size = i, 0
+        size += n + 64
+    if size:
+        yield texts.slice(first)
+
+
 def words_of(texts):
     """All words of a column of texts, one after the other, and where each text's begin and end."""
     import numpy as np
@@ -130,6 +157,7 @@ def _count_grams(batches):
             if size > FLUSH_BYTES:
                 yield from rows(False)
     yield from rows(True)
+    give_back()
 
 
 def _count_words(batches):
@@ -140,13 +168,16 @@ def _count_words(batches):
 
     c: Counter = Counter()
     for batch in batches:
-        word, n = words_of(batch.column(0))[0].value_counts().flatten()
-        c.update(dict(zip(word.to_pylist(), n.to_pylist(), strict=True)))
-        if len(c) > FLUSH_WORDS:
-            yield rows(c)
-            c = Counter()
+        for some in slices(batch.column(0)):
+            word, n = words_of(some)[0].value_counts().flatten()
+            c.update(dict(zip(word.to_pylist(), n.to_pylist(), strict=True)))
+            if len(c) > FLUSH_WORDS:
+                yield rows(c)
+                c = Counter()
     if c:
         yield rows(c)
+    del c
+    give_back()
 
 
 class Trie:
@@ -213,7 +244,9 @@ def _asks(key, table):
             texts.append(clean(col[i].as_py()))
             size += len(texts[-1]) + 64
     g = distinct(np.concatenate(parts)) if parts else np.zeros(0, np.int64)
-    w = words_of(col)[0].unique().cast(pa.string())
+    del parts
+    w = pa.chunked_array([words_of(some)[0].unique().cast(pa.string()) for some in slices(col)], pa.string()).unique()
+    give_back()
     block = pa.array(np.full(len(g) + len(w), key[0].as_py(), np.int32))
     return pa.table({"block": block, "g": pa.concat_arrays([pa.array(g, pa.int64()), pa.nulls(len(w), pa.int64())]), "word": pa.concat_arrays([pa.nulls(len(g), pa.string()), w])})
 
@@ -256,12 +289,19 @@ def _score_block(end_log: float, log_all: float):
         look = Lookup(coded.column("g").to_numpy(), coded.column("v").to_numpy()) if len(coded) else None
         del coded
         named = sent.filter(pc.is_valid(sent.column("word"))).select(["word", "v"])
-        words, ends = words_of(docs.column("text"))
-        logs = named.column("v").to_numpy()[pc.index_in(words, value_set=named.column("word").combine_chunks().cast(words.type)).to_numpy(zero_copy_only=False)] if len(words) else np.zeros(0)
-        del named, sent, words
+        known, v = named.column("word").combine_chunks(), named.column("v").to_numpy()
+        del named, sent
+
+        def logs():
+            for some in slices(docs.column("text")):
+                words, ends = words_of(some)
+                found = v[pc.index_in(words, value_set=known.cast(words.type)).to_numpy(zero_copy_only=False)] if len(words) else v[:0]
+                for a, b in zip(ends, ends[1:]):
+                    yield found[a:b].tolist()
+
         score, base, n_tokens, n_known, pending, size = [], [], [], [], [], 0
-        for i, text in enumerate(docs.column("text")):
-            got = logs[ends[i] : ends[i + 1]].tolist() + [end_log]
+        for i, (text, of_words) in enumerate(zip(docs.column("text"), logs(), strict=True)):
+            got = of_words + [end_log]
             n_tokens.append(len(got))
             n_known.append(len(got) - got.count(0.0))
             base.append(math.fsum(got) - len(got) * log_all)
@@ -271,6 +311,8 @@ def _score_block(end_log: float, log_all: float):
                 code, starts = grams(pending)
                 score += np.add.reduceat(look(code), starts).tolist()
                 pending, size = [], 0
+        del look, known, v
+        give_back()
         return pa.table({"doc_id": docs.column("doc_id"), "n_tokens": pa.array(n_tokens, pa.int64()), "n_known": pa.array(n_known, pa.int64()), "base_score": pa.array(base, pa.float64()), "score": pa.array(score, pa.float64())})
 
     return run
