@@ -212,13 +212,14 @@ class Trie:
                 .join(seen, "s", "left").join(ctx, "c", "left")
             )
             n, t = F.col("total") - F.col("out_n"), F.col("followers") - F.col("out_t")
-            rest = stored(rest.select("g", "lp", "m", "out_n", "out_t", "below", "followers", n.alias("n"), t.alias("t")), f"ppm-order-{j}")
-            found.append(rest.where("m is not null").select("g", (F.col("lp") + F.log10(F.col("m") / (F.col("n") + F.col("t")))).alias("lp")))
-            known = F.col("followers").isNotNull()
-            escape = F.when(known & (F.col("t") > 0), F.log10(F.col("t") / (F.col("n") + F.col("t")))).otherwise(0.0)
-            rest = rest.where("m is null").select(
-                "g", (F.col("lp") + escape).alias("lp"), F.when(known, F.col("below")).otherwise(zero).alias("out_n"), F.when(known, F.col("followers")).otherwise(zero).alias("out_t")
-            )
+            hit, known = F.col("m").isNotNull(), F.col("followers").isNotNull()
+            escape = F.when(known & (t > 0), F.log10(t / (n + t))).otherwise(0.0)
+            lp = F.col("lp") + F.when(hit, F.log10(F.col("m") / (n + t))).otherwise(escape)
+            left_out = lambda c: F.when(~hit, F.when(known, F.col(c)).otherwise(zero))
+            # sums of the next order alone are kept, and none where the byte was found
+            rest = stored(rest.select("g", lp.alias("lp"), left_out("below").alias("out_n"), left_out("followers").alias("out_t")), f"ppm-order-{j}")
+            found.append(rest.where("out_n is null").select("g", "lp"))
+            rest = rest.where("out_n is not null")
         found.append(rest.select("g", (F.col("lp") - F.log10(F.greatest(F.lit(256) - F.col("out_t"), F.lit(1)))).alias("lp")))
         out = found[0]
         for x in found[1:]:
