@@ -32,3 +32,42 @@ def test_near_copies_and_blocks_keep_all_true_pairs(spark):
     assert {(r.left_id, r.right_id) for r in B.block_grid(p, p, "lat", "lon", 1.0, 1.0).where("left_id < right_id").collect()} == {("a", "b")}
     s = p.withColumn("n", F.expr("int(lat * 100)"))
     assert {(r.left_id, r.right_id) for r in B.block_sorted(s, s, F.col("n"), 90, 8).where("left_id < right_id").collect()} == {("a", "b")}
+
+
+def _edges_of(pairs):
+    n = {}
+    for r in pairs.collect():
+        n[("left", r.left_id)] = n.get(("left", r.left_id), 0) + 1
+        n[("right", r.right_id)] = n.get(("right", r.right_id), 0) + 1
+    return n
+
+
+def test_links_are_those_of_the_pairs(spark):
+    import random
+
+    rng = random.Random(3)
+    a, b = (spark.createDataFrame([(f"{s}{i}", rng.choice(["x", "y", "z", None]), rng.randrange(-300, 300) if i else None) for i in range(60)], "id string, block string, n int") for s in "ab")
+    want = _edges_of(B.block_equi(a.where("block is not null"), b, ["block"]))
+    assert {(r.side, r.id): r.links for r in B.equi_links(a, b, ["block"]).collect() if r.links} == want
+    assert B.equi_links(a, b, ["block"]).count() == 120
+    for width, bucket in ((7, 8), (50, 64), (90, 8)):
+        met = B.block_sorted(a, a, F.col("n"), width, bucket).where("left_id <> right_id").groupBy("left_id").count()
+        assert {r.id: r.links for r in B.sorted_links(a, F.col("n"), width, bucket).collect() if r.links} == {r.left_id: r["count"] for r in met.collect()}
+        assert B.sorted_links(a, F.col("n"), width, bucket).count() == 60
+
+
+def test_large_blocks_are_counted_not_paired(spark):
+    one = lambda n: spark.range(n).select(F.col("id").cast("string").alias("id"), F.col("id").alias("key"), F.lit("b").alias("block"), F.lit(5).alias("n"))
+    n = 300_000
+    assert B.equi_counts(one(n), one(n)).first()[:] == (n * n, n)
+    assert B.equi_links(one(n), one(n), ["block"]).agg(F.count("*"), F.sum("links")).first()[:] == (2 * n, 2 * n * n)
+    assert B.sorted_links(one(n), F.col("n"), 3).agg(F.count("*"), F.min("links")).first()[:] == (n, n - 1)
+
+
+def test_counts_with_repeated_ids(spark):
+    schema = "id string, key long, block string"
+    a = [("1", 1, "x"), ("1", 1, "y"), ("2", 2, "x"), ("3", 3, None), ("4", 4, "y"), ("4", 5, "y"), (None, 9, "x")]
+    b = [("1", 1, "x"), ("1", 1, "y"), ("2", 2, "y"), ("4", 4, "y"), ("5", None, "x")]
+    want = {(i, j, None if k is None or m is None else int(k == m)) for i, k, x in a for j, m, y in b if x is not None and x == y}
+    got = B.equi_counts(spark.createDataFrame(a, schema), spark.createDataFrame(b, schema)).first()
+    assert got[:] == (len(want), sum(t or 0 for *_, t in want))
