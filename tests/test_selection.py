@@ -58,3 +58,43 @@ def test_loop_keeps_set_algebra(spark):
     ids = {r.pair_id for r in last.collect()}
     assert not ids & {r.pair_id for r in valid.collect()}
     assert isinstance(model, K.CountModel)
+
+
+def test_evidence_from_record_features_is_that_of_pairs(spark):
+    """Tokens are cut below the joins, once a record, and give what each pair's texts gave."""
+    import random
+
+    from pairmatch.operators import count_cloze as K
+
+    rng = random.Random(5)
+    words = ["col", "val", "12", "345.50", "a1b2c3", "Straße", "red", "crimson", "x", "x", "ok-go", "ÉTÉ", "日本語テキスト"]
+    texts = ["", None, "col val", "12", "red red red", *(" ".join(rng.choices(words, k=rng.randrange(1, 9))) for _ in range(12))]
+    side = spark.createDataFrame([(str(i), t) for i, t in enumerate(texts)], "id string, seq string")
+    pairs = spark.createDataFrame([(f"{i}|{j}", str(i), str(j)) for i in range(len(texts)) for j in range(len(texts))], "pair_id string, left_id string, right_id string")
+    for template in ("t1", "t2"):
+        got = K.evidence_of(pairs, side, side, template)
+        plan = got._jdf.queryExecution().optimizedPlan().toString()
+        assert "lower(" not in plan.split("Join")[0]
+        both = pairs.join(side.select(F.col("id").alias("left_id"), F.col("seq").alias("left_seq")), "left_id").join(side.select(F.col("id").alias("right_id"), F.col("seq").alias("right_seq")), "right_id")
+        want = {r.pair_id: r.ev for r in K.with_evidence(both, template).collect()}
+        assert {r.pair_id: r.ev for r in got.collect()} == want and len(want) == len(texts) ** 2
+
+
+def test_passes_leave_out_by_the_digits_of_the_hash(spark):
+    import hashlib
+    import math
+    import random
+
+    from pairmatch.operators import count_cloze as K
+
+    rng = random.Random(6)
+    model = K.CountModel(tuple(tuple(rng.randrange(-9_000_000, 0) for _ in range(K.EVIDENCE)) for _ in K.WORDS), tuple(range(-6, 0)), K.Verbalizer.general())
+    rows = [(f"p{i}", [rng.randrange(0, 3) + 16 * k for k in range(6)]) for i in range(40)]
+    got = {r.pair_id: list(r.p_passes) for r in model.passes(spark.createDataFrame(rows, "pair_id string, ev array<int>")).collect()}
+    for pair, ev in rows:
+        for k in range(10):
+            h = hashlib.md5(f"drop0|{pair}|{k}".encode()).hexdigest()
+            s = [model.prior[w] + sum(model.weights[w][e] for i, e in enumerate(ev) if int(h[i], 16) >= 5) for w in range(6)]
+            q = [math.exp((x - max(s)) / 1e6) for x in s]
+            yes, no = sum(q[:3]) / 3, sum(q[3:]) / 3
+            assert abs(got[pair][k] - yes / (yes + no)) < 1.1e-6
