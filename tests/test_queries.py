@@ -17,3 +17,8 @@ def test_twin(spark, name):
 
 def test_scores_and_selection_agree_with_sql(spark):
     same(spark, library_queries()["select_uncertainty_w1"], library_oracles()["select_uncertainty_w1"])
+
+
+@pytest.mark.parametrize("name", ["prompt_soft_layout", "time_cut_proxy"])
+def test_layouts_and_costs_come_from_the_tables(spark, name):
+    same(spark, library_queries()[name], library_oracles()[name])
