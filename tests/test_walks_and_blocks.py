@@ -71,3 +71,29 @@ def test_counts_with_repeated_ids(spark):
     want = {(i, j, None if k is None or m is None else int(k == m)) for i, k, x in a for j, m, y in b if x is not None and x == y}
     got = B.equi_counts(spark.createDataFrame(a, schema), spark.createDataFrame(b, schema)).first()
     assert got[:] == (len(want), sum(t or 0 for *_, t in want))
+
+
+def test_copies_have_a_row_each_and_no_link_between_texts_is_lost(spark):
+    """A thousand copies of one text give a row each, not half a million, and links of other texts stay."""
+    import random
+
+    rng = random.Random(4)
+    base = [f"v{rng.randrange(500)}" for _ in range(60)]
+    texts = [" ".join(base)] * 1000 + ["two words", "", None, "a a a a a"]
+    for k in range(60):
+        x = list(base)
+        for at in rng.sample(range(60), rng.randrange(1, 12)):
+            x[at] = f"z{k}x{at}" if rng.random() < 0.7 else "a"
+        texts.append(" ".join(x))
+    got = {(r.left_id, r.right_id): (r.shared, r.united) for r in near_copies(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), 40).collect()}
+    sets = [frozenset(tuple(w[i : i + 3]) for i in range(len(w) - 2)) for w in ((t or "").split() for t in texts)]
+    first = {}
+    for i, g in enumerate(sets):
+        first.setdefault(g, i)
+    want = {(first[g], i): (len(g), len(g)) for i, g in enumerate(sets) if g and first[g] != i}
+    reps = [(i, g) for g, i in first.items() if g]
+    for i, g in reps:
+        for j, h in reps:
+            if i < j and len(g & h) * 100 >= len(g | h) * 40:
+                want[i, j] = (len(g & h), len(g | h))
+    assert got == want and len(got) > 1050
