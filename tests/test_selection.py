@@ -98,3 +98,18 @@ def test_passes_leave_out_by_the_digits_of_the_hash(spark):
             q = [math.exp((x - max(s)) / 1e6) for x in s]
             yes, no = sum(q[:3]) / 3, sum(q[3:]) / 3
             assert abs(got[pair][k] - yes / (yes + no)) < 1.1e-6
+
+
+def test_records_and_passes_take_one_look_at_a_token_and_short_code(spark):
+    """A token is asked for digits once, pairs split no text, and a pass is one short expression: long ones are not compiled."""
+    from pairmatch.operators import count_cloze as K
+
+    side = spark.createDataFrame([("1", "a1 b red"), ("2", "red crimson")], "id string, seq string")
+    pairs = spark.createDataFrame([("1|2", "1", "2")], "pair_id string, left_id string, right_id string")
+    plan = K.evidence_of(pairs, side, side)._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("[0-9]") == 2  # once a side
+    assert "split(left" not in plan and "split(right" not in plan
+    model = K.CountModel(tuple((-1,) * K.EVIDENCE for _ in K.WORDS), (-1,) * 6, K.Verbalizer.general())
+    passes = model.passes(K.evidence_of(pairs, side, side))
+    assert passes._jdf.queryExecution().optimizedPlan().toString().count("shiftright") == 0
+    assert len(passes.first()["p_passes"]) == 10
