@@ -22,3 +22,14 @@ def test_scores_and_selection_agree_with_sql(spark):
 @pytest.mark.parametrize("name", ["prompt_soft_layout", "time_cut_proxy"])
 def test_layouts_and_costs_come_from_the_tables(spark, name):
     same(spark, library_queries()[name], library_oracles()[name])
+
+
+@pytest.mark.parametrize("name", ["select_random_w1"])
+def test_selectors_that_need_no_passes_make_none(spark, monkeypatch, name):
+    from pairmatch.operators.count_cloze import CountModel
+
+    def none(*args, **kwargs):
+        raise AssertionError("dropout passes")
+
+    monkeypatch.setattr(CountModel, "passes", none)
+    same(spark, library_queries()[name], library_oracles()[name])
