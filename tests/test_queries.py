@@ -24,7 +24,7 @@ def test_layouts_and_costs_come_from_the_tables(spark, name):
     same(spark, library_queries()[name], library_oracles()[name])
 
 
-@pytest.mark.parametrize("name", ["select_random_w1"])
+@pytest.mark.parametrize("name", ["select_random_w1", "select_confidence_w1"])
 def test_selectors_that_need_no_passes_make_none(spark, monkeypatch, name):
     from pairmatch.operators.count_cloze import CountModel
 
