@@ -15,8 +15,11 @@ are their seeds: one segment at least is whole, so none is missed from eight tok
 Longer items are found by chance of four masks at every place: with a fifth of all tokens
 changed at random, all of 200 items of 30 tokens were (tests measure it).
 
-The benchmark's seeds go into the plan as a set while they are at most SET_LIMIT; beyond
-that documents and benchmark are joined on seeds. Only DataFrame functions are used.
+While the benchmark has at most SET_LIMIT seeds, places of documents are tried against
+tables of bits in which each seed has set three; they go into the plan as one value, for
+the driver copies and prints a list of all seeds at every step of planning. What passes
+by chance falls away in the join on seeds that follows. Beyond the limit all places are
+joined. Only DataFrame functions are used.
 
 Defined results: null texts and items have no tokens; items with fewer than three
 tokens take no part; rows are told apart by id and text, so null ids and repeated ids are
@@ -34,6 +37,7 @@ from pairmatch.llm.common import stored
 MASKS = ("111011011", "1110010111", "11101001101", "111100111")
 ANCHOR = 3
 SET_LIMIT = 60_000
+BITS, SLICES = 1 << 20, (0, 20, 40)  # bits of a table at most; the parts of a hash that set one each
 SHARE = 0.8
 SHORT = 24
 
@@ -79,18 +83,36 @@ def _item_seeds(items: DataFrame) -> DataFrame:
     return seeds.unionByName(short).distinct()
 
 
-def _doc_seeds(docs: DataFrame, anchors: set[int] | None, seeds: dict[int, set[int]] | None) -> DataFrame:
-    """Documents' places and seeds; with sets (by mask), only those that the benchmark has, tokens kept."""
+def _bits(hashes) -> tuple[str, int]:
+    """A table with 16 bits a hash or more, up to BITS, in which each hash sets three: as text, an array of longs; and its bits."""
+    hashes, size = list(hashes), 64
+    while size < min(16 * len(hashes), BITS):
+        size *= 2
+    words = [0] * (size // 64)
+    for h in hashes:
+        for s in SLICES:
+            at = ((h % (1 << 64)) >> s) % size
+            words[at // 64] |= 1 << at % 64
+    return f"cast(split('{','.join(str(w - (1 << 64) if w >> 63 else w) for w in words)}', ',') as array<bigint>)", size
+
+
+def _held(hash_: str, table: str, size: int) -> str:
+    each = [f"(shiftright(get({table}, int(shiftright(x_, {s + 6}) & {size // 64 - 1}L)), int(shiftright(x_, {s}) & 63L)) & 1L) = 1L" for s in SLICES]
+    return f"exists(array({hash_}), x_ -> {' and '.join(each)})"
+
+
+def _doc_seeds(docs: DataFrame, anchors: set[int] | None, seeds: set[int] | None) -> DataFrame:
+    """Documents' places and seeds; with sets, those that the benchmark has, and hardly any others, tokens kept."""
     each = ", ".join([f"if({_fits(m, 'q')}, {_seed(m, 'q')}, null)" for m in range(len(MASKS))] + [_anchor("q")])
     of_place = F.expr(f"explode_outer(filter(array({each}), s -> s is not null))").alias("seed")
     if anchors is None:
         return _places(docs, ["doc_id", "th"]).select("doc_id", "th", "q", of_place).where("seed is not null")
-    listed = lambda s: "(" + ",".join(map(str, sorted(s) or [0])) + ")"
-    some = " or ".join([f"({_fits(m, 'i')} and {_seed(m, 'i')} in {listed(seeds.get(m, ()))})" for m in range(len(MASKS))] + [f"{_anchor('i')} in {listed(seeds.get(-1, ()))}"])
+    (a, a_size), (b, b_size) = _bits(anchors), _bits(seeds)
+    some = " or ".join([f"({_fits(m, 'i')} and {_held(_seed(m, 'i'), 'b_.s', b_size)})" for m in range(len(MASKS))] + [_held(_anchor("i"), "b_.s", b_size)])
     # outer explodes and no condition on a computed column: else the optimizer puts size(column) > 0,
     # with the column's whole expression inside the lambda, below the projection
-    hit = f"if(size(t) >= {ANCHOR}, filter(sequence(0, size(t) - {ANCHOR}), i -> {_anchor('i')} in {listed(anchors)} and ({some})), array())"
-    held = docs.withColumn("at", F.expr(hit))
+    hit = f"if(size(t) >= {ANCHOR}, filter(sequence(0, size(t) - {ANCHOR}), i -> {_held(_anchor('i'), 'b_.a', a_size)} and ({some})), array())"
+    held = docs.withColumn("at", F.expr(f"transform(array(named_struct('a', {a}, 's', {b})), b_ -> {hit})[0]"))
     return held.select("doc_id", "th", "t", F.explode_outer("at").alias("q")).where("q is not null").select("doc_id", "th", "t", "q", of_place).where("seed is not null")
 
 
@@ -112,9 +134,7 @@ def overlaps(docs: DataFrame, bench: DataFrame, share: float = SHARE, set_limit:
     anchored = _places(items, ["ih"]).select(F.expr(_anchor("q")).alias("anchor")).distinct()
     few = seeds.select("seed").distinct().limit(set_limit + 1).count() <= set_limit and anchored.limit(set_limit + 1).count() <= set_limit
     if few:
-        known: dict[int, set[int]] = {}
-        for r in seeds.select("m", "seed").distinct().collect():  # at most set_limit
-            known.setdefault(r["m"], set()).add(r["seed"])
+        known = {r[0] for r in seeds.select("seed").distinct().collect()}  # at most set_limit
         anchors = {r[0] for r in anchored.collect()}  # at most set_limit
         found = _doc_seeds(d, anchors, known).join(seeds.select("ih", "seed", F.col("q").alias("at")), "seed")
         met = found.select("doc_id", "th", "t", "ih", (F.col("q") - F.col("at")).alias("shift"))
