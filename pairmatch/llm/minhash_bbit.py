@@ -25,7 +25,7 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
-from pairmatch.llm.common import stored
+from pairmatch.llm.common import give_back, lean, stored, stored_lean
 from pairmatch.llm.components import components
 
 HASHES, BANDS, BITS = 64, 16, 4
@@ -34,6 +34,7 @@ STAR_ROUNDS = 3
 WORD = 5
 NIBBLE = 0x1111111111111111
 BLOCK = 256
+CELLS = 1 << 20  # of a slice of the sets of a block pair, as a table of members
 
 
 def shingles(text: str | None, words: int = WORD):
@@ -102,7 +103,7 @@ def _sign(batches):
 def signatures(docs: DataFrame) -> DataFrame:
     """doc_id, text hash, n_shingles, two halves of the set's fingerprint, bands and packed bits (null for empty sets)."""
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"), F.xxhash64("text").alias("th")).mapInArrow(
-        _sign, "doc_id long, th long, n_shingles long, f1 long, f2 long, bands array<long>, packed array<long>"
+        lean(_sign), "doc_id long, th long, n_shingles long, f1 long, f2 long, bands array<long>, packed array<long>"
     )
 
 
@@ -162,25 +163,28 @@ def _blocks(percent: int):
         sides = np.flatnonzero(side == 0), np.flatnonzero(side == 1)
         a, b = sides if len(sides[1]) else (sides[0], sides[0])
         maybe = (100 * np.minimum(size[a][:, None], size[b][None, :]) >= percent * np.maximum(size[a][:, None], size[b][None, :])) & (roots[a][:, None] != roots[b][None, :])
-        flat, owner = np.concatenate(sets), np.repeat(np.arange(len(sets)), size)
-        _, code, times = np.unique(flat, return_inverse=True, return_counts=True)
-        often = times[code] > 1
-        column = np.cumsum(times > 1) - 1
-        width = int(column[-1]) + 1
-        if len(sets) * width <= 30_000_000:
-            m = np.zeros((len(sets), max(width, 1)), np.float32)
-            m[owner[often], column[code[often]]] = 1
-            common = m[a] @ m[b].T
-            linked = np.argwhere(maybe & (100 * common >= percent * (size[a][:, None] + size[b][None, :] - common)))
-        else:
-            shared = lambda i, j: len(np.intersect1d(sets[a[i]], sets[b[j]], assume_unique=True))
-            linked = [(i, j) for i, j in np.argwhere(maybe) if (100 + percent) * shared(i, j) >= percent * (size[a[i]] + size[b[j]])]
+        flat, owner = np.concatenate(sets), np.repeat(np.arange(len(sets), dtype=np.int32), size)
+        order = np.argsort(flat, kind="stable")
+        flat, owner = flat[order], owner[order]
+        new = np.r_[True, flat[1:] != flat[:-1]]
+        often = ~new | np.r_[flat[1:] == flat[:-1], False]  # items of one set alone are in no intersection
+        owner, column = owner[often], np.cumsum(new[often], dtype=np.int32) - 1
+        del flat, order, new, often
+        common, wide = np.zeros((len(a), len(b)), np.float32), max(1, CELLS // len(sets))
+        for at in range(0, int(column[-1]) + 1 if len(column) else 0, wide):
+            lo, hi = np.searchsorted(column, (at, at + wide))
+            m = np.zeros((len(sets), wide), np.float32)
+            m[owner[lo:hi], column[lo:hi] - at] = 1
+            common += m[a] @ m[b].T
+        linked = np.argwhere(maybe & (100 * common >= percent * (size[a][:, None] + size[b][None, :] - common)))
         out = []
         for i, j in linked:
             p, q = top(roots[a[i]]), top(roots[b[j]])
             if p != q:
                 group[p] = q
                 out.append((ids[a[i]], ids[b[j]]))
+        del sets, table, common
+        give_back()
         return pa.table({"a": pa.array([x for x, _ in out], pa.int64()), "b": pa.array([x for _, x in out], pa.int64())})
 
     return run
@@ -212,7 +216,7 @@ def _rest(cells: DataFrame, labels: DataFrame, items: DataFrame, percent: int) -
     inside = F.transform(upto("kr"), lambda i: to(1, i, own, first))
     sent = one.select("id", "root", "cluster", F.explode_outer(F.when(F.col("in_main"), inside).otherwise(outside)).alias("t")).select("id", "root", "cluster", "t.*")
     full = sent.join(items, "id")
-    return stored(full.groupBy("cluster", "kind", "i", "j").applyInArrow(_blocks(percent), "a long, b long"), "mh-links")
+    return stored_lean(full.groupBy("cluster", "kind", "i", "j").applyInArrow(_blocks(percent), "a long, b long"), "mh-links")
 
 
 def near_duplicates(docs: DataFrame, percent: int = 80) -> DataFrame:
@@ -221,7 +225,7 @@ def near_duplicates(docs: DataFrame, percent: int = 80) -> DataFrame:
     percent: least shared share of the union, in hundredths.
     """
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    signed = stored(signatures(docs), "mh-signed")
+    signed = stored_lean(signatures(docs), "mh-signed")
     full = signed.where("n_shingles > 0 and doc_id is not null")
     # classes of equal sets; an id that has several sets names none of them and ties them
     several = stored(full.select("doc_id", "f1", "f2").distinct().groupBy("doc_id").agg(F.count("*").alias("sets")).where("sets > 1").select("doc_id", F.lit(True).alias("many")), "mh-several")
@@ -238,13 +242,13 @@ def near_duplicates(docs: DataFrame, percent: int = 80) -> DataFrame:
     cells = stored(cells.join(shared.select("key"), "key", "left_semi"), "mh-cells")
     active = classes.select("id", "rep.*").join(cells.select("id").distinct(), "id", "left_semi")
     texts = docs.withColumn("th", F.xxhash64("text")).join(active, ["doc_id", "th"]).dropDuplicates(["id"])
-    items = stored(texts.select("id", "text").mapInArrow(_sets, "id long, items binary"), "mh-sets")
+    items = stored_lean(texts.select("id", "text").mapInArrow(lean(_sets), "id long, items binary"), "mh-sets")
     likely = percent / 100 - 0.24  # 4.5 standard deviations of the estimate at the threshold
 
     def confirmed(pairs: DataFrame) -> DataFrame:
         side = lambda c: items.select(F.col("id").alias(c), F.col("items").alias("items_" + c))
         joined = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "items_a", "items_b")
-        return stored(joined.mapInArrow(_confirm(percent), "a long, b long"), "mh-links")
+        return stored_lean(joined.mapInArrow(lean(_confirm(percent)), "a long, b long"), "mh-links")
 
     def could(p: str, q: str, np: str, nq: str) -> Column:
         sizes = 100 * F.least(np, nq) >= percent * F.greatest(np, nq)

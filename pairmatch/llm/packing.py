@@ -18,7 +18,7 @@ from collections import Counter
 
 from pyspark.sql import DataFrame, Window, functions as F
 
-from pairmatch.llm.common import cut
+from pairmatch.llm.common import cut, lean
 
 SALTS = 64
 CACHE = 400_000
@@ -102,7 +102,7 @@ def tokenised_pieces(docs: DataFrame, capacity: int = 2048, path: str | None = N
             n = 5 + with_ids
             yield pa.record_batch([pa.array(c, t) for c, t in zip(cols, types[:n], strict=True)], names=names[:n])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, schema)
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(lean(run), schema)
 
 
 def _complement(c, gap: int):
