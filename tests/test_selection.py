@@ -113,3 +113,19 @@ def test_records_and_passes_take_one_look_at_a_token_and_short_code(spark):
     passes = model.passes(K.evidence_of(pairs, side, side))
     assert passes._jdf.queryExecution().optimizedPlan().toString().count("shiftright") == 0
     assert len(passes.first()["p_passes"]) == 10
+
+
+def test_evidence_is_made_in_parts_and_is_that_of_all(spark, monkeypatch):
+    from pairmatch.operators import count_cloze as K
+    from pairmatch.plans.session import put_down
+
+    texts = spark.range(60).selectExpr("cast(id as string) id", "concat('[COL] a [VAL] w', id % 7, ' x', id % 5, ' longword', id % 3, ' ', id) seq")
+    pairs = texts.selectExpr("id as left_id").crossJoin(texts.selectExpr("id as right_id")).selectExpr("left_id", "right_id", "left_id || '|' || right_id as pair_id")
+    want = sorted((r.pair_id, r.ev) for r in K.evidence_of(pairs, texts, texts).collect())
+    monkeypatch.setattr(K, "PART_PAIRS", 500)
+    written = []
+    monkeypatch.setattr(K, "put_down", lambda df, name: written.append((name, put_down(df, name))) or written[-1][1])
+    got = K.stored_evidence(pairs, texts, texts, ["pair_id"])
+    assert sorted((r.pair_id, r.ev) for r in got.collect()) == want and len(want) == 3600
+    sizes = [x.count() for name, x in written if name == "evidence"]
+    assert len(sizes) == 8 and max(sizes) < 1200
